@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from rowloom.llm import licenses, media, neardup, pieces, quality, toxicity
+from rowloom.llm import archive, decontam, lattice, licenses, media, neardup, pieces, quality, sharding, toxicity
 from rowloom.llm.shared import table
 
 
@@ -39,17 +39,38 @@ def op5_quadratic_discriminant(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.score(docs, quality.train(docs, table(spark, sf_dir, "labels")))
 
 
+def op6_arc_to_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return archive.read_archives(archive.write_archives(table(spark, sf_dir, "pages")))
+
+
+def op7_sampled_splitters(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return sharding.shard_documents(table(spark, sf_dir, "documents"))
+
+
+def op8_subword_lattice(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return lattice.lattice_scores(table(spark, sf_dir, "documents"), tokenizer_path())
+
+
 def op9_lsh_forest(spark: SparkSession, sf_dir: str) -> DataFrame:
     return neardup.near_duplicates(table(spark, sf_dir, "documents"))
 
 
+def op10_wu_manber(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = decontam.find_contamination(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+    return decontam.contamination_digest(found)
+
+
 QUERIES = (
     op1_sentencepiece,
     op2_media_fingerprints,
     op3_license_automaton,
     op4_factorization_machine,
     op5_quadratic_discriminant,
+    op6_arc_to_warc,
+    op7_sampled_splitters,
+    op8_subword_lattice,
     op9_lsh_forest,
+    op10_wu_manber,
 )
 
 
