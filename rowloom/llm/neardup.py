@@ -237,8 +237,9 @@ def near_duplicates(
 
     members = written(dense.groupBy("tree", "region", "did").agg(F.first("n").alias("n"), F.first("s1").alias("s1"), F.first("s2").alias("s2")), "dense")
     needed = found.select(F.explode(F.array("a", "b")).alias("did")).union(members.select("did")).distinct()
+    # both sides are dealt by id at every size, so that cost grows with the input
     sets = written(
-        texts.withColumnRenamed("doc_id", "did").join(needed, "did", "left_semi").mapInArrow(_sets(width), "did long, members binary"),
+        texts.withColumnRenamed("doc_id", "did").join(needed.hint("merge"), "did", "left_semi").mapInArrow(_sets(width), "did long, members binary"),
         "sets",
     )
     links = written(_confirm(found, sets, threshold), "links")
