@@ -8,7 +8,8 @@ from __future__ import annotations
 
 import math
 import re
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
+from functools import partial
 
 import pandas as pd
 import pyarrow as pa
@@ -132,6 +133,40 @@ def _pass(items: list[tuple[str | None, bytes]], only_hits: bool):  # noqa: ANN2
     return run
 
 
+def _loads(benchmark: DataFrame, item_col: str, text_col: str, pass_bytes: int) -> list[Callable[[], list[tuple[str | None, bytes]]]]:
+    """One loader for each pass, of the items that it searches for."""
+    items = benchmark.select(F.col(item_col).cast("string").alias("item"), utf8(text_col).alias("text"))
+    total = items.agg(F.sum(F.length("text"))).first()[0] or 0
+    passes = max(1, math.ceil(total / pass_bytes))
+    dealt = items.withColumn("part", F.pmod(F.xxhash64("item", "text"), F.lit(passes)))
+
+    def load(k: int) -> list[tuple[str | None, bytes]]:
+        rows = dealt.where(F.col("part") == k).select("item", "text").collect()
+        return sorted(((r["item"], bytes(r["text"])) for r in rows), key=lambda x: (x[0] or "", x[1]))
+
+    return [partial(load, k) for k in range(passes)]
+
+
+def keep(
+    docs: DataFrame, benchmark: DataFrame, text_col: str = "text", item_col: str = "item_id",
+    item_text_col: str = "text", pass_bytes: int = PASS_BYTES,
+) -> DataFrame:
+    """The rows of `docs`, all their columns, without an occurrence of any benchmark window."""
+    for load in _loads(benchmark, item_col, item_text_col, pass_bytes):
+        docs = docs.where(_clean(load())(utf8(text_col)))
+    return docs
+
+
+def _clean(items: list[tuple[str | None, bytes]]):  # noqa: ANN202
+    @F.pandas_udf("boolean")
+    def clean(texts: Iterator[pd.Series]) -> Iterator[pd.Series]:
+        machines = ItemSearch(items).machines
+        for text in texts:
+            yield pd.Series([not any(True for m in machines for _ in m.find(words)) for words in map(words_of, text)], dtype="bool")
+
+    return clean
+
+
 def find_contamination(
     docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     item_col: str = "item_id", item_text_col: str = "text", pass_bytes: int = PASS_BYTES,
@@ -143,22 +178,15 @@ def find_contamination(
     texts have no words; items without an id count for spans but are not listed; rows may repeat;
     extra columns are ignored. Items are searched in passes of about `pass_bytes` of benchmark
     text, each shipped to the tasks whole; with one pass nothing is shuffled."""
-    items = benchmark.select(F.col(item_col).cast("string").alias("item"), utf8(item_text_col).alias("text"))
-    total = items.agg(F.sum(F.length("text"))).first()[0] or 0
-    passes = max(1, math.ceil(total / pass_bytes))
-    dealt = items.withColumn("part", F.pmod(F.xxhash64("item", "text"), F.lit(passes)))
+    loads = _loads(benchmark, item_col, item_text_col, pass_bytes)
     texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), utf8(text_col).alias("text"))
-
-    def load(k: int) -> list[tuple[str | None, bytes]]:
-        return sorted(((r["item"], bytes(r["text"])) for r in dealt.where(F.col("part") == k).collect()), key=lambda x: (x[0] or "", x[1]))
-
-    if passes == 1:
-        return texts.mapInArrow(_pass(load(0), False), f"doc_id long, {_KIND}")
+    if len(loads) == 1:
+        return texts.mapInArrow(_pass(loads[0](), False), f"doc_id long, {_KIND}")
 
     keyed = texts.select(F.sha2("text", 256).alias("key"), "text")
     hits = None
-    for k in range(passes):
-        found = keyed.mapInArrow(_pass(load(k), True), f"key string, {_KIND}")
+    for load in loads:
+        found = keyed.mapInArrow(_pass(load(), True), f"key string, {_KIND}")
         hits = found if hits is None else hits.union(found)
 
     @F.pandas_udf("array<struct<first:int,last:int>>")

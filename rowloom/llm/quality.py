@@ -177,3 +177,14 @@ def score(docs: DataFrame, model: Discriminant, id_col: str = "doc_id", text_col
     return own.select("doc_id", held_out("doc_id", FOLDS, FOLD).alias("held_out"), "text").mapInArrow(
         run, "doc_id long, held_out boolean, score double, predicted int"
     )
+
+
+def keep(docs: DataFrame, model: Discriminant, text_col: str = "text") -> DataFrame:
+    """The rows of `docs`, all their columns, that the classifier accepts."""
+
+    @F.pandas_udf("double")
+    def probability(text: pd.Series) -> pd.Series:
+        x = np.array([statistics(t) for t in text]).reshape(-1, len(NAMES))
+        return pd.Series(model.score(x))
+
+    return docs.where(probability(utf8(text_col)) >= F.lit(ACCEPT))

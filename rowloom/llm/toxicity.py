@@ -4,10 +4,11 @@ factors, weights for every pair of terms."""
 from __future__ import annotations
 
 import re
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
@@ -16,7 +17,7 @@ from pyspark.sql import functions as F
 from rowloom.llm.shared import clear_labels, held_out, utf8
 
 WORD = re.compile(rb"[a-z\x80-\xff]+")
-FOLDS, FOLD = 5, 0
+FOLDS, FOLD, REJECT = 5, 0, 0.5
 #: Buckets that terms are hashed to; a word gives itself and its first bytes as terms.
 BUCKETS, PREFIX = 1 << 20, 4
 #: Labelled rows learnt from at most, smallest hashes of the id first (the documented bound).
@@ -156,30 +157,37 @@ def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
     return fit([np.frombuffer(t, "int32") for t in got["terms"]], got["label"].to_numpy("float64"))
 
 
+def _scorer(model: FactorizationMachine) -> Callable[[bytes], float]:
+    """Scores of whole texts, with each frequent word's kept buckets remembered."""
+    place = dict(zip(model.buckets.tolist(), range(len(model.buckets)), strict=True))
+
+    class Places(TermBuckets):
+        def __missing__(self, word: bytes) -> tuple[int, ...]:
+            got = tuple(place[b] for b in TermBuckets.__missing__(self, word) if b in place)
+            if len(word) <= 48:
+                self[word] = got
+            return got
+
+    cache = Places()
+
+    def of(text: bytes) -> float:
+        rows = {p for w in set(WORD.findall(text.lower())) for p in cache[w]}
+        return model.score(np.fromiter(sorted(rows), "int64", len(rows)))
+
+    return of
+
+
 def score(
     docs: DataFrame, model: FactorizationMachine, id_col: str = "doc_id", text_col: str = "text"
 ) -> DataFrame:
     """doc_id, held_out, score, predicted for every row. Null and empty texts have no terms and get
     the model's base rate; ids may be null (then not held out) or repeat; extra columns are ignored."""
-    place = dict(zip(model.buckets.tolist(), range(len(model.buckets)), strict=True))
-
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        class Places(TermBuckets):
-            def __missing__(self, word: bytes) -> tuple[int, ...]:
-                got = tuple(place[b] for b in TermBuckets.__missing__(self, word) if b in place)
-                if len(word) <= 48:
-                    self[word] = got
-                return got
-
-        cache = Places()
+        of = _scorer(model)
         for batch in batches:
-            scores = []
-            for cell in batch.column(2):
-                words = set(WORD.findall(cell.as_py().lower()))
-                rows = {p for w in words for p in cache[w]}
-                scores.append(model.score(np.fromiter(sorted(rows), "int64", len(rows))))
+            scores = [of(cell.as_py()) for cell in batch.column(2)]
             yield pa.RecordBatch.from_arrays(
-                [batch.column(0), batch.column(1), pa.array(scores, pa.float64()), pa.array([int(s >= 0.5) for s in scores], pa.int32())],
+                [batch.column(0), batch.column(1), pa.array(scores, pa.float64()), pa.array([int(s >= REJECT) for s in scores], pa.int32())],
                 names=["doc_id", "held_out", "score", "predicted"],
             )
 
@@ -187,3 +195,15 @@ def score(
     return own.select("doc_id", held_out("doc_id", FOLDS, FOLD).alias("held_out"), "text").mapInArrow(
         run, "doc_id long, held_out boolean, score double, predicted int"
     )
+
+
+def keep(docs: DataFrame, model: FactorizationMachine, text_col: str = "text") -> DataFrame:
+    """The rows of `docs`, all their columns, that score under 0.5."""
+
+    @F.pandas_udf("double")
+    def probability(texts: Iterator[pd.Series]) -> Iterator[pd.Series]:
+        of = _scorer(model)
+        for text in texts:
+            yield pd.Series([of(t) for t in text], dtype="float64")
+
+    return docs.where(probability(utf8(text_col)) < F.lit(REJECT))
