@@ -59,34 +59,48 @@ def _interleaved_bits(codes: list[Column], width: int) -> list[Column]:
     return [F.shiftright(c.cast("long"), b).bitwiseAND(F.lit(1)) for b in range(width - 1, -1, -1) for c in codes]
 
 
+_WORD = 60
+
+
 def zorder_gray(codes: list[Column], cards: list[int]) -> list[Column]:
-    """Rank of the interleaved bits in the binary reflected Gray code; 60 bits to a sort column."""
+    """Rank of the interleaved bits in the binary reflected Gray code; 60 bits to a sort column.
+
+    A Gray code is undone by exclusive-or with its own right shifts by 1, 2, 4, ...; a word after
+    an odd number of ones in the words before it is complemented."""
     width = max(1, *(bits_of(n) for n in cards))
-    keys, run, word = [], F.lit(0).cast("long"), F.lit(0).cast("long")
-    for i, bit in enumerate(_interleaved_bits(codes, width)):
-        run = run.bitwiseXOR(bit)
-        word = word * 2 + run
-        if i % 60 == 59:
-            keys.append(word.asc())
-            word = F.lit(0).cast("long")
-    return [*keys, word.asc()]
+    bits = _interleaved_bits(codes, width)
+    keys, ones = [], F.lit(0)
+    for at in range(0, len(bits), _WORD):
+        part = bits[at : at + _WORD]
+        word = F.lit(0).cast("long")
+        for i, bit in enumerate(part):
+            word = word + F.shiftleft(bit, len(part) - 1 - i)
+        full = F.lit((1 << len(part)) - 1).cast("long")
+        rank = F.aggregate(F.array(*[F.lit(1 << k) for k in range(6)]), word, lambda x, k: x.bitwiseXOR(F.call_function("shiftright", x, k)))
+        keys.append(F.when(ones % 2 == 1, full - rank).otherwise(rank).asc())
+        ones = ones + F.bit_count(word)
+    return keys
 
 
 def hilbert_2d(x: Column, y: Column, width: int) -> list[Column]:
-    """Distance along the plane Hilbert curve over a square of 2**width steps, as one expression.
-
-    The curve starts along the first column."""
-    d = F.lit(0).cast("long")
-    x, y = x.cast("long"), y.cast("long")
-    for b in range(width - 1, -1, -1):
-        s = 1 << b
-        rx = F.when(x.bitwiseAND(F.lit(s)) > 0, F.lit(1)).otherwise(F.lit(0))
-        ry = F.when(y.bitwiseAND(F.lit(s)) > 0, F.lit(1)).otherwise(F.lit(0))
-        d = d + F.lit(s * s).cast("long") * ((rx * 3).bitwiseXOR(ry))
-        lx, ly = x.bitwiseAND(F.lit(s - 1)), y.bitwiseAND(F.lit(s - 1))
-        fx, fy = F.when(rx == 1, F.lit(s - 1) - lx).otherwise(lx), F.when(rx == 1, F.lit(s - 1) - ly).otherwise(ly)
-        x, y = F.when(ry == 0, fy).otherwise(lx), F.when(ry == 0, fx).otherwise(ly)
-    return [d.asc()]
+    """Distance along the plane Hilbert curve over a square of 2**width steps; no Python.
+
+    The state of the walk down the levels is what is left of both coordinates and the distance."""
+    start = F.struct(x.cast("long").alias("x"), y.cast("long").alias("y"), F.lit(0).cast("long").alias("d"))
+    sides = F.array(*[F.lit(1 << b).cast("long") for b in range(width - 1, -1, -1)])
+
+    def level(p: Column, s: Column) -> Column:
+        right, up = p["x"].bitwiseAND(s) > 0, p["y"].bitwiseAND(s) > 0
+        low = s - 1
+        lx, ly = p["x"].bitwiseAND(low), p["y"].bitwiseAND(low)
+        quarter = F.when(right, F.when(up, 2).otherwise(3)).otherwise(F.when(up, 1).otherwise(0))
+        return F.struct(
+            F.when(up, lx).when(right, low - ly).otherwise(ly).alias("x"),
+            F.when(up, ly).when(right, low - lx).otherwise(lx).alias("y"),
+            (p["d"] + s * s * quarter).alias("d"),
+        )
+
+    return [F.aggregate(sides, start, level)["d"].asc()]
 
 
 def hilbert_index(codes: np.ndarray, width: int) -> np.ndarray:

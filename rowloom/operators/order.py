@@ -24,14 +24,15 @@ def orderable(df: DataFrame) -> list[str]:
 def order_by(
     df: DataFrame, order: str = "lexicographic", cols: list[str] | None = None, column_order_mode: str | list[str] = "asc_card",
     normalize: bool = True, tie: list[str] | None = None, triple: str = "freq_col_value", descending: bool = False,
-    seed: int = 0, keep_codes: bool = False, dictionary: DataFrame | None = None,
+    seed: int = 0, keep_codes: bool = False, dictionary: DataFrame | None = None, bits: int | None = None,
 ) -> DataFrame:
     """`df` in the named order, with `pos`.
 
     `cols` are the reordered columns, the rest travels along. With `normalize`, values stand as
     their frequency codes (lexicographic and alternating sort the values themselves unless
     `keep_codes`); without it the columns must be integers. `tie` closes equal rows; without it a
-    hash of the other columns does, which also lets a range exchange cut a very frequent row."""
+    hash of the other columns does, which also lets a range exchange cut a very frequent row. `bits` fixes the width of
+    space-filling curves (default: that of the largest code)."""
     cols = cols or orderable(df)
     cols = column_order(df, cols, column_order_mode)
     df = clean(df, cols).drop("pos")
@@ -52,6 +53,8 @@ def order_by(
         freqs = [F.col(f"`{c}__freq`") for c in cols]
         drop = [*([] if keep_codes else [c + "__code" for c in cols]), *([c + "__freq" for c in cols] if order == "frequent_component" else [])]
         cards = cardinalities(dictionary, cols) if order in ("zorder_gray", "hilbert") else []
+    if bits is not None and cards:
+        cards = [1 << bits] * len(cols)
     if order == "frequent_component":
         keys = K.frequent_component(codes, freqs, triple, descending)
     elif order == "zorder_gray":

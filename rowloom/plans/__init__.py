@@ -1 +1 @@
-"""Plans of the row-reordering engine."""
+"""Registered queries: each method, measure and workload on the given tables, with its SQL twin."""
