@@ -16,7 +16,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from rowloom.llm.shared import utf8
+from rowloom.llm.shared import lean, release, utf8
 
 WORD = re.compile(rb"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+")
 WINDOW = 10
@@ -163,6 +163,7 @@ def _clean(items: list[tuple[str | None, bytes]]):  # noqa: ANN202
         machines = ItemSearch(items).machines
         for text in texts:
             yield pd.Series([not any(True for m in machines for _ in m.find(words)) for words in map(words_of, text)], dtype="bool")
+        release()
 
     return clean
 
@@ -181,12 +182,12 @@ def find_contamination(
     loads = _loads(benchmark, item_col, item_text_col, pass_bytes)
     texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), utf8(text_col).alias("text"))
     if len(loads) == 1:
-        return texts.mapInArrow(_pass(loads[0](), False), f"doc_id long, {_KIND}")
+        return texts.mapInArrow(lean(_pass(loads[0](), False)), f"doc_id long, {_KIND}")
 
     keyed = texts.select(F.sha2("text", 256).alias("key"), "text")
     hits = None
     for load in loads:
-        found = keyed.mapInArrow(_pass(load(), True), f"key string, {_KIND}")
+        found = keyed.mapInArrow(lean(_pass(load(), True)), f"key string, {_KIND}")
         hits = found if hits is None else hits.union(found)
 
     @F.pandas_udf("array<struct<first:int,last:int>>")
@@ -201,7 +202,7 @@ def find_contamination(
     # each text's stretches and items once, however many rows have that text
     spans = hits.select("key", F.explode("spans").alias("s")).groupBy("key").agg(F.collect_set("s").alias("s"))
     names = hits.select("key", F.explode("items").alias("i")).groupBy("key").agg(F.sort_array(F.collect_set("i")).alias("items"))
-    rows = texts.select("doc_id", F.sha2("text", 256).alias("key"), "text").mapInArrow(counted, "doc_id long, key string, n_words long")
+    rows = texts.select("doc_id", F.sha2("text", 256).alias("key"), "text").mapInArrow(lean(counted), "doc_id long, key string, n_words long")
     return (
         rows.join(spans.select("key", joined("s").alias("spans")), "key", "left")
         .join(names, "key", "left")

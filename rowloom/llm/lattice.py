@@ -28,7 +28,7 @@ FOLDS, FOLD = 7, 2
 #: Most frequent words, at most this many, whose figures are shipped to the tasks; others are joined.
 HEAD_WORDS = 1 << 18
 #: Distinct words that a task counts before it passes them on.
-COUNTED = 400_000
+COUNTED = 300_000
 _LOG10 = math.log(10.0)
 
 

@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from rowloom.llm.components import connected_components
-from rowloom.llm.shared import utf8, written
+from rowloom.llm.shared import lean, utf8, written
 from rowloom.llm.shingles import WordHasher, shingle_set, split_words
 
 #: Hash functions; trees; hashes in a region's key; hashes in a full sorted key.
@@ -192,7 +192,7 @@ def _confirm(pairs: DataFrame, sets: DataFrame, threshold: int) -> DataFrame:
 
     left = sets.select(F.col("did").alias("a"), F.col("members").alias("x"))
     right = sets.select(F.col("did").alias("b"), F.col("members").alias("y"))
-    return pairs.join(left, "a").join(right, "b").select("a", "b", "x", "y").mapInArrow(run, "a long, b long")
+    return pairs.join(left, "a").join(right, "b").select("a", "b", "x", "y").mapInArrow(lean(run), "a long, b long")
 
 
 def near_duplicates(
@@ -207,7 +207,7 @@ def near_duplicates(
     component_id is null and it is kept. Extra columns are ignored."""
     texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), utf8(text_col).alias("text"))
     base = written(
-        texts.mapInArrow(_digest(width), "doc_id long, n_shingles long, set_key binary, signature binary"), "digests"
+        texts.mapInArrow(lean(_digest(width)), "doc_id long, n_shingles long, set_key binary, signature binary"), "digests"
     )
     copies = (
         base.where("set_key is not null and doc_id is not null")
@@ -223,7 +223,7 @@ def near_duplicates(
         .where("first_id is null or first_id = doc_id")
         .select("doc_id", "n_shingles", "signature")
     )
-    rows = leads.mapInArrow(_orders, "tree int, region long, rest binary, did long, n long, s1 long, s2 long")
+    rows = leads.mapInArrow(lean(_orders), "tree int, region long, rest binary, did long, n long, s1 long, s2 long")
     sizes = rows.groupBy("tree", "region").agg(F.count("*").alias("region_rows")).where("region_rows > 1")
     shared = written(rows.join(sizes, ["tree", "region"]), "regions")
 
@@ -231,15 +231,15 @@ def near_duplicates(
     cols = ["tree", "region", "rest", "did", "n", "s1", "s2"]
     small = shared.where(F.col("region_rows") <= SMALL).select(cols).repartition("tree", "region")
     dense = shared.where(F.col("region_rows") > SMALL)
-    found = small.sortWithinPartitions(*order).mapInArrow(_neighbours(threshold), "a long, b long")
+    found = small.sortWithinPartitions(*order).mapInArrow(lean(_neighbours(threshold)), "a long, b long")
     crowd = dense.select(cols).repartitionByRange(*order).sortWithinPartitions(*order)
-    found = written(found.union(crowd.mapInArrow(_neighbours(threshold), "a long, b long")).distinct(), "candidates")
+    found = written(found.union(crowd.mapInArrow(lean(_neighbours(threshold)), "a long, b long")).distinct(), "candidates")
 
     members = written(dense.groupBy("tree", "region", "did").agg(F.first("n").alias("n"), F.first("s1").alias("s1"), F.first("s2").alias("s2")), "dense")
     needed = found.select(F.explode(F.array("a", "b")).alias("did")).union(members.select("did")).distinct()
     # both sides are dealt by id at every size, so that cost grows with the input
     sets = written(
-        texts.withColumnRenamed("doc_id", "did").join(needed.hint("merge"), "did", "left_semi").mapInArrow(_sets(width), "did long, members binary"),
+        texts.withColumnRenamed("doc_id", "did").join(needed.hint("merge"), "did", "left_semi").mapInArrow(lean(_sets(width)), "did long, members binary"),
         "sets",
     )
     links = written(_confirm(found, sets, threshold), "links")

@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from rowloom.llm.shared import utf8
+from rowloom.llm.shared import lean, utf8
 
 SPACE = "▁"
 _MARK = SPACE.encode()
@@ -197,7 +197,7 @@ def encode_documents(
                 names = ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256", "spans_sha256", "ids", "begins", "ends"]
                 yield pa.RecordBatch.from_arrays(columns, names=names[: len(columns)])
 
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), utf8(text_col).alias("text")).mapInArrow(run, schema)
+    return docs.select(F.col(id_col).cast("long").alias("doc_id"), utf8(text_col).alias("text")).mapInArrow(lean(run), schema)
 
 
 def decode_documents(encoded: DataFrame, model_path: str, ids_col: str = "ids") -> DataFrame:

@@ -11,7 +11,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from rowloom.llm.shared import clear_labels, held_out, utf8
+from rowloom.llm.shared import clear_labels, held_out, lean, release, utf8
 
 FOLDS, FOLD, ACCEPT = 5, 0, 0.3
 #: Part of the pooled covariance in each class covariance, and of a scaled identity in both.
@@ -145,7 +145,7 @@ def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
     parts = (
         texts.where("label_id is not null")
         .where(~held_out("label_id", FOLDS, FOLD))
-        .mapInArrow(facts, "label_id long, x binary")
+        .mapInArrow(lean(facts), "label_id long, x binary")
         .join(known, "label_id")
         .select("label", "x")
         .mapInPandas(moments, "label int, sums array<double>")
@@ -175,7 +175,7 @@ def score(docs: DataFrame, model: Discriminant, id_col: str = "doc_id", text_col
 
     own = docs.select(F.col(id_col).cast("long").alias("doc_id"), utf8(text_col).alias("text"))
     return own.select("doc_id", held_out("doc_id", FOLDS, FOLD).alias("held_out"), "text").mapInArrow(
-        run, "doc_id long, held_out boolean, score double, predicted int"
+        lean(run), "doc_id long, held_out boolean, score double, predicted int"
     )
 
 
@@ -183,8 +183,10 @@ def keep(docs: DataFrame, model: Discriminant, text_col: str = "text") -> DataFr
     """The rows of `docs`, all their columns, that the classifier accepts."""
 
     @F.pandas_udf("double")
-    def probability(text: pd.Series) -> pd.Series:
-        x = np.array([statistics(t) for t in text]).reshape(-1, len(NAMES))
-        return pd.Series(model.score(x))
+    def probability(texts: Iterator[pd.Series]) -> Iterator[pd.Series]:
+        for text in texts:
+            x = np.array([statistics(t) for t in text]).reshape(-1, len(NAMES))
+            yield pd.Series(model.score(x))
+        release()
 
     return docs.where(probability(utf8(text_col)) >= F.lit(ACCEPT))

@@ -19,7 +19,7 @@ _ODD = np.array(
 )
 _MIX1 = np.uint64(0xBF58476D1CE4E5B9)
 _MIX2 = np.uint64(0x94D049BB133111EB)
-_CACHE_WORDS = 400_000
+_CACHE_WORDS = 100_000
 
 
 def mix64(x: np.ndarray) -> np.ndarray:

@@ -14,7 +14,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from rowloom.llm.shared import clear_labels, held_out, utf8
+from rowloom.llm.shared import clear_labels, held_out, lean, release, utf8
 
 WORD = re.compile(rb"[a-z\x80-\xff]+")
 FOLDS, FOLD, REJECT = 5, 0, 0.5
@@ -26,7 +26,7 @@ SAMPLE_ROWS = 20_000
 KEPT, RANK = 4096, 8
 #: Mini-batches of a fit at least, and rows of one.
 STEPS, BATCH = 1500, 256
-_CACHE = 400_000
+_CACHE = 100_000
 
 
 class TermBuckets(dict):
@@ -149,7 +149,7 @@ def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
     got = (
         texts.join(F.broadcast(chosen), "label_id")
         .select("label_id", "label", "text")
-        .mapInArrow(run, "label_id long, label int, terms binary")
+        .mapInArrow(lean(run), "label_id long, label int, terms binary")
         .limit(2 * SAMPLE_ROWS)
         .toPandas()
         .sort_values(["label_id", "terms"], kind="stable")
@@ -193,7 +193,7 @@ def score(
 
     own = docs.select(F.col(id_col).cast("long").alias("doc_id"), utf8(text_col).alias("text"))
     return own.select("doc_id", held_out("doc_id", FOLDS, FOLD).alias("held_out"), "text").mapInArrow(
-        run, "doc_id long, held_out boolean, score double, predicted int"
+        lean(run), "doc_id long, held_out boolean, score double, predicted int"
     )
 
 
@@ -205,5 +205,6 @@ def keep(docs: DataFrame, model: FactorizationMachine, text_col: str = "text") -
         of = _scorer(model)
         for text in texts:
             yield pd.Series([of(t) for t in text], dtype="float64")
+        release()
 
     return docs.where(probability(utf8(text_col)) < F.lit(REJECT))
