@@ -21,6 +21,8 @@ def keys(order: str, cols: list[str], bits: int = 16) -> str:
     c = len(cols)
     if order == "lexicographic":
         return ", ".join(f"{x} ASC NULLS FIRST" for x in cols)
+    if order == "codes":
+        return ", ".join(f"k{i}" for i in range(c))
     if order == "alternating":
         return ", ".join(f"{x} ASC NULLS FIRST" if i % 2 == 0 else f"{x} DESC NULLS LAST" for i, x in enumerate(cols))
     if order in ("interleave", "interleave_raw"):
@@ -92,7 +94,8 @@ def column_facts(cols: list[str]) -> str:
 
 def sizes(source: str, cols: list[str], order: str, codec: str, method: str, p: int = 128) -> str:
     """SELECT text of (method, codec, col, bits), columns named as code columns."""
-    start = f"WITH {ordered(source, cols, order)}, {column_facts(cols)}, lc AS ({long_codes(cols)})"
+    # a coded table is sorted by its codes
+    start = f"WITH {ordered(source, cols, 'codes' if order == 'lexicographic' else order)}, {column_facts(cols)}, lc AS ({long_codes(cols)})"
     name = f"'{method}' AS method, '{codec}' AS codec, f.col || '__code' AS col"
     w = bits("f.card")
     if codec == "dictionary":
@@ -107,8 +110,8 @@ def sizes(source: str, cols: list[str], order: str, codec: str, method: str, p:
         body = f"SELECT {name}, CAST(sum({cost}) AS BIGINT) AS bits FROM b JOIN facts f USING (i) GROUP BY f.col"
     elif codec == "prefix":
         start += (
-            f", fv AS (SELECT i, pos // {p} AS cb, pos % {p} AS at, code, first_value(code) OVER (PARTITION BY i, pos // {p} ORDER BY pos) AS head FROM lc), "
-            f"b AS (SELECT i, cb, count(*) AS b, coalesce(min(CASE WHEN code <> head THEN at END), count(*)) AS l FROM fv GROUP BY i, cb)"
+            f", fv AS (SELECT i, pos // {p} AS cb, pos % {p} AS place, code, first_value(code) OVER (PARTITION BY i, pos // {p} ORDER BY pos) AS head FROM lc), "
+            f"b AS (SELECT i, cb, count(*) AS b, coalesce(min(CASE WHEN code <> head THEN place END), count(*)) AS l FROM fv GROUP BY i, cb)"
         )
         body = f"SELECT {name}, CAST(sum({(p - 1).bit_length()} + ({w}) + (b.b - b.l) * ({w})) AS BIGINT) AS bits FROM b JOIN facts f USING (i) GROUP BY f.col"
     elif codec in ("rle", "rle_pair", "rle_nested"):
