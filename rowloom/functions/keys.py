@@ -1,12 +1,15 @@
-"""Sort keys of row orders, as lists of scalar sort columns over code (or raw integer) columns.
+"""Sort keys of row orders, as scalar sort columns over code (or raw integer) columns.
 
 Every order that the paper compares by a comparator is a plain sort by such columns, so Spark's
-range exchange and its spilling sort do the work."""
+range exchange and its spilling sort do the work. Computed keys are columns before the sort: an
+expression inside a sort would be evaluated at every comparison."""
 
 from __future__ import annotations
 
 from collections.abc import Callable, Iterator
 
+from dataclasses import dataclass, field
+
 import numpy as np
 import pandas as pd
 from pyspark.sql import Column
@@ -15,43 +18,52 @@ from pyspark.sql import functions as F
 from rowloom.functions.bits import bits_of
 
 
-def lexicographic(codes: list[Column]) -> list[Column]:
-    return [c.asc_nulls_first() for c in codes]
+@dataclass
+class Keys:
+    """Ascending computed keys, helper columns that they are taken from, or ready sort columns."""
+
+    computed: list[Column] = field(default_factory=list)
+    helpers: dict[str, Column] = field(default_factory=dict)
+    ready: list[Column] = field(default_factory=list)
+
+
+def lexicographic(codes: list[Column]) -> Keys:
+    return Keys(ready=[c.asc_nulls_first() for c in codes])
 
 
-def alternating(codes: list[Column]) -> list[Column]:
+def alternating(codes: list[Column]) -> Keys:
     """First column ascending, second descending, and so on."""
-    return [c.asc_nulls_first() if i % 2 == 0 else c.desc_nulls_last() for i, c in enumerate(codes)]
+    return Keys(ready=[c.asc_nulls_first() if i % 2 == 0 else c.desc_nulls_last() for i, c in enumerate(codes)])
 
 
-def reflected_gray(codes: list[Column]) -> list[Column]:
+def reflected_gray(codes: list[Column]) -> Keys:
     """Snake order: a digit's direction turns with the parity of the digits before it (0-based codes)."""
     keys, before = [], F.lit(0).cast("long")
     for c in codes:
-        keys.append(F.when(before % 2 == 0, c).otherwise(-c).asc())
+        keys.append(F.when(before % 2 == 0, c).otherwise(-c))
         before = before + c
-    return keys
+    return Keys(keys)
 
 
-def interleave(codes: list[Column]) -> list[Column]:
+def interleave(codes: list[Column]) -> Keys:
     """Whole column values interleaved: the row's (code, column) pairs in rising order, compared with
     alternating direction. Pairs are packed in one integer each; positions 2, 4, ... are negated."""
     c = len(codes)
     packed = F.sort_array(F.array(*[x.cast("long") * c + i for i, x in enumerate(codes)]))
-    return [(F.get(packed, F.lit(i)) * (1 if i % 2 == 0 else -1)).asc() for i in range(c)]
+    return Keys([F.get("__pairs", F.lit(i)) * (1 if i % 2 == 0 else -1) for i in range(c)], {"__pairs": packed})
 
 
-def frequent_component(codes: list[Column], freqs: list[Column], triple: str = "freq_col_value", descending: bool = False) -> list[Column]:
+def frequent_component(codes: list[Column], freqs: list[Column], triple: str = "freq_col_value", descending: bool = False) -> Keys:
     """The row's (frequency, column, value) triples, largest first, compared in turn. Values stand as
-    codes, which rise with the value where frequencies are equal."""
-    rows = []
+    codes, which rise with the value where frequencies are equal. Column and value share an integer."""
+    c, rows = len(codes), []
     for i, (x, f) in enumerate(zip(codes, freqs, strict=True)):
-        parts = {"f": f.cast("long"), "k": F.lit(i).cast("long"), "v": x.cast("long")}
-        names = ("f", "k", "v") if triple == "freq_col_value" else ("f", "v", "k")
-        rows.append(F.struct(*[parts[n].alias(n) for n in names]))
-    ordered = F.sort_array(F.array(*rows), asc=False)
-    keys = [F.get(ordered, F.lit(i))[n] for i in range(len(codes)) for n in (("f", "k", "v") if triple == "freq_col_value" else ("f", "v", "k"))]
-    return [k.desc() if descending else k.asc() for k in keys]
+        v = x.cast("long")
+        rest = F.lit(i).cast("long") * (1 << 48) + v if triple == "freq_col_value" else v * c + i
+        rows.append(F.struct(f.cast("long").alias("f"), rest.alias("r")))
+    sign = -1 if descending else 1
+    keys = [F.get("__triples", F.lit(i))[n] * sign for i in range(c) for n in ("f", "r")]
+    return Keys(keys, {"__triples": F.sort_array(F.array(*rows), asc=False)})
 
 
 def _interleaved_bits(codes: list[Column], width: int) -> list[Column]:
@@ -62,7 +74,7 @@ def _interleaved_bits(codes: list[Column], width: int) -> list[Column]:
 _WORD = 60
 
 
-def zorder_gray(codes: list[Column], cards: list[int]) -> list[Column]:
+def zorder_gray(codes: list[Column], cards: list[int]) -> Keys:
     """Rank of the interleaved bits in the binary reflected Gray code; 60 bits to a sort column.
 
     A Gray code is undone by exclusive-or with its own right shifts by 1, 2, 4, ...; a word after
@@ -77,12 +89,12 @@ def zorder_gray(codes: list[Column], cards: list[int]) -> list[Column]:
             word = word + F.shiftleft(bit, len(part) - 1 - i)
         full = F.lit((1 << len(part)) - 1).cast("long")
         rank = F.aggregate(F.array(*[F.lit(1 << k) for k in range(6)]), word, lambda x, k: x.bitwiseXOR(F.call_function("shiftright", x, k)))
-        keys.append(F.when(ones % 2 == 1, full - rank).otherwise(rank).asc())
+        keys.append(F.when(ones % 2 == 1, full - rank).otherwise(rank))
         ones = ones + F.bit_count(word)
-    return keys
+    return Keys(keys)
 
 
-def hilbert_2d(x: Column, y: Column, width: int) -> list[Column]:
+def hilbert_2d(x: Column, y: Column, width: int) -> Keys:
     """Distance along the plane Hilbert curve over a square of 2**width steps; no Python.
 
     The state of the walk down the levels is what is left of both coordinates and the distance."""
@@ -100,7 +112,7 @@ def hilbert_2d(x: Column, y: Column, width: int) -> list[Column]:
             (p["d"] + s * s * quarter).alias("d"),
         )
 
-    return [F.aggregate(sides, start, level)["d"].asc()]
+    return Keys([F.aggregate(sides, start, level)["d"]])
 
 
 def hilbert_index(codes: np.ndarray, width: int) -> np.ndarray:
@@ -127,7 +139,7 @@ def hilbert_index(codes: np.ndarray, width: int) -> np.ndarray:
     return np.stack(planes, axis=1).astype("uint8")
 
 
-def hilbert(codes: list[Column], cards: list[int]) -> list[Column]:
+def hilbert(codes: list[Column], cards: list[int]) -> Keys:
     """Hilbert order of any number of columns; two columns stay in code-generated expressions."""
     width = max(1, *(bits_of(n) for n in cards))
     if len(codes) == 2 and width <= 30:
@@ -140,20 +152,20 @@ def hilbert(codes: list[Column], cards: list[int]) -> list[Column]:
             packed = np.packbits(hilbert_index(x, width), axis=1)
             yield pd.Series([r.tobytes() for r in packed])
 
-    return [rank(*[c.cast("long") for c in codes]).asc()]
+    return Keys([rank(*[c.cast("long") for c in codes])])
 
 
-def discriminating(codes: list[Column]) -> list[Column]:
+def discriminating(codes: list[Column]) -> Keys:
     """Equal rows together, in hash order."""
-    return [F.xxhash64(*codes).asc(), *lexicographic(codes)]
+    return Keys([F.xxhash64(*codes)], ready=lexicographic(codes).ready)
 
 
-def shuffled(codes: list[Column], seed: int = 0) -> list[Column]:
-    return [F.xxhash64(*codes, F.lit(seed)).asc()]
+def shuffled(codes: list[Column], seed: int = 0) -> Keys:
+    return Keys([F.xxhash64(*codes, F.lit(seed))])
 
 
 #: Orders that need code columns only.
-ORDERS: dict[str, Callable[[list[Column]], list[Column]]] = {
+ORDERS: dict[str, Callable[[list[Column]], Keys]] = {
     "lexicographic": lexicographic,
     "alternating": alternating,
     "reflected_gray": reflected_gray,

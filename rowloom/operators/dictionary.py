@@ -24,33 +24,34 @@ def clean(df: DataFrame, cols: list[str]) -> DataFrame:
 
 
 def histogram(df: DataFrame, cols: list[str]) -> DataFrame:
-    """(col_idx, one column for each of `cols`, freq): value counts of all columns in one pass.
+    """(the columns, freq, col_idx): value counts of all columns.
 
-    Column i's values are in its own column, the others are null there. Counts are combined on
-    the map side."""
-    grouped = df.groupingSets([[F.col(f"`{c}`")] for c in cols], *[F.col(f"`{c}`") for c in cols])
-    # grouping_id has a bit for each column, set where it is rolled up
-    got = grouped.agg(F.count(F.lit(1)).alias("freq"), F.grouping_id().alias("__gid"))
-    full = (1 << len(cols)) - 1
-    index = F.lit(None).cast("int")
-    for i in range(len(cols)):
-        index = F.when(F.col("__gid") == full ^ (1 << (len(cols) - 1 - i)), F.lit(i)).otherwise(index)
-    return got.withColumn("col_idx", index).drop("__gid")
+    Column i's values are in its own column, the others are null there. Each column is counted on
+    its own, so that a scan reads it alone and its counts are combined on the map side by a
+    narrow key; over a frame that is costly to make, write it first."""
+    kinds = {f.name: f.dataType for f in df.schema.fields}
+    parts = []
+    for i, c in enumerate(cols):
+        counts = df.groupBy(F.col(f"`{c}`")).agg(F.count(F.lit(1)).alias("freq"))
+        values = [F.col(f"`{x}`") if x == c else F.lit(None).cast(kinds[x]).alias(x) for x in cols]
+        parts.append(counts.select(*values, "freq", F.lit(i).alias("col_idx")))
+    out = parts[0]
+    for part in parts[1:]:
+        out = out.union(part)
+    return out
 
 
 def build_dictionary(df: DataFrame, cols: list[str], tail: str = "frequency") -> DataFrame:
     """(col_idx, values, freq, code): codes by falling frequency, ties by value, null first.
 
     One range sort ranks all columns, however large; `tail='natural'` codes by value instead."""
-    hist = histogram(clean(df, cols), cols)
+    hist = written(histogram(clean(df, cols), cols), "histogram")
+    sizes = cardinalities(hist, cols)
     values = [F.asc_nulls_first(f"`{c}`") for c in cols]
     keys = [F.asc("col_idx"), *([F.desc("freq")] if tail == "frequency" else []), *values]
     ranked = sorted_with_positions(hist, keys, "__rank")
-    first = ranked.groupBy("col_idx").agg(F.min("__rank").alias("__first"))
-    return written(
-        ranked.join(F.broadcast(first), "col_idx").withColumn("code", F.col("__rank") - F.col("__first")).drop("__rank", "__first"),
-        "dictionary",
-    )
+    first = F.element_at(F.array(*[F.lit(sum(sizes[:i])).cast("long") for i in range(len(cols))]), F.col("col_idx") + 1)
+    return ranked.withColumn("code", F.col("__rank") - first).drop("__rank")
 
 
 def cardinalities(dictionary: DataFrame, cols: list[str]) -> list[int]:

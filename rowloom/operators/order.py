@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 from rowloom.functions import keys as K
 from rowloom.operators.dictionary import build_dictionary, cardinalities, clean, column_order, encode
 from rowloom.operators.position import neighbours, sorted_with_positions
+from rowloom.sources.scratch import written
 
 ORDERS = (
     "lexicographic", "alternating", "reflected_gray", "interleave", "frequent_component", "zorder_gray", "hilbert",
@@ -69,8 +70,21 @@ def order_by(
     else:
         raise ValueError(f"order is one of {ORDERS}")
     rest = [c for c in df.columns if c not in cols]
-    close = [F.asc_nulls_first(f"`{c}`") for c in tie] if tie else [F.xxhash64(*[F.col(f"`{c}`") for c in rest]).asc()] if rest else []
-    return sorted_with_positions(coded, [*keys, *close]).drop(*drop)
+    computed = {f"__k{i}": k for i, k in enumerate(keys.computed)}
+    if tie:
+        close = [F.asc_nulls_first(f"`{c}`") for c in tie]
+    elif rest:
+        computed["__tie"] = F.xxhash64(*[F.col(f"`{c}`") for c in rest])
+        close = [F.asc("__tie")]
+    else:
+        close = []
+    keyed = coded.withColumns(keys.helpers) if keys.helpers else coded
+    keyed = keyed.withColumns(computed).drop(*keys.helpers) if computed else keyed
+    if not raw:
+        # the range exchange reads its input twice, once to sample it: joins and keys are made once
+        keyed = written(keyed, "keyed")
+    order_cols = [F.asc(k) for k in computed if k != "__tie"]
+    return sorted_with_positions(keyed, [*order_cols, *keys.ready, *close], drop=[*computed, *drop])
 
 
 def make_discriminating(df: DataFrame, cols: list[str]) -> DataFrame:

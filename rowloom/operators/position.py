@@ -38,13 +38,13 @@ def numbered(df: DataFrame, name: str = "pos") -> DataFrame:
     )
 
 
-def sorted_with_positions(df: DataFrame, keys: list[Column], name: str = "pos", partitions: int | None = None) -> DataFrame:
+def sorted_with_positions(df: DataFrame, keys: list[Column], name: str = "pos", partitions: int | None = None, drop: list[str] | None = None) -> DataFrame:
     """`df` range-partitioned and sorted by `keys`, with global positions. Keys that tie to the end
-    leave the order open, so callers close them with columns that tell rows apart."""
+    leave the order open, so callers close them with columns that tell rows apart. `drop` goes after the sort."""
     if not keys:
-        return numbered(df, name)
+        return numbered(df.drop(*(drop or [])), name)
     dealt = df.repartitionByRange(partitions, *keys) if partitions else df.repartitionByRange(*keys)
-    return numbered(dealt.sortWithinPartitions(*keys), name)
+    return numbered(dealt.sortWithinPartitions(*keys).drop(*(drop or [])), name)
 
 
 def neighbours(df: DataFrame, cols: list[str], step: int = -1, pos: str = "pos", by: list[str] | None = None, span: int = SPAN) -> DataFrame:

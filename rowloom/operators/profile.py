@@ -2,10 +2,13 @@
 
 from __future__ import annotations
 
+from itertools import accumulate
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from rowloom.operators.dictionary import clean, column_order, histogram
+from rowloom.operators.position import neighbours, sorted_with_positions
 
 
 def mu_bound(n: Column | int, cards: list[int]) -> float:
@@ -20,18 +23,19 @@ def mu_bound(n: Column | int, cards: list[int]) -> float:
 def prefix_distincts(df: DataFrame, cols: list[str], approx: bool = False) -> list[int]:
     """Distinct tuples of each column prefix.
 
-    Exact: the rows are distinct tuples after one map-side-combined aggregation; each then adds one
-    to the prefixes that differ from those of the tuple before it in sorted order."""
+    Exact: distinct rows are sorted once, and a row adds one to every prefix from its first column
+    that differs from the row before it."""
     if approx:
         tuples = [F.struct(*[F.col(f"`{c}`") for c in cols[: i + 1]]) for i in range(len(cols))]
         return [x or 0 for x in clean(df, cols).agg(*[F.approx_count_distinct(t) for t in tuples]).first()]
     rows = clean(df, cols).select(*[F.col(f"`{c}`") for c in cols]).distinct()
-    counts = []
-    for i in range(len(cols), 0, -1):
-        # each prefix is counted among the distinct tuples of the one that is a column longer
-        rows = rows.groupBy(*[F.col(f"`{c}`") for c in cols[:i]]).agg(F.lit(1).alias("__one")).drop("__one")
-        counts.append(rows.count())
-    return counts[::-1]
+    ordered = sorted_with_positions(rows, [F.asc_nulls_first(f"`{c}`") for c in cols])
+    beside = neighbours(ordered, cols)
+    first = F.when(~F.col("has_neighbour"), F.lit(0))
+    for i, c in enumerate(cols):
+        first = first.when(~F.col(f"`{c}`").eqNullSafe(F.col(f"`prev_{c}`")), F.lit(i))
+    new = {r["first"]: r["count"] for r in beside.select(first.alias("first")).groupBy("first").count().collect()}
+    return list(accumulate(new.get(i, 0) for i in range(len(cols))))
 
 
 def omega_bound(df: DataFrame, cols: list[str], order: str | list[str] = "asc_card", approx: bool = False) -> float:
