@@ -238,7 +238,7 @@ def write_archives(pages: DataFrame, id_col: str = "page_id", url_col: str = "ur
 
     The html of a row is its payload (null: empty). Of rows with equal payloads of 100 bytes or
     more, those with the smallest id are responses and the others revisit it; rows that repeat the
-    smallest id are all responses, and rows without an id are responses too. Equal digests meet in
+    smallest id are all responses, and a row without an id revisits one that has an id. Equal digests meet in
     a shuffled hash join whose hot keys adaptive execution splits; what is moved is compressed."""
     own = pages.select(F.col(id_col).cast("long").alias("page_id"), F.col(url_col).cast("string").alias("url"), utf8(html_col).alias("html"))
     first = (

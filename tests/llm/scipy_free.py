@@ -1,0 +1,6 @@
+from __future__ import annotations
+
+
+def accuracy(pairs):
+    pairs = list(pairs)
+    return sum(a == b for a, b in pairs) / len(pairs)
