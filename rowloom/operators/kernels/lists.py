@@ -7,6 +7,10 @@ from itertools import permutations
 import numpy as np
 
 
+#: Columns from which on a step compares its neighbours as one array.
+WIDE = 8
+
+
 def list_orders(c: int, k: int | None = None, lists: str | list[list[int]] = "rotations") -> list[list[int]]:
     """Column orders of the lists: the first `k` rotations (all: c), all c! orders, or those given."""
     if not isinstance(lists, str):
@@ -69,6 +73,20 @@ def walk(
     links = list(zip(prev, nxt, strict=True))
     path, at = [start], start
     append = path.append
+    if c >= WIDE:
+        narrow = np.ascontiguousarray(codes, dtype="int32") if codes.max(initial=0) < 1 << 31 else codes
+        for _ in range(n - 1):
+            near_rows = []
+            for p, q in links:
+                a, b = p[at], q[at]
+                if a != n:
+                    near_rows.append(a)
+                if b != n:
+                    near_rows.append(b)
+                q[a], p[b] = b, a
+            at = near_rows[(narrow.take(near_rows, axis=0) != narrow[at]).sum(axis=1).argmin()]
+            append(at)
+        return np.array(path, "int64")
     for _ in range(n - 1):
         here = rows[at]
         best, near = c + 1, n

@@ -80,7 +80,7 @@ def order_by(
         close = []
     keyed = coded.withColumns(keys.helpers) if keys.helpers else coded
     keyed = keyed.withColumns(computed).drop(*keys.helpers) if computed else keyed
-    if not raw:
+    if not raw and normalize:
         # the range exchange reads its input twice, once to sample it: joins and keys are made once
         keyed = written(keyed, "keyed")
     order_cols = [F.asc(k) for k in computed if k != "__tie"]

@@ -235,12 +235,12 @@ def sort_limit_offset(spark: SparkSession, sf_dir: str) -> DataFrame:
     return T(spark, sf_dir, "orders").select("o_orderkey", "o_totalprice").orderBy(F.desc("o_totalprice"), "o_orderkey").offset(5).limit(20)
 
 
-_A, _B = "SELECT l_suppkey AS k FROM lineitem WHERE l_returnflag = 'A'", "SELECT l_suppkey AS k FROM lineitem WHERE l_returnflag = 'R'"
+_A, _B = "SELECT l_orderkey AS k FROM lineitem WHERE l_returnflag = 'A'", "SELECT l_orderkey AS k FROM lineitem WHERE l_returnflag = 'R'"
 for _name, _op in (("union", "UNION"), ("union_all", "UNION ALL"), ("intersect", "INTERSECT"), ("intersect_all", "INTERSECT ALL"), ("except", "EXCEPT"), ("except_all", "EXCEPT ALL")):
 
     def _set(spark: SparkSession, sf_dir: str, op: str = _name) -> DataFrame:
         li = T(spark, sf_dir, "lineitem")
-        a, b = (li.where(F.col("l_returnflag") == x).select(F.col("l_suppkey").alias("k")) for x in "AR")
+        a, b = (li.where(F.col("l_returnflag") == x).select(F.col("l_orderkey").alias("k")) for x in "AR")
         got = {
             "union": lambda: a.unionByName(b).distinct(), "union_all": lambda: a.unionByName(b), "intersect": lambda: a.intersect(b),
             "intersect_all": lambda: a.intersectAll(b), "except": lambda: a.subtract(b), "except_all": lambda: a.exceptAll(b),

@@ -238,10 +238,10 @@ def block_strategies(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
-@query("block_size_one", S.order_rows(_L.sql, _L.cols, "codes"))
+@query("block_size_one", S.order_rows(_P.sql, _P.cols, "codes"))
 def block_size_one(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Blocks of one row leave the sorted order as it is."""
-    return B.multiple_lists_blocked(_L.frame(spark, sf_dir), _L.cols, 1).select("pos", *_L.cols)
+    return B.multiple_lists_blocked(_P.frame(spark, sf_dir), _P.cols, 1, column_order_mode="given").select("pos", *_P.cols)
 
 
 @query("guard_never_worse", f"SELECT CAST((count(*) + 2047) // 2048 AS BIGINT) AS blocks, CAST(0 AS BIGINT) AS worse FROM lineitem")
