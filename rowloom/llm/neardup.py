@@ -5,8 +5,9 @@ full shingle sets, and components of the confirmed links.
 Scale notes. Equal shingle sets collapse before any pairing, through a map-side-combined
 minimum. Regions of one document never leave the first count. What is paired is sorted by a
 range exchange, so a dense region is cut over tasks; a document meets a bounded number of
-neighbours in each order, and dense regions are completed by comparing all their members with
-the best-linked one, again after each gain, a linear number of pairs. No group is gathered in one task, and nothing
+neighbours in each order, and the members of a dense region the best-linked one. What is left of
+regions with several components is joined exactly (`setjoin`), which is complete and so costs the
+square of a bucket of sets that share a rare shingle and no component. No group is gathered in one task, and nothing
 that grows with the corpus goes to the driver."""
 
 from __future__ import annotations
@@ -21,6 +22,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from rowloom.llm.components import connected_components
+from rowloom.llm.setjoin import component_links
 from rowloom.llm.shared import lean, utf8, written
 from rowloom.llm.shingles import WordHasher, shingle_set, split_words
 
@@ -245,13 +247,12 @@ def near_duplicates(
     links = written(_confirm(found, sets, threshold), "links")
     nodes = written(connected_components(links), "nodes")
 
-    while True:
-        hubbed = written(_hub_pairs(members, links, nodes, threshold), "hub_pairs")
-        more = written(_confirm(hubbed, sets, threshold), "links")
-        if more.isEmpty():
-            break
-        links = written(links.union(more).distinct(), "links")
-        nodes = written(connected_components(links), "nodes")
+    hubbed = written(_hub_pairs(members, links, nodes, threshold), "hub_pairs")
+    links = written(links.union(_confirm(hubbed, sets, threshold)).distinct(), "links")
+    nodes = written(connected_components(links), "nodes")
+
+    more = written(component_links(_mixed(members, nodes), sets, threshold), "links")
+    nodes = written(connected_components(links.union(more)), "nodes")
 
     lead = F.coalesce("first_id", "doc_id")
     return (
@@ -264,6 +265,15 @@ def near_duplicates(
     )
 
 
+def _mixed(members: DataFrame, nodes: DataFrame) -> DataFrame:
+    """(did, component) of the members of dense regions that hold more than one component."""
+    labelled = members.join(nodes.withColumnRenamed("node", "did"), "did", "left").select(
+        "tree", "region", "did", F.coalesce("component", "did").alias("component")
+    )
+    regions = labelled.groupBy("tree", "region").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).where("lo <> hi")
+    return labelled.join(regions, ["tree", "region"], "left_semi").select("did", "component").distinct()
+
+
 def _hub_pairs(members: DataFrame, links: DataFrame, nodes: DataFrame, threshold: int) -> DataFrame:
     """Members of dense regions against the best-linked member of their region if it is in another component."""
     degree = links.select(F.explode(F.array("a", "b")).alias("did")).groupBy("did").agg(F.count("*").alias("degree"))

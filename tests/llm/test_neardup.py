@@ -2,7 +2,7 @@ from __future__ import annotations
 
 import numpy as np
 
-from rowloom.llm import neardup
+from rowloom.llm import neardup, setjoin
 from rowloom.llm.components import connected_components
 
 
@@ -64,6 +64,61 @@ def test_a_dense_group_around_one_text(spark):
     same(spark.createDataFrame(rows, "doc_id long, text string"), rows)
 
 
+def test_a_templated_crowd(spark):
+    """14,641 fillings of one template, no two of them near, and 400 that link some: any two within
+    one field (111 of 121 shingles) are near, those two fields apart (106 of 126) are not."""
+    rng = np.random.default_rng(8)
+    free = np.array(np.unravel_index(np.arange(11**4), (11,) * 4)).T
+    codes = np.column_stack([free, -free.sum(axis=1) % 11])
+    extra = codes[rng.choice(len(codes), 400, replace=False)].copy()
+    for row, at in zip(extra, rng.integers(0, 5, len(extra)), strict=True):
+        row[at] = (row[at] + rng.integers(1, 11)) % 11
+    codes = rng.permutation(np.unique(np.concatenate([codes, extra]), axis=0))
+
+    def text(code):
+        words = [f"b{i}" for i in range(120)]
+        for f, v in enumerate(code):
+            words[10 + 24 * f] = f"f{f}v{v}"
+        return " ".join(words)
+
+    lead = list(range(len(codes)))
+
+    def find(x):
+        while lead[x] != x:
+            x = lead[x]
+        return x
+
+    for i in range(len(codes)):
+        for j in i + 1 + np.flatnonzero((codes[i + 1 :] != codes[i]).sum(axis=1) <= 1):
+            x, y = find(i), find(int(j))
+            lead[max(x, y)] = min(x, y)
+    want = {i: find(i) for i in range(len(codes))}
+    assert len(set(want.values())) < len(codes) - 1000
+    docs = spark.createDataFrame([(i, text(c)) for i, c in enumerate(codes.tolist())], "doc_id long, text string")
+    assert {r["doc_id"]: r["component_id"] for r in neardup.near_duplicates(docs).collect()} == want
+
+
+def test_set_join_in_chunks(spark, monkeypatch):
+    """Blocks of few sets, several sets of one id, and a large component beside single sets."""
+    rng = np.random.default_rng(9)
+    monkeypatch.setattr(setjoin, "CHUNK_SETS", 7)
+    rows = []
+    for k in range(240):
+        own = np.arange(60, dtype=np.uint64)
+        own[rng.choice(60, int(rng.integers(1, 9)), replace=False)] += np.uint64(1000 * int(rng.integers(1, 6)))
+        rows.append((k // 2 if k < 40 else k, 0 if 100 <= k < 170 else (k // 2 if k < 40 else k), np.sort(own)))
+    want = set()
+    for i, (_, a, x) in enumerate(rows):
+        for _, b, y in rows[i + 1 :]:
+            common = len(np.intersect1d(x, y))
+            if a != b and 100 * common >= 85 * (len(x) + len(y) - common):
+                want.add((min(a, b), max(a, b)))
+    crowd = spark.createDataFrame(sorted({(d, c) for d, c, _ in rows}), "did long, component long")
+    sets = spark.createDataFrame([(d, bytearray(s.tobytes())) for d, _, s in rows], "did long, members binary")
+    got = {(r["a"], r["b"]) for r in setjoin.component_links(crowd, sets, 85).collect()}
+    assert len(want) > 100 and got == want
+
+
 def test_the_threshold_is_exact(spark):
     """20 shingles of 24 words: 100 * 17 / 20 = 85 links, 16 / 20 does not."""
     a = [f"a{i}" for i in range(24)]
