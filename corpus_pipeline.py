@@ -28,8 +28,8 @@ def toxicity_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 
 def neardup_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keeps one document, that with the smallest id, of each group of near duplicates."""
-    copies = neardup.near_duplicates(docs).where("not kept").select(F.col("doc_id").cast("long").alias("copy_id")).distinct()
+    """Keeps one document, that with the smallest id, of each group of near duplicates (similarity 0.8 or more)."""
+    copies = neardup.near_duplicates(docs, threshold=80).where("not kept").select(F.col("doc_id").cast("long").alias("copy_id")).distinct()
     return docs.join(copies.hint("merge"), F.col("doc_id") == F.col("copy_id"), "left_anti")
 
 

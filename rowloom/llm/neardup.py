@@ -12,6 +12,7 @@ that grows with the corpus goes to the driver."""
 
 from __future__ import annotations
 
+import math
 from collections.abc import Callable, Iterator
 
 import numpy as np
@@ -26,13 +27,36 @@ from rowloom.llm.setjoin import component_links
 from rowloom.llm.shared import lean, utf8, written
 from rowloom.llm.shingles import WordHasher, shingle_set, split_words
 
-#: Hash functions; trees; hashes in a region's key; hashes in a full sorted key.
-HASHES, TREES, ROOT, DEEP = 128, 24, 5, 10
+#: Hash functions; hashes of a full sorted key after those of the region's key.
+HASHES, REST = 128, 5
 #: Regions up to this size are paired fully; in larger ones, neighbours within REACH.
 SMALL, REACH = 16, 2
-#: One-bit sketch positions that must agree, of 128: a pair at similarity 0.85 has 118.4 on
-#: average and fewer than this with a probability under 1e-6.
-AGREE = 99
+#: A pair at the threshold shares no region, or fails the sketch bound, with at most these probabilities.
+MISS, SKETCH_MISS = 8e-7, 2e-8
+
+
+def forest(threshold: int) -> tuple[int, int]:
+    """Trees and hashes in a region's key: the longest key (8 at most) whose trees fit the hashes."""
+    if not 1 <= threshold <= 100:
+        raise ValueError("threshold must be within 1 and 100")
+    for root in range(8, 0, -1):
+        miss = 1 - (threshold / 100) ** root
+        trees = max(1, math.ceil(math.log(MISS) / math.log(miss))) if miss > 0 else 1
+        if trees * root <= HASHES:
+            return trees, root
+    raise ValueError(f"a threshold of {threshold} needs more than {HASHES} hashes")
+
+
+def sketch_bound(threshold: int) -> int:
+    """One-bit sketch positions of `HASHES` that must agree."""
+    p = (1 + threshold / 100) / 2
+    below = 0.0
+    for k in range(HASHES):
+        below += math.comb(HASHES, k) * p**k * (1 - p) ** (HASHES - k)
+        if below > SKETCH_MISS:
+            return k
+    return HASHES
+
 
 _SEEDS = np.random.default_rng(20_240_607).integers(1, 2**62, HASHES, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 _BLOCK = 1 << 18
@@ -82,29 +106,33 @@ def _digest(width: int) -> Callable:
     return run
 
 
-def _orders(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+def _orders(trees: int, root: int) -> Callable:
     """A row for each document and tree: region key, the rest of the sorted key, sketch."""
-    for batch in batches:
-        for part in (batch.slice(i, 2000) for i in range(0, batch.num_rows, 2000)):
-            n = part.num_rows
-            sig = np.frombuffer(b"".join(part.column(2).to_pylist()), np.uint32).reshape(n, HASHES)
-            s1, s2 = _one_bit(sig)
-            ids, size = part.column(0).to_numpy(zero_copy_only=False), part.column(1).to_numpy(zero_copy_only=False)
-            region, rest = [], []
-            for t in range(TREES):
-                at = [(t * ROOT + i) % HASHES for i in range(DEEP)]
-                root = np.ascontiguousarray(sig[:, at[:ROOT]])
-                region += [xxhash.xxh3_64_intdigest(r.tobytes(), t) - (1 << 63) for r in root]
-                rest += [r.tobytes() for r in sig[:, at[ROOT:]].astype(">u4")]
-            yield pa.RecordBatch.from_arrays(
-                [
-                    pa.array(np.repeat(np.arange(TREES, dtype="int32"), n)),
-                    pa.array(region, pa.int64()),
-                    pa.array(rest, pa.binary()),
-                    *(pa.array(np.tile(x.astype("int64"), TREES)) for x in (ids, size, s1, s2)),
-                ],
-                names=["tree", "region", "rest", "did", "n", "s1", "s2"],
-            )
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for part in (batch.slice(i, 2000) for i in range(0, batch.num_rows, 2000)):
+                n = part.num_rows
+                sig = np.frombuffer(b"".join(part.column(2).to_pylist()), np.uint32).reshape(n, HASHES)
+                s1, s2 = _one_bit(sig)
+                ids, size = part.column(0).to_numpy(zero_copy_only=False), part.column(1).to_numpy(zero_copy_only=False)
+                region, rest = [], []
+                for t in range(trees):
+                    at = [(t * root + i) % HASHES for i in range(root + REST)]
+                    head = np.ascontiguousarray(sig[:, at[:root]])
+                    region += [xxhash.xxh3_64_intdigest(r.tobytes(), t) - (1 << 63) for r in head]
+                    rest += [r.tobytes() for r in sig[:, at[root:]].astype(">u4")]
+                yield pa.RecordBatch.from_arrays(
+                    [
+                        pa.array(np.repeat(np.arange(trees, dtype="int32"), n)),
+                        pa.array(region, pa.int64()),
+                        pa.array(rest, pa.binary()),
+                        *(pa.array(np.tile(x.astype("int64"), trees)) for x in (ids, size, s1, s2)),
+                    ],
+                    names=["tree", "region", "rest", "did", "n", "s1", "s2"],
+                )
+
+    return run
 
 
 _BITS = np.array([bin(i).count("1") for i in range(1 << 16)], np.uint8)
@@ -116,6 +144,8 @@ def _agree(x: np.ndarray, y: np.ndarray) -> np.ndarray:
 
 def _neighbours(threshold: int) -> Callable:
     """Candidates among the rows of one sorted partition (all rows of a small region are in it)."""
+    root, bound = forest(threshold)[1], sketch_bound(threshold)
+    deep = root + REST
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[pa.RecordBatch] = []
@@ -127,11 +157,11 @@ def _neighbours(threshold: int) -> Callable:
             tree, region, did, size, s1, s2 = (
                 rows.column(c).to_numpy().astype("int64") for c in ("tree", "region", "did", "n", "s1", "s2")
             )
-            rest = np.frombuffer(b"".join(rows.column("rest").to_pylist()), ">u4").reshape(n, DEEP - ROOT)
+            rest = np.frombuffer(b"".join(rows.column("rest").to_pylist()), ">u4").reshape(n, REST)
             same = (tree[1:] == tree[:-1]) & (region[1:] == region[:-1])
-            lcp = np.where(same, ROOT + np.cumprod(rest[1:] == rest[:-1], axis=1).sum(axis=1), 0)
+            lcp = np.where(same, root + np.cumprod(rest[1:] == rest[:-1], axis=1).sum(axis=1), 0)
             run_size = {}
-            for depth in range(ROOT, DEEP + 1):
+            for depth in range(root, deep + 1):
                 run_id = np.concatenate([[0], np.cumsum(lcp < depth)])
                 run_size[depth] = np.bincount(run_id)[run_id]
             a, b = [np.empty(0, "int64")], [np.empty(0, "int64")]
@@ -139,15 +169,15 @@ def _neighbours(threshold: int) -> Callable:
             for o in range(1, SMALL):
                 if o > 1:
                     common = np.minimum(common[:-1], lcp[o - 1 :])
-                i = np.flatnonzero(common >= ROOT)
+                i = np.flatnonzero(common >= root)
                 i = i[i + o >= fresh]
                 if o > REACH and len(i):
-                    run = np.choose(common[i] - ROOT, [run_size[d][i] for d in range(ROOT, DEEP + 1)])
+                    run = np.choose(common[i] - root, [run_size[d][i] for d in range(root, deep + 1)])
                     i = i[run <= SMALL]
                 if len(i):
                     j = i + o
                     close = np.minimum(size[i], size[j]) * 100 >= threshold * np.maximum(size[i], size[j])
-                    close &= (did[i] != did[j]) & (_agree(s1[i], s1[j]) + _agree(s2[i], s2[j]) >= AGREE)
+                    close &= (did[i] != did[j]) & (_agree(s1[i], s1[j]) + _agree(s2[i], s2[j]) >= bound)
                     a.append(np.minimum(did[i], did[j])[close])
                     b.append(np.maximum(did[i], did[j])[close])
             return pa.RecordBatch.from_arrays([pa.array(np.concatenate(a)), pa.array(np.concatenate(b))], names=["a", "b"])
@@ -206,7 +236,9 @@ def near_duplicates(
     `width`-word shingles (lower-cased A-Z; words end at white space). A text of fewer words is
     one shingle; null, empty and blank texts have none and stay alone. `component_id` is the
     smallest id reachable. Rows that repeat an id are one node. A null id is no node: its
-    component_id is null and it is kept. Extra columns are ignored."""
+    component_id is null and it is kept. Extra columns are ignored. Orders and bounds
+    follow from `threshold`; below 11 they need too many hashes, which is a ValueError."""
+    forest(threshold)
     texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), utf8(text_col).alias("text"))
     base = written(
         texts.mapInArrow(lean(_digest(width)), "doc_id long, n_shingles long, set_key binary, signature binary"), "digests"
@@ -225,7 +257,7 @@ def near_duplicates(
         .where("first_id is null or first_id = doc_id")
         .select("doc_id", "n_shingles", "signature")
     )
-    rows = leads.mapInArrow(lean(_orders), "tree int, region long, rest binary, did long, n long, s1 long, s2 long")
+    rows = leads.mapInArrow(lean(_orders(*forest(threshold))), "tree int, region long, rest binary, did long, n long, s1 long, s2 long")
     sizes = rows.groupBy("tree", "region").agg(F.count("*").alias("region_rows")).where("region_rows > 1")
     shared = written(rows.join(sizes, ["tree", "region"]), "regions")
 
@@ -289,7 +321,7 @@ def _hub_pairs(members: DataFrame, links: DataFrame, nodes: DataFrame, threshold
     close = F.least("n", "h.n") * 100 >= F.greatest("n", "h.n") * threshold
     return (
         labelled.join(best, ["tree", "region"])
-        .where((F.col("component") != F.col("h.component")) & close & (agree >= AGREE))
+        .where((F.col("component") != F.col("h.component")) & close & (agree >= sketch_bound(threshold)))
         .select(F.least("did", "h.did").alias("a"), F.greatest("did", "h.did").alias("b"))
         .distinct()
     )

@@ -28,3 +28,10 @@ def test_stages_bear_odd_and_no_rows(spark, sf, odd_docs, no_docs):
         for _, stage in corpus_pipeline.STAGES:
             docs = stage(spark, docs, sf).cache()
             docs.count()
+
+
+def test_near_copies_from_080_leave(spark, sf):
+    """Sharing 16 of 20 shingles is a near copy here, 15 of 20 is not."""
+    words = [f"a{i}" for i in range(24)]
+    docs = spark.createDataFrame([(1, " ".join(words)), (2, " ".join(words[:20])), (3, " ".join(words[:19] + ["b"] * 5))], "doc_id long, text string")
+    assert {r["doc_id"] for r in corpus_pipeline.neardup_stage(spark, docs, sf).collect()} == {1, 3}
