@@ -238,7 +238,7 @@ def near_duplicates(
     smallest id reachable. Rows that repeat an id are one node. A null id is no node: its
     component_id is null and it is kept. Extra columns are ignored. Orders and bounds
     follow from `threshold`; below 11 they need too many hashes, which is a ValueError."""
-    forest(threshold)
+    forest(threshold)  # refuses thresholds that it cannot serve before any work
     texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), utf8(text_col).alias("text"))
     base = written(
         texts.mapInArrow(lean(_digest(width)), "doc_id long, n_shingles long, set_key binary, signature binary"), "digests"

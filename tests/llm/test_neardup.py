@@ -1,6 +1,7 @@
 from __future__ import annotations
 
 import numpy as np
+import pytest
 
 from rowloom.llm import neardup, setjoin
 from rowloom.llm.components import connected_components
@@ -126,6 +127,17 @@ def test_the_threshold_is_exact(spark):
     same(spark.createDataFrame(rows, "doc_id long, text string"), rows)
 
 
+def test_orders_follow_the_threshold():
+    assert neardup.forest(85) == (24, 5)
+    for t in range(11, 101):
+        trees, root = neardup.forest(t)
+        assert trees * root <= neardup.HASHES and (1 - (t / 100) ** root) ** trees <= neardup.MISS
+        assert neardup.sketch_bound(t) <= neardup.HASHES * (1 + t / 100) / 2
+    for t in (0, 10, 101):
+        with pytest.raises(ValueError):
+            neardup.near_duplicates(None, threshold=t)
+
+
 def test_components(spark):
     rng = np.random.default_rng(4)
     links = [(int(a), int(b)) for a, b in rng.integers(0, 300, (260, 2))] + [(1, 1), (None, 2)] + [(i, i + 1) for i in range(1000, 1100)]
