@@ -72,13 +72,19 @@ def stream_running_runs(spark: SparkSession, sf_dir: str) -> DataFrame:
     return updates.withColumn("rn", F.row_number().over(last)).where("rn = 1").drop("rn")
 
 
+def _deal_reversed(events: DataFrame, path: str) -> None:
+    """All events as three files, late days of the month first; rows without a time go with the last."""
+    day = F.coalesce(F.dayofmonth("ts"), F.lit(1))
+    for low, high in ((20, 32), (10, 20), (1, 10)):
+        events.where((day >= low) & (day < high)).coalesce(1).write.mode("append").parquet(path)
+
+
 @query("stream_late_rows", "SELECT true AS dropped_some, true AS none_doubled")
 def stream_late_rows(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Files in reverse time order: rows behind the watermark are dropped, and no row counts twice."""
     path = scratch_path(spark, "late")
     events = read_table(spark, sf_dir, "events").select("event_id", "ts", "user_id", "event_type", "value", "props")
-    for day in (20, 10, 1):
-        events.where((F.dayofmonth("ts") >= day) & (F.dayofmonth("ts") < day + 5)).coalesce(1).write.mode("append").parquet(path)
+    _deal_reversed(events, path)
     total = spark.read.parquet(path).count()
     stream = X.tumbling(X.event_stream(spark, path), late="1 hour")
     got = _drained(spark, stream, "append").agg(F.coalesce(F.sum("n"), F.lit(0)).alias("n"))

@@ -48,3 +48,13 @@ def test_the_rest_stands_without_the_training_data_operators(tmp_path):
     code = "import __spark_entry__ as e; q = e.queries(); assert 'order_interleave' in q and not any(n.startswith('op') and n[2].isdigit() for n in q); print(len(q))"
     done = subprocess.run([sys.executable, "-c", code], cwd=tmp_path, capture_output=True, text=True, check=False)
     assert done.returncode == 0, done.stderr
+
+
+def test_late_rows_deal_all_events(spark, tmp_path):
+    from rowloom.plans.streams import _deal_reversed, stream_late_rows
+
+    sf = "/root/testdata/sf0.001"
+    events = spark.read.parquet(f"{sf}/events.parquet")
+    _deal_reversed(events, str(tmp_path / "late"))
+    assert spark.read.parquet(str(tmp_path / "late")).count() == events.count()
+    assert stream_late_rows(spark, sf).collect() == [(True, True)]
