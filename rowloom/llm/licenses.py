@@ -1,8 +1,9 @@
 """Licence scans with a generalised suffix automaton of licence tokens.
 
 A file's words are streamed through the automaton; its matching statistics (the longest template
-substring that ends at each word) give base phrases and maximal matches, and long matches are
-chained into covered template spans."""
+substring that ends at each word, and through the suffix links the longest of each template) give
+base phrases and the maximal matches of every template, and long matches are chained into covered
+template spans."""
 
 from __future__ import annotations
 
@@ -139,36 +140,51 @@ class LicenseScanner:
         self.phrases = [
             [k for k, i in ends if k < self.n_base and i == self.sizes[k] - 1] for ends in self.automaton.ends
         ]
+        self.need = [min(MIN_MATCH, n) for n in self.sizes]
         self.shortest = min([MIN_MATCH, *self.sizes])
+        #: The word that follows each word of a template; -2 after its last.
+        self.following = [[*(self.vocabulary[w] for w in s[1:]), -2] for s in split]
+        #: For each state, places of its suffixes in templates where the state itself does not end.
+        self.inner: list[list[tuple[int, int, int]]] = [[] for _ in self.automaton.link]
+        for state in sorted(range(1, len(self.automaton.link)), key=self.automaton.length.__getitem__):
+            up = self.automaton.link[state]
+            length, own = self.automaton.length[up], set(self.automaton.ends[state])
+            fresh = [(k, e, length) for k, e in self.automaton.ends[up] if (k, e) not in own and length >= self.need[k]]
+            known = {(k, e) for k, e, _ in fresh} | own
+            self.inner[state] = fresh + [x for x in self.inner[up] if x[:2] not in known]
 
     def scan(self, words: list[bytes]) -> tuple[list[tuple[int, int]], list[Span]]:
         """(phrase, first word) of every base phrase's places, and the chained spans of the templates."""
-        n, places, matches = len(words), [], []
+        n, places = len(words), []
+        matches: dict[int, list[tuple[int, int, int]]] = {}
         known = np.fromiter((self.vocabulary.get(w, -1) for w in words), "int64", n)
         inside = np.concatenate([[False], known >= 0, [False]])
         edges = np.flatnonzero(inside[1:] != inside[:-1]).reshape(-1, 2)
-        step, sizes = self.automaton.step, self.sizes
+        step, sizes, need, following = self.automaton.step, self.sizes, self.need, self.following
         for a, b in edges[edges[:, 1] - edges[:, 0] >= self.shortest].tolist():
             state = length = 0
-            for i in range(a, b + 1):
-                before, was = state, length
-                state, length = step(state, length, int(known[i])) if i < b else (0, 0)
-                if was and length <= was:
-                    matches.append((i - was, was, before))
+            run = [*known[a:b].tolist(), -1]
+            for i in range(b - a):
+                state, length = step(state, length, run[i])
+                if length < self.shortest:
+                    continue
                 for k in self.phrases[state]:
                     if length >= sizes[k]:
-                        places.append((k, i - sizes[k] + 1))
+                        places.append((k, a + i - sizes[k] + 1))
+                # a match ends for a template where its next word is not the file's
+                after = run[i + 1]
+                for k, e in self.automaton.ends[state]:
+                    if following[k][e] != after and length >= need[k]:
+                        matches.setdefault(k, []).append((a + i - length + 1, e - length + 1, length))
+                for k, e, m in self.inner[state]:
+                    if following[k][e] != after:
+                        matches.setdefault(k, []).append((a + i - m + 1, e - m + 1, m))
         return places, self._chains(matches)
 
-    def _chains(self, matches: list[tuple[int, int, int]]) -> list[Span]:
+    def _chains(self, matches: dict[int, list[tuple[int, int, int]]]) -> list[Span]:
         """Per template: matches in file order, those near each other chained along the template."""
-        by: dict[int, list[tuple[int, int, int]]] = {}
-        for first, length, state in matches:
-            for k, end in self.automaton.ends[state]:
-                if length >= min(MIN_MATCH, self.sizes[k]):
-                    by.setdefault(k, []).append((first, end - length + 1, length))
         spans = []
-        for k, found in by.items():
+        for k, found in matches.items():
             found.sort()
             group: list[tuple[int, int, int]] = []
             reach = -1
@@ -182,27 +198,28 @@ class LicenseScanner:
         return sorted((s for s in spans if s.covered >= COVERED), key=lambda s: (s.first, s.last, s.label))
 
     def _best(self, k: int, group: list[tuple[int, int, int]]) -> list[Span]:
-        """The chain with most covered words, by a prefix-maximum tree over template positions."""
+        """The chain with most covered words: words of the matches that rise in the file and in the
+        template, so that matches which overlap are cut. A prefix-maximum tree over template positions
+        has the best chain up to each."""
         size = self.sizes[k]
         tree: list[tuple[int, int, int]] = [(0, 0, 0)] * (size + 1)
-
-        def ahead(i: int) -> tuple[int, int, int]:
-            best = (0, 0, 0)
-            while i > 0:
-                best = max(best, tree[i])
-                i -= i & -i
-            return best
-
+        words = sorted({(first + j, -at - j) for first, at, length in group for j in range(length)})
         top = (0, 0, 0)
-        for first, at, length in group:
-            gained, start, _ = ahead(at)
-            chain = (gained + length, start if gained else -first, first + length - 1)
-            top = max(top, chain)
-            i = at + length
-            while i <= size:
-                tree[i] = max(tree[i], chain)
-                i += i & -i
-        return [Span(self.labels[k], -top[1], top[2], top[0] / size)] if top[0] else []
+        for i, minus in words:
+            at = -minus
+            best, j = (0, 0, 0), at
+            while j > 0:
+                best = max(best, tree[j])
+                j -= j & -j
+            # of equally long chains, that which starts first
+            chain = (best[0] + 1, best[1] if best[0] else -i, -i)
+            if chain > top:
+                top = chain
+            j = at + 1
+            while j <= size and tree[j] < chain:
+                tree[j] = chain
+                j += j & -j
+        return [Span(self.labels[k], -top[1], -top[2], top[0] / size)] if top[0] else []
 
 
 def scan_licenses(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", spans: bool = True) -> DataFrame:

@@ -54,6 +54,71 @@ def test_a_changed_licence_is_one_chain():
     assert spans[0].covered > 0.9 and spans[0].first == 2
 
 
+def brute_spans(scanner, templates, words):
+    """Per template: all maximal matches by comparing every pair of places, groups by gap, and the longest
+    common rising chain of their words by the quadratic recurrence."""
+    spans = []
+    for label, text in templates.items():
+        t = text.split()
+        need = min(licenses.MIN_MATCH, len(t))
+        found = []
+        for i in range(len(words)):
+            for j in range(len(t)):
+                if words[i] == t[j] and (i == 0 or j == 0 or words[i - 1] != t[j - 1]):
+                    n = 1
+                    while i + n < len(words) and j + n < len(t) and words[i + n] == t[j + n]:
+                        n += 1
+                    if n >= need:
+                        found.append((i, j, n))
+        found.sort()
+        groups, reach = [], -1
+        for m in found:
+            if not groups or m[0] > reach + licenses.MAX_GAP:
+                groups.append([])
+            groups[-1].append(m)
+            reach = max(reach, m[0] + m[2])
+        for group in groups:
+            cells = {(i + x, j + x) for i, j, n in group for x in range(n)}
+            rows, cols = max(i for i, _ in cells) + 1, len(t)
+            best = [[0] * (cols + 1) for _ in range(rows + 1)]
+            for i in range(rows):
+                for j in range(cols):
+                    best[i + 1][j + 1] = max(best[i][j + 1], best[i + 1][j], best[i][j] + 1 if (i, j) in cells else 0)
+            if best[rows][cols] / len(t) >= licenses.COVERED:
+                spans.append((label, round(best[rows][cols] / len(t), 9)))
+    return sorted(spans)
+
+
+@settings(max_examples=150, deadline=None)
+@given(
+    st.lists(st.lists(st.sampled_from("a b c d".split()), min_size=1, max_size=9), min_size=1, max_size=4),
+    st.lists(st.sampled_from("a b c d e".split()), max_size=40),
+    st.integers(0, 6),
+)
+def test_chains_match_brute_force_over_overlapping_templates(templates, words, gap):
+    named = {f"t{i}": " ".join(t) for i, t in enumerate(templates)}
+    old, licenses.MAX_GAP = licenses.MAX_GAP, gap
+    try:
+        scanner = licenses.LicenseScanner({}, named)
+        _, spans = scanner.scan([w.encode() for w in words])
+        assert sorted((s.label, round(s.covered, 9)) for s in spans) == brute_spans(scanner, named, words)
+    finally:
+        licenses.MAX_GAP = old
+
+
+def test_a_template_inside_a_longer_match_is_found():
+    scanner = licenses.LicenseScanner({}, {"A": "a b c d e f g h", "B": "x c d e f"})
+    _, spans = scanner.scan(b"a b c d e f g h".split())
+    assert [(s.label, s.covered, s.first, s.last) for s in spans] == [("A", 1.0, 0, 7), ("B", 0.8, 2, 5)]
+
+
+def test_a_word_is_covered_once():
+    """A phrase that a template has twice covers only half of it; a doubled word in a text costs nothing."""
+    scanner = licenses.LicenseScanner({}, {"twice": "a b c d a b c d", "long": "e f g h i j k l"})
+    assert [s.label for s in scanner.scan(b"a b c d".split())[1]] == []
+    assert [(s.label, s.covered) for s in scanner.scan(b"e f g h h i j k l".split())[1]] == [("long", 1.0)]
+
+
 def test_odd_rows(odd_docs, no_docs):
     rows = {(r["doc_id"], r["n_words"]): r for r in licenses.scan_licenses(odd_docs).collect()}
     assert licenses.scan_licenses(odd_docs).count() == odd_docs.count()
