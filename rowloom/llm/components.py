@@ -8,7 +8,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from rowloom.llm.shared import written
+from rowloom.llm.shared import discard, spread_join, written
 
 
 def _forest(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -32,18 +32,17 @@ def _forest(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         yield pd.DataFrame({"a": [root(x) for x in nodes], "b": nodes}, dtype="int64")
 
 
-def _large(edges: DataFrame) -> DataFrame:
+def _large(edges: DataFrame, n: int) -> DataFrame:
     both = edges.union(edges.select(F.col("b").alias("a"), F.col("a").alias("b")))
-    least = both.groupBy("a").agg(F.least(F.min("b"), F.first("a")).alias("m"))
-    return (
-        both.where("b > a").join(least, "a").select(F.col("m").alias("a"), "b").where("a < b").distinct()
-    )
+    least = both.groupBy("a").agg(F.least(F.min("b"), F.first("a")).alias("m"), F.count("*").alias("w"))
+    larger = both.where("b > a")
+    return spread_join(larger, least, ["a"], "w", 2 * n).select(F.col("m").alias("a"), "b").where("a < b").distinct()
 
 
-def _small(edges: DataFrame) -> DataFrame:
-    least = edges.groupBy("b").agg(F.min("a").alias("m"))
+def _small(edges: DataFrame, n: int) -> DataFrame:
+    least = edges.groupBy("b").agg(F.min("a").alias("m"), F.count("*").alias("w"))
     return (
-        edges.join(least, "b")
+        spread_join(edges, least, ["b"], "w", n)
         .select(F.col("m").alias("a"), F.explode(F.array("a", "b")).alias("b"))
         .where("a < b")
         .distinct()
@@ -55,7 +54,8 @@ def connected_components(links: DataFrame) -> DataFrame:
 
     Self links and nulls are ignored; an empty table gives an empty result. The state is a
     written table after each round, every round is a fixed number of hash joins and
-    map-side-combined minima, and rounds end when the stars no longer change."""
+    map-side-combined minima, and rounds end when the stars no longer change. The links of a node
+    with many of them are not gathered: such nodes are few, and their minima are broadcast."""
     edges = links.where("a is not null and b is not null and a <> b").select(
         F.least("a", "b").cast("long").alias("a"), F.greatest("a", "b").cast("long").alias("b")
     )
@@ -66,7 +66,10 @@ def connected_components(links: DataFrame) -> DataFrame:
 
     before = mark(edges)
     while before[0]:
-        edges = written(_small(_large(edges)), "stars")
+        stars = written(_large(edges, before[0]), "stars")
+        n = stars.count()
+        edges, old = written(_small(stars, n), "stars"), edges
+        discard(old, stars)
         after = mark(edges)
         if after == before:
             break

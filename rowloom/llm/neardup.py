@@ -6,9 +6,10 @@ Scale notes. Equal shingle sets collapse before any pairing, through a map-side-
 minimum. Regions of one document never leave the first count. What is paired is sorted by a
 range exchange, so a dense region is cut over tasks; a document meets a bounded number of
 neighbours in each order, and the members of a dense region the best-linked one. What is left of
-regions with several components is joined exactly (`setjoin`), which is complete and so costs the
-square of a bucket of sets that share a rare shingle and no component. No group is gathered in one task, and nothing
-that grows with the corpus goes to the driver."""
+regions with several components is joined exactly (`setjoin`), which is complete (so neighbours
+that a task's border parts are found there) and costs the square of a bucket of sets that share a
+rare shingle and no component. Frequent keys are dealt over tasks (`spread_join`), no group is
+gathered in one task, and nothing that grows with the corpus goes to the driver."""
 
 from __future__ import annotations
 
@@ -24,7 +25,7 @@ from pyspark.sql import functions as F
 
 from rowloom.llm.components import connected_components
 from rowloom.llm.setjoin import component_links
-from rowloom.llm.shared import lean, utf8, written
+from rowloom.llm.shared import discard, lean, spread_join, utf8, written
 from rowloom.llm.shingles import WordHasher, shingle_set, split_words
 
 #: Hash functions; hashes of a full sorted key after those of the region's key.
@@ -243,23 +244,21 @@ def near_duplicates(
     base = written(
         texts.mapInArrow(lean(_digest(width)), "doc_id long, n_shingles long, set_key binary, signature binary"), "digests"
     )
-    copies = (
-        base.where("set_key is not null and doc_id is not null")
-        .groupBy("set_key")
-        .agg(F.min("doc_id").alias("first_id"), F.count("*").alias("copies"))
-        .where("copies > 1")
-        .select("set_key", "first_id")
+    own = base.where("set_key is not null and doc_id is not null")
+    n_docs = own.count()
+    copies = written(
+        own.groupBy("set_key").agg(F.min("doc_id").alias("first_id"), F.count("*").alias("copies")).where("copies > 1"), "copies"
     )
-    copies = written(copies, "copies")
     leads = (
-        base.where("set_key is not null and doc_id is not null")
-        .join(copies, "set_key", "left")
+        spread_join(own.select("doc_id", "n_shingles", "set_key", "signature"), copies, ["set_key"], "copies", n_docs, outer=True)
         .where("first_id is null or first_id = doc_id")
         .select("doc_id", "n_shingles", "signature")
     )
-    rows = leads.mapInArrow(lean(_orders(*forest(threshold))), "tree int, region long, rest binary, did long, n long, s1 long, s2 long")
-    sizes = rows.groupBy("tree", "region").agg(F.count("*").alias("region_rows")).where("region_rows > 1")
-    shared = written(rows.join(sizes, ["tree", "region"]), "regions")
+    trees, root = forest(threshold)
+    rows = leads.mapInArrow(lean(_orders(trees, root)), "tree int, region long, rest binary, did long, n long, s1 long, s2 long")
+    sizes = written(rows.groupBy("tree", "region").agg(F.count("*").alias("region_rows")).where("region_rows > 1"), "sizes")
+    # at most HEAVY frequent regions in each tree
+    shared = written(spread_join(rows, sizes, ["tree", "region"], "region_rows", n_docs), "regions")
 
     order = ["tree", "region", "rest", "did"]
     cols = ["tree", "region", "rest", "did", "n", "s1", "s2"]
@@ -269,58 +268,71 @@ def near_duplicates(
     crowd = dense.select(cols).repartitionByRange(*order).sortWithinPartitions(*order)
     found = written(found.union(crowd.mapInArrow(lean(_neighbours(threshold)), "a long, b long")).distinct(), "candidates")
 
-    members = written(dense.groupBy("tree", "region", "did").agg(F.first("n").alias("n"), F.first("s1").alias("s1"), F.first("s2").alias("s2")), "dense")
+    members = written(
+        dense.groupBy("tree", "region", "did").agg(*[F.first(c).alias(c) for c in ("n", "s1", "s2")]), "dense"
+    )
     needed = found.select(F.explode(F.array("a", "b")).alias("did")).union(members.select("did")).distinct()
     # both sides are dealt by id at every size, so that cost grows with the input
     sets = written(
         texts.withColumnRenamed("doc_id", "did").join(needed.hint("merge"), "did", "left_semi").mapInArrow(lean(_sets(width)), "did long, members binary"),
         "sets",
     )
-    links = written(_confirm(found, sets, threshold), "links")
-    nodes = written(connected_components(links), "nodes")
+    discard(sizes, shared)
+    near = written(_confirm(found, sets, threshold), "links")
+    nodes = written(connected_components(near), "nodes")
 
-    hubbed = written(_hub_pairs(members, links, nodes, threshold), "hub_pairs")
-    links = written(links.union(_confirm(hubbed, sets, threshold)).distinct(), "links")
-    nodes = written(connected_components(links), "nodes")
+    hubbed = written(_hub_pairs(members, near, nodes, threshold, n_docs), "hub_pairs")
+    links = written(near.union(_confirm(hubbed, sets, threshold)).distinct(), "links")
+    again = written(connected_components(links), "nodes")
+    discard(found, near, nodes, hubbed)
 
-    more = written(component_links(_mixed(members, nodes), sets, threshold), "links")
+    more = written(component_links(_mixed(members, again, n_docs), sets, threshold), "links")
     nodes = written(connected_components(links.union(more)), "nodes")
+    discard(members, sets, links, again, more)
 
-    lead = F.coalesce("first_id", "doc_id")
-    return (
-        base.select("doc_id", "n_shingles", "set_key")
-        .join(copies, "set_key", "left")
-        .select("doc_id", "n_shingles", lead.alias("node"))
-        .join(nodes, "node", "left")
-        .select("doc_id", "n_shingles", F.coalesce("component", "node").alias("component_id"))
-        .withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))
+    # rows without a set or an id are alone
+    alone = base.where("set_key is null or doc_id is null").select("doc_id", "n_shingles", F.col("doc_id").alias("component_id"))
+    grouped = (
+        spread_join(own.select("doc_id", "n_shingles", "set_key"), copies, ["set_key"], "copies", n_docs, outer=True)
+        .select("doc_id", "n_shingles", F.coalesce("first_id", "doc_id").alias("node"))
     )
+    # a node is as frequent as its set
+    weights = copies.groupBy(F.col("first_id").alias("node")).agg(F.sum("copies").alias("w"))
+    named = nodes.join(weights, "node", "left").withColumn("w", F.coalesce("w", F.lit(1)))
+    linked = spread_join(grouped, named, ["node"], "w", n_docs, outer=True).select(
+        "doc_id", "n_shingles", F.coalesce("component", "node").alias("component_id")
+    )
+    return linked.union(alone).withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))
 
 
-def _mixed(members: DataFrame, nodes: DataFrame) -> DataFrame:
+def _mixed(members: DataFrame, nodes: DataFrame, n_docs: int) -> DataFrame:
     """(did, component) of the members of dense regions that hold more than one component."""
     labelled = members.join(nodes.withColumnRenamed("node", "did"), "did", "left").select(
         "tree", "region", "did", F.coalesce("component", "did").alias("component")
     )
-    regions = labelled.groupBy("tree", "region").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).where("lo <> hi")
-    return labelled.join(regions, ["tree", "region"], "left_semi").select("did", "component").distinct()
+    regions = (
+        labelled.groupBy("tree", "region")
+        .agg(F.min("component").alias("lo"), F.max("component").alias("hi"), F.count("*").alias("w"))
+        .where("lo <> hi")
+    )
+    return spread_join(labelled, regions, ["tree", "region"], "w", n_docs).select("did", "component").distinct()
 
 
-def _hub_pairs(members: DataFrame, links: DataFrame, nodes: DataFrame, threshold: int) -> DataFrame:
+def _hub_pairs(members: DataFrame, links: DataFrame, nodes: DataFrame, threshold: int, n_docs: int) -> DataFrame:
     """Members of dense regions against the best-linked member of their region if it is in another component."""
     degree = links.select(F.explode(F.array("a", "b")).alias("did")).groupBy("did").agg(F.count("*").alias("degree"))
     labelled = (
         members.join(degree, "did", "left")
         .join(nodes.withColumnRenamed("node", "did"), "did", "left")
-        .select(*members.columns, F.coalesce("degree", F.lit(0)).alias("degree"), F.coalesce("component", "did").alias("component"))
+        .select("tree", "region", "did", "n", "s1", "s2", F.coalesce("degree", F.lit(0)).alias("degree"), F.coalesce("component", "did").alias("component"))
     )
     best = labelled.groupBy("tree", "region").agg(
-        F.expr("max_by(struct(did, n, s1, s2, component), struct(degree, -did))").alias("h")
+        F.expr("max_by(struct(did, n, s1, s2, component), struct(degree, -did))").alias("h"), F.count("*").alias("w")
     )
     agree = F.lit(128) - F.bit_count(F.col("s1").bitwiseXOR(F.col("h.s1"))) - F.bit_count(F.col("s2").bitwiseXOR(F.col("h.s2")))
     close = F.least("n", "h.n") * 100 >= F.greatest("n", "h.n") * threshold
     return (
-        labelled.join(best, ["tree", "region"])
+        spread_join(labelled, best, ["tree", "region"], "w", n_docs)
         .where((F.col("component") != F.col("h.component")) & close & (agree >= sketch_bound(threshold)))
         .select(F.least("did", "h.did").alias("a"), F.greatest("did", "h.did").alias("b"))
         .distinct()

@@ -15,10 +15,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from rowloom.llm.shared import lean, written
+from rowloom.llm.shared import discard, lean, spread_join, written
 
 #: A chunk's sets and shingles, on average, and the shingles of one overlap product.
-CHUNK_SETS, CHUNK_SHINGLES, SLICE = 512, 200_000, 4096
+CHUNK_SETS, CHUNK_SHINGLES, SLICE = 256, 100_000, 4096
 
 
 def _tokens(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -113,6 +113,7 @@ def component_links(crowd: DataFrame, sets: DataFrame, threshold: int) -> DataFr
     items = written(items.where("length(members) > 0"), "items")
     tokens = items.mapInArrow(lean(_tokens), "item long, component long, token long")
     # the holders' digest is the bucket: shingles that the same sets hold need one only
+    held = items.count()
     live = (
         tokens.groupBy("token")
         .agg(F.count("*").alias("df"), F.min("component").alias("lo"), F.max("component").alias("hi"), F.bit_xor(F.xxhash64("item")).alias("key"))
@@ -121,7 +122,7 @@ def component_links(crowd: DataFrame, sets: DataFrame, threshold: int) -> DataFr
     )
     n = F.expr("cast(length(members) div 8 as bigint)")
     ranked = (
-        tokens.select("item", "token").join(live, "token")
+        spread_join(tokens.select("item", "token"), live, ["token"], "df", held)
         .groupBy("item").agg(F.sort_array(F.collect_list(F.struct("df", "key"))).alias("live"))
         .join(items.select("item", "component", n.alias("n")), "item")
         .withColumn("keep", F.expr(f"cast(size(live) - (n * {threshold} + 99) div 100 + 1 as int)"))
@@ -143,6 +144,7 @@ def component_links(crowd: DataFrame, sets: DataFrame, threshold: int) -> DataFr
         .select(
             "b.key",
             F.col("b.top.component").alias("most"),
+            "m",
             F.expr(f"m <= {CHUNK_SETS} and b.w <= {CHUNK_SHINGLES}").alias("whole"),
             F.expr(f"cast(greatest(ceil((m - b.top.m) / {CHUNK_SETS}), ceil((b.w - b.top.w) / {CHUNK_SHINGLES})) as int)").alias("rest"),
             F.expr(f"cast(greatest(ceil(b.top.m / {CHUNK_SETS}), ceil(b.top.w / {CHUNK_SHINGLES})) as int)").alias("tops"),
@@ -154,7 +156,7 @@ def component_links(crowd: DataFrame, sets: DataFrame, threshold: int) -> DataFr
         ELSE concat(transform(sequence(0, rest - 1), s -> named_struct('i', least(s, salt), 'j', greatest(s, salt), 'side', if(s < salt, 1, 0))),
                     transform(sequence(0, tops - 1), g -> named_struct('i', salt, 'j', rest + g, 'side', 0))) END""")
     placed = (
-        postings.select("item", "component", "key").join(buckets, "key")
+        spread_join(postings.select("item", "component", "key"), buckets, ["key"], "m", held)
         .withColumn("salt", F.expr("cast(pmod(xxhash64(item, key, 2), if(component = most, tops, rest)) as int)"))
         .select("item", "component", "key", F.explode(place).alias("at"))
         .select("item", "component", "key", "at.i", "at.j", "at.side")
@@ -162,4 +164,6 @@ def component_links(crowd: DataFrame, sets: DataFrame, threshold: int) -> DataFr
         .select("component", "key", "i", "j", "side", "members")
     )
     blocks = placed.repartition("key", "i", "j").sortWithinPartitions("key", "i", "j")
-    return blocks.mapInArrow(lean(_blocks(threshold)), "a long, b long").distinct()
+    found = written(blocks.mapInArrow(lean(_blocks(threshold)), "a long, b long").distinct(), "joined")
+    discard(items, postings)
+    return found

@@ -17,10 +17,13 @@ _FOLDERS: set[str] = set()
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder of `spark.checkpoint.dir`; a temporary one is set only where the session has none."""
+    """The folder of `spark.checkpoint.dir`. Where a local session has none, a temporary one is set;
+    a cluster without one is an error, since its executors share no local folder."""
     sc = spark.sparkContext
     folder = sc.getConf().get("spark.checkpoint.dir") or sc.getCheckpointDir()
     if not folder:
+        if not sc.master.split("[")[0] == "local":
+            raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
         folder = tempfile.mkdtemp(prefix="rowloom-")
         sc.setCheckpointDir(folder)
     return folder
@@ -46,7 +49,38 @@ def written(df: DataFrame, name: str) -> DataFrame:
         atexit.register(_remove, spark, top)
     path = f"{top}/{name}-{uuid.uuid4().hex[:12]}"
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._rowloom_path = path
+    return out
+
+
+def discard(*tables: DataFrame) -> None:
+    """Deletes tables of `written` that nothing will read again."""
+    for t in tables:
+        path = getattr(t, "_rowloom_path", None)
+        if path:
+            _remove(t.sparkSession, path)
+
+
+#: A key with more than 1 / HEAVY of all rows is joined by broadcast: there are fewer than HEAVY of them.
+HEAVY = 1000
+
+
+def spread_join(left: DataFrame, right: DataFrame, keys: list[str], weight: str, total: int, outer: bool = False) -> DataFrame:
+    """An inner (or left outer) join on `keys` with `right`, which has each key once and in `weight` how
+    many rows of `left` have it; no task gets all rows of a frequent key.
+
+    Keys with more than total / HEAVY rows, fewer than HEAVY of them, are broadcast, and their rows are dealt
+    by a hash of all their columns in place of the key. `left` is read once; its keys are not null."""
+    fields = [f for f in right.schema.fields if f.name not in keys]
+    heavy = right.where(F.col(weight) * HEAVY > total).select(*keys, F.struct(*[f.name for f in fields]).alias("__heavy"))
+    light = right.where(F.col(weight) * HEAVY <= total).select(*keys, F.lit(0).cast("long").alias("__salt"), F.struct(*[f.name for f in fields]).alias("__light"))
+    dealt = left.join(F.broadcast(heavy), keys, "left").withColumn(
+        "__salt", F.when(F.col("__heavy").isNull(), F.lit(0).cast("long")).otherwise(F.xxhash64(*left.columns).bitwiseOR(F.lit(1)))
+    )
+    both = dealt.join(light, [*keys, "__salt"], "left").withColumn("__found", F.coalesce("__heavy", "__light"))
+    both = both if outer else both.where("__found is not null")
+    return both.select(*[F.col(c) for c in left.columns], *[F.col(f"__found.{f.name}").alias(f.name) for f in fields])
 
 
 def utf8(col: Column | str) -> Column:
