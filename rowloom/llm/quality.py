@@ -70,6 +70,10 @@ def statistics(text: bytes) -> list[float]:
     ]
 
 
+#: Sums are taken about the statistics of an ordinary sentence, so that second moments do not cancel.
+ORIGIN = np.array(statistics(b"The first of many ordinary sentences, with a few common words in it.\nAnd a second one.\n"))
+
+
 @dataclass
 class Discriminant:
     """Class means, Cholesky factors of their shrunken covariances, and log priors."""
@@ -95,8 +99,9 @@ class Discriminant:
         return 1.0 / (1.0 + np.exp(np.clip(log[0] - log[1], -60.0, 60.0)))
 
 
-def solve(counts: np.ndarray, sums: np.ndarray, products: np.ndarray) -> Discriminant:
-    """The discriminant of per-class counts, sums and sums of outer products. A class without rows gets the pooled moments."""
+def solve(counts: np.ndarray, sums: np.ndarray, products: np.ndarray, origin: np.ndarray) -> Discriminant:
+    """The discriminant of per-class counts, sums and sums of outer products about `origin`. A class
+    without rows gets the pooled moments."""
     d = sums.shape[1]
     n = counts.sum()
     centre = sums.sum(axis=0) / max(n, 1.0)
@@ -116,7 +121,7 @@ def solve(counts: np.ndarray, sums: np.ndarray, products: np.ndarray) -> Discrim
         cov = (1 - RIDGE) * cov + RIDGE * max(np.trace(cov) / d, 1e-3) * np.eye(d)
         factors.append(np.linalg.cholesky(cov + 1e-9 * np.eye(d)))
     priors = np.log((counts + 1.0) / (n + 2.0))
-    return Discriminant(means, np.stack(factors), priors, centre, scale)
+    return Discriminant(means, np.stack(factors), priors, origin + centre, scale)
 
 
 def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Discriminant:
@@ -136,7 +141,7 @@ def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
         sums = np.zeros((2, 1 + d + d * d))
         for pdf in batches:
             y = pdf["label"].to_numpy()
-            x = np.frombuffer(b"".join(pdf["x"]), "float64").reshape(len(pdf), d)
+            x = np.frombuffer(b"".join(pdf["x"]), "float64").reshape(len(pdf), d) - ORIGIN
             for k in (0, 1):
                 z = x[y == k]
                 sums[k] += np.concatenate([[len(z)], z.sum(axis=0), (z.T @ z).ravel()])
@@ -156,7 +161,7 @@ def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
     )
     grid = np.zeros((2, 1 + d + d * d))
     grid[parts["label"].to_numpy("int64"), parts["i"].to_numpy("int64")] = parts["v"]
-    return solve(grid[:, 0], grid[:, 1 : 1 + d], grid[:, 1 + d :].reshape(2, d, d))
+    return solve(grid[:, 0], grid[:, 1 : 1 + d], grid[:, 1 + d :].reshape(2, d, d), ORIGIN)
 
 
 def score(docs: DataFrame, model: Discriminant, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
