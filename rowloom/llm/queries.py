@@ -41,7 +41,7 @@ def op5_quadratic_discriminant(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op6_arc_to_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     back = archive.read_archives(archive.write_archives(table(spark, sf_dir, "pages")))
-    return back.select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
+    return back.where("record_type <> 'warcinfo'").select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
 
 
 def op7_sampled_splitters(spark: SparkSession, sf_dir: str) -> DataFrame:
