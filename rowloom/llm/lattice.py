@@ -3,8 +3,9 @@ text over all its segmentations into pieces of an existing subword vocabulary.
 
 A piece never crosses a word start, so a text's lattice is a chain of word lattices: a word's
 marginal is computed once for each distinct word of the corpus, by a forward recursion in log
-space, and a text's is their sum. The vocabulary's own scores are merge ranks; its pieces are
-weighted by how often they occur in the training texts, with one added to each."""
+space, and a text's is their sum. The vocabulary's own scores are merge ranks, not probabilities:
+its pieces are weighted by how often they are expected over all segmentations of the training words,
+a step of expectation maximisation from the counts of the best segmentations, with one added to each."""
 
 from __future__ import annotations
 
@@ -17,7 +18,6 @@ from pathlib import Path
 
 import numpy as np
 import pyarrow as pa
-import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -29,6 +29,8 @@ FOLDS, FOLD = 7, 2
 HEAD_WORDS = 1 << 18
 #: Distinct words that a task counts before it passes them on.
 COUNTED = 300_000
+#: Parts of one occurrence that expected counts are summed in: integers, so that no order of tasks matters.
+PARTS = 1 << 16
 _LOG10 = math.log(10.0)
 
 
@@ -37,10 +39,6 @@ def tokens(text: bytes) -> list[bytes]:
     return text.lower().split()
 
 
-def word_key(word: bytes) -> int:
-    return xxhash.xxh3_64_intdigest(word) - (1 << 63)
-
-
 @dataclass
 class PieceModel:
     """Natural-log weights of pieces, single bytes and the end of a text."""
@@ -53,8 +51,8 @@ class PieceModel:
         self.prefixes = {p[:i] for p in self.weights for i in range(1, len(p) + 1)}
 
     def word(self, word: bytes) -> float:
-        """log marginal of a space mark and the word over all segmentations; a character that no
-        piece starts with, alone or longer, is its bytes."""
+        """log marginal of a space mark and the word over all segmentations. Every character may also
+        be its bytes, whether pieces start with it or not."""
         text = SPACE + word.decode("utf-8", "replace")
         n = len(text)
         weights, prefixes = self.weights, self.prefixes
@@ -77,17 +75,63 @@ class PieceModel:
         return top + math.log(math.fsum([math.exp(t - top) for t in terms]))
 
 
-def piece_model(model: bytes, counts: np.ndarray, texts: int) -> PieceModel:
-    """Weights from the training counts of all pieces and the number of training texts."""
+    def expected(self, word: bytes) -> dict[str | int, float]:
+        """Expected occurrences of pieces (bytes by value) over all segmentations of a space mark and the word."""
+        text = SPACE + word.decode("utf-8", "replace")
+        n = len(text)
+        weights, prefixes = self.weights, self.prefixes
+        # arcs (from, to, log weight, piece or None for bytes)
+        arcs: list[tuple[int, int, float, str | None]] = []
+        arriving: list[list[float]] = [[] for _ in range(n + 1)]
+        forward = [0.0] * (n + 1)
+        for i in range(n):
+            if i:
+                forward[i] = _log_sum(arriving[i])
+            arcs.append((i, i + 1, sum([self.byte_weights[b] for b in text[i].encode()]), None))
+            arriving[i + 1].append(forward[i] + arcs[-1][2])
+            for j in range(i + 1, n + 1):
+                part = text[i:j]
+                if part not in prefixes:
+                    break
+                weight = weights.get(part)
+                if weight is not None:
+                    arcs.append((i, j, weight, part))
+                    arriving[j].append(forward[i] + weight)
+        whole = _log_sum(arriving[n])
+        backward = [0.0] * (n + 1)
+        found: dict[str | int, float] = {}
+        at = len(arcs)
+        for i in range(n - 1, -1, -1):
+            first = at
+            while first and arcs[first - 1][0] == i:
+                first -= 1
+            backward[i] = _log_sum([w + backward[j] for _, j, w, _ in arcs[first:at]])
+            for _, j, w, part in arcs[first:at]:
+                share = math.exp(forward[i] + w + backward[j] - whole)
+                for unit in text[i].encode() if part is None else (part,):
+                    found[unit] = found.get(unit, 0.0) + share
+            at = first
+        return found
+
+
+def _log_sum(terms: list[float]) -> float:
+    if len(terms) == 1:
+        return terms[0]
+    top = max(terms)
+    return top + math.log(math.fsum([math.exp(t - top) for t in terms]))
+
+
+def piece_model(model: bytes, counts: np.ndarray, texts: float) -> PieceModel:
+    """Weights from the (expected) training counts of all pieces and the number of training texts."""
     from sentencepiece import sentencepiece_model_pb2 as pb
 
     proto = pb.ModelProto()
     proto.ParseFromString(model)
     kinds = pb.ModelProto.SentencePiece
-    total = math.log(counts.sum() + texts + len(proto.pieces) + 1)
+    total = math.log(float(counts.sum()) + texts + len(proto.pieces) + 1)
     weights, single = {}, [0.0] * 256
     for i, p in enumerate(proto.pieces):
-        w = math.log(counts[i] + 1) - total
+        w = math.log(float(counts[i]) + 1) - total
         if p.type == kinds.BYTE:
             single[int(p.piece[1:-1], 16)] = w
         elif p.type in (kinds.NORMAL, kinds.USER_DEFINED):
@@ -95,9 +139,25 @@ def piece_model(model: bytes, counts: np.ndarray, texts: int) -> PieceModel:
     return PieceModel(weights, single, math.log(texts + 1) - total)
 
 
-@lru_cache(maxsize=1)
+def piece_places(model: bytes) -> dict[str | int, int]:
+    """Ids of ordinary pieces by their text and of bytes by their value."""
+    from sentencepiece import sentencepiece_model_pb2 as pb
+
+    proto = pb.ModelProto()
+    proto.ParseFromString(model)
+    kinds = pb.ModelProto.SentencePiece
+    out: dict[str | int, int] = {}
+    for i, p in enumerate(proto.pieces):
+        if p.type == kinds.BYTE:
+            out[int(p.piece[1:-1], 16)] = i
+        elif p.type in (kinds.NORMAL, kinds.USER_DEFINED):
+            out[p.piece] = i
+    return out
+
+
+@lru_cache(maxsize=2)
 def _cached(model: bytes, counts: bytes, texts: int) -> PieceModel:
-    return piece_model(model, np.frombuffer(counts, "int64"), texts)
+    return piece_model(model, np.frombuffer(counts, "float64"), texts)
 
 
 def _count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -146,21 +206,38 @@ def _piece_counts(model: bytes):  # noqa: ANN202
     return run
 
 
+def _expected_counts(model: bytes, counts: bytes, texts: int):  # noqa: ANN202
+    """Expected occurrences of pieces over all segmentations of the words, in PARTS."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        own, place = _cached(model, counts, texts), piece_places(model)
+        total = [0] * codec(model).library.get_piece_size()
+        for batch in batches:
+            for word, c in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+                for piece, share in own.expected(word).items():
+                    total[place[piece]] += round(share * PARTS) * c
+        some = [i for i, x in enumerate(total) if x]
+        yield pa.RecordBatch.from_arrays(
+            [pa.array(some, pa.int32()), pa.array([str(total[i]) for i in some], pa.string())], names=["piece", "parts"]
+        )
+
+    return run
+
+
 def _marginals(model: bytes, counts: bytes, texts: int):  # noqa: ANN202
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own = _cached(model, counts, texts)
         for batch in batches:
             words = batch.column(0).to_pylist()
             yield pa.RecordBatch.from_arrays(
-                [batch.column(0), pa.array([word_key(w) for w in words], pa.int64()), batch.column(1), pa.array([own.word(w) for w in words])],
-                names=["word", "key", "c", "lm"],
+                [batch.column(0), batch.column(1), pa.array([own.word(w) for w in words], pa.float64())], names=["word", "c", "lm"]
             )
 
     return run
 
 
 def _texts(head: dict[bytes, tuple[float, float, int]]):  # noqa: ANN202
-    """Sums over the shipped words of each text, and keys and counts of its other words."""
+    """Sums over the shipped words of each text, and its other words with their counts."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         get = head.get
@@ -171,21 +248,21 @@ def _texts(head: dict[bytes, tuple[float, float, int]]):  # noqa: ANN202
                     found = Counter(tokens(cell.as_py()))
                     base = lm = 0.0
                     known = total = 0
-                    keys, times = [], []
+                    others, times = [], []
                     for w, k in found.items():
                         total += k
                         got = get(w)
                         if got is None:
-                            keys.append(word_key(w))
+                            others.append(w)
                             times.append(k)
                         else:
                             base += k * got[0]
                             lm += k * got[1]
                             known += k * got[2]
-                    rows.append((total, known, base, lm, keys, times))
-                types = [pa.int64(), pa.int64(), pa.float64(), pa.float64(), pa.list_(pa.int64()), pa.list_(pa.int32())]
+                    rows.append((total, known, base, lm, others, times))
+                types = [pa.int64(), pa.int64(), pa.float64(), pa.float64(), pa.list_(pa.binary()), pa.list_(pa.int32())]
                 columns = [pa.array(x, t) for x, t in zip(zip(*rows, strict=True), types, strict=True)]
-                names = ["doc_id", "held_out", "words", "known", "base", "lm", "keys", "times"]
+                names = ["doc_id", "held_out", "words", "known", "base", "lm", "others", "times"]
                 yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), *columns], names=names)
 
     return run
@@ -200,8 +277,7 @@ def lattice_scores(
     words and one end for each text; base_score is the sum of log10((c + 1) / (N + V + 1)), score
     the log10 marginal of the text under the piece model, its end included. Null and empty texts
     are only an end. With no training text all counts are 0. Ids may repeat; extra columns are
-    ignored. Words are keyed by a 64-bit hash in the join. Shipped to tasks: the model file, 32
-    thousand piece counts, and at most `head_words` words of up to 64 bytes; all other words meet
+    ignored. Shipped to tasks: the model file, 32 thousand piece counts, and at most `head_words` words of up to 64 bytes; all other words meet
     their counts in a join by word, none of which is frequent."""
     model = Path(model_path).read_bytes()
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), utf8(text_col).alias("text")).select(
@@ -221,8 +297,15 @@ def lattice_scores(
     got = words.where("c > 0").select("word", "c").mapInArrow(_piece_counts(model), "piece int, c long")
     for r in got.groupBy("piece").agg(F.sum("c").alias("c")).collect():
         counts[r["piece"]] = r["c"]
+    # one step of expectation maximisation from the best segmentations' counts
+    parts = [0] * len(counts)
+    start = counts.astype("float64").tobytes()
+    got = words.where("c > 0").select("word", "c").mapInArrow(_expected_counts(model, start, texts), "piece int, parts string")
+    for r in got.groupBy("piece").agg(F.sum(F.col("parts").cast("decimal(38,0)")).alias("parts")).collect():
+        parts[r["piece"]] = int(r["parts"])
+    counts = np.array([x / PARTS for x in parts])
     marginals = _marginals(model, counts.tobytes(), texts)
-    kind = "word binary, key long, c long, lm double"
+    kind = "word binary, c long, lm double"
 
     # how many words have each order of magnitude of occurrences: at most 8 steps for each doubling
     steps = sorted(
@@ -240,27 +323,27 @@ def lattice_scores(
         for r in words.where(is_head).select("word", "c").mapInArrow(marginals, kind).toLocalIterator()
     }
     tail = words.where(~is_head).select("word", "c").mapInArrow(marginals, kind).select(
-        "key", F.log10(F.col("c") + 1.0).alias("t_base"), (F.col("lm") / _LOG10).alias("t_lm"), (F.col("c") > 0).cast("long").alias("t_known")
+        "word", F.log10(F.col("c") + 1.0).alias("t_base"), (F.col("lm") / _LOG10).alias("t_lm"), (F.col("c") > 0).cast("long").alias("t_known")
     )
 
     summed = written(
         rows.mapInArrow(
             _texts(head),
-            "doc_id long, held_out boolean, words long, known long, base double, lm double, keys array<long>, times array<int>",
+            "doc_id long, held_out boolean, words long, known long, base double, lm double, others array<binary>, times array<int>",
         ).withColumn("row", F.monotonically_increasing_id()),
         "texts",
     )
     parts = (
-        summed.select("row", F.explode(F.arrays_zip("keys", "times")).alias("t"))
-        .select("row", F.col("t.keys").alias("key"), F.col("t.times").alias("k"))
-        .join(tail.hint("merge"), "key")
+        summed.select("row", F.explode(F.arrays_zip("others", "times")).alias("t"))
+        .select("row", F.col("t.others").alias("word"), F.col("t.times").alias("k"))
+        .join(tail.hint("merge"), "word")
         .groupBy("row")
         .agg(F.sum(F.col("k") * F.col("t_base")).alias("base"), F.sum(F.col("k") * F.col("t_lm")).alias("lm"), F.sum(F.col("k") * F.col("t_known")).alias("known"))
     )
     own = summed.select("row", "doc_id", "held_out", "words", "base", "lm", "known")
     none = [F.lit(None).cast(t).alias(c) for c, t in (("doc_id", "long"), ("held_out", "boolean"), ("words", "long"))]
     end_base = math.log10(texts + 1)
-    end_lm = (math.log(texts + 1) - math.log(int(counts.sum()) + texts + len(counts) + 1)) / _LOG10
+    end_lm = (math.log(texts + 1) - math.log(float(counts.sum()) + texts + len(counts) + 1)) / _LOG10
     n = F.col("words") + 1
     return (
         own.union(parts.select("row", *none, "base", "lm", "known"))

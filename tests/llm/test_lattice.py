@@ -29,6 +29,43 @@ def test_forward_sum_is_the_marginal():
         assert math.exp(model.word(word.encode())) == pytest.approx(brute_marginal(model, "▁" + word), rel=1e-9)
 
 
+def all_segmentations(model, text):
+    """(weight, units) of every segmentation."""
+    if not text:
+        yield 1.0, ()
+        return
+    for j in range(1, len(text) + 1):
+        if text[:j] in model.weights:
+            for w, units in all_segmentations(model, text[j:]):
+                yield w * math.exp(model.weights[text[:j]]), (text[:j], *units)
+    own = text[0].encode()
+    for w, units in all_segmentations(model, text[1:]):
+        yield w * math.exp(sum(model.byte_weights[b] for b in own)), (*own, *units)
+
+
+def test_expected_counts_are_those_over_all_segmentations():
+    rng = np.random.default_rng(6)
+    parts = ["▁", "▁a", "a", "ab", "b", "ba", "▁ab", "abb", "é"]
+    model = lattice.PieceModel({p: math.log(w) for p, w in zip(parts, rng.dirichlet(np.ones(len(parts))) * 0.9, strict=True)}, [math.log(0.1 / 256)] * 256, -3.0)
+    for word in ("", "a", "abba", "bab", "é", "abcé"):
+        want, total = Counter(), 0.0
+        for w, units in all_segmentations(model, "▁" + word):
+            total += w
+            for u in units:
+                want[u] += w
+        assert model.expected(word.encode()) == pytest.approx({u: x / total for u, x in want.items()}, rel=1e-9)
+
+
+def test_expectation_step_raises_the_likelihood(model_path, documents):
+    """The training words are likelier under the expected counts than under those of best segmentations."""
+    rows = [(r["doc_id"], r["text"]) for r in documents.limit(40).collect()]
+    data = open(model_path, "rb").read()
+    counts, texts, words = best_counts(rows, data)
+    first, second = lattice.piece_model(data, counts, texts), reference_model(rows, model_path)
+    gain = [second.word(w) * c - first.word(w) * c for w, c in words.items()]
+    assert sum(gain) > 0
+
+
 def brute(rows, model, head):
     held = {i: d is not None and zlib.crc32(str(d).encode()) % 7 == 2 for i, (d, _) in enumerate(rows)}
     words = [lattice.tokens((t or "").encode()) for _, t in rows]
@@ -45,18 +82,29 @@ def brute(rows, model, head):
     return out
 
 
-def reference_model(rows, model_path):
-    data = open(model_path, "rb").read()
+def best_counts(rows, data):
     own = lattice.codec(data)
     counts = np.zeros(own.library.get_piece_size(), "int64")
-    texts = 0
+    texts, words = 0, Counter()
     for d, t in rows:
         if d is None or zlib.crc32(str(d).encode()) % 7 != 2:
             texts += 1
-            for w in lattice.tokens((t or "").encode()):
-                for i in own.library.encode(w.decode()):
-                    counts[i] += 1
-    return lattice.piece_model(data, counts, texts)
+            words.update(lattice.tokens((t or "").encode()))
+    for w, c in words.items():
+        for i in own.library.encode(w.decode()):
+            counts[i] += c
+    return counts, texts, words
+
+
+def reference_model(rows, model_path):
+    data = open(model_path, "rb").read()
+    counts, texts, words = best_counts(rows, data)
+    start, place = lattice.piece_model(data, counts, texts), lattice.piece_places(data)
+    parts = [0] * len(counts)
+    for w, c in words.items():
+        for piece, share in start.expected(w).items():
+            parts[place[piece]] += round(share * lattice.PARTS) * c
+    return lattice.piece_model(data, np.array([x / lattice.PARTS for x in parts]), texts)
 
 
 @pytest.mark.parametrize("head", [0, 50, 1 << 18])
