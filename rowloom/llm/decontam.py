@@ -16,7 +16,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from rowloom.llm.shared import lean, release, utf8
+from rowloom.llm.shared import lean, release, utf8, written
 
 WORD = re.compile(rb"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+")
 WINDOW = 10
@@ -36,14 +36,16 @@ class WuManber:
         self.length = length
         self.block = min(length, 3 if len(patterns) > 50_000 else 2)
         self.far = length - self.block + 1
+        self.head = length - self.block
         self.shift: dict[tuple[bytes, ...], int] = {}
-        self.suffixes: dict[tuple[bytes, ...], list[tuple[bytes, ...]]] = {}
+        # a bucket for each last block; in it, patterns by a prefix, so that items that share endings cost no more
+        self.suffixes: dict[tuple[bytes, ...], dict[tuple[bytes, ...], list[tuple[bytes, ...]]]] = {}
         self.patterns = patterns
         for p in patterns:
             for end in range(self.block, length + 1):
                 key = p[end - self.block : end]
                 self.shift[key] = min(self.shift.get(key, self.far), length - end)
-            self.suffixes.setdefault(p[length - self.block :], []).append(p)
+            self.suffixes.setdefault(p[length - self.block :], {}).setdefault(p[: self.head], []).append(p)
 
     def find(self, words: list[bytes]) -> Iterator[tuple[int, tuple[bytes, ...]]]:
         """(first word, pattern) of every occurrence, overlapping ones too."""
@@ -70,7 +72,7 @@ class WuManber:
     def _test(self, words: list[bytes], at: int) -> Iterator[tuple[int, tuple[bytes, ...]]]:
         first = at - self.length + 1
         seen = tuple(words[first : at + 1])
-        for p in self.suffixes[seen[self.length - self.block :]]:
+        for p in self.suffixes[seen[self.length - self.block :]].get(seen[: self.head], ()):
             if p == seen:
                 yield first, p
 
@@ -151,10 +153,24 @@ def keep(
     docs: DataFrame, benchmark: DataFrame, text_col: str = "text", item_col: str = "item_id",
     item_text_col: str = "text", pass_bytes: int = PASS_BYTES,
 ) -> DataFrame:
-    """The rows of `docs`, all their columns, without an occurrence of any benchmark window."""
-    for load in _loads(benchmark, item_col, item_text_col, pass_bytes):
-        docs = docs.where(_clean(load())(utf8(text_col)))
-    return docs
+    """The rows of `docs`, all their columns, without an occurrence of any benchmark window.
+
+    With several passes, each writes the digests of the texts that it hits, and rows with one leave."""
+    loads = _loads(benchmark, item_col, item_text_col, pass_bytes)
+    if len(loads) == 1:
+        return docs.where(_clean(loads[0]())(utf8(text_col)))
+    keyed = docs.select(F.sha2(utf8(text_col), 256).alias("key"), utf8(text_col).alias("text"))
+    hits = _all_hits(keyed, loads).select(F.col("key").alias("__hit")).distinct()
+    return docs.withColumn("__key", F.sha2(utf8(text_col), 256)).join(hits, F.col("__key") == F.col("__hit"), "left_anti").drop("__key")
+
+
+def _all_hits(keyed: DataFrame, loads: list[Callable[[], list[tuple[str | None, bytes]]]]) -> DataFrame:
+    """Hits of all passes. Each pass is written before the next one's items are loaded."""
+    hits = None
+    for load in loads:
+        found = written(keyed.mapInArrow(lean(_pass(load(), True)), f"key string, {_KIND}"), "hits")
+        hits = found if hits is None else hits.union(found)
+    return hits
 
 
 def _clean(items: list[tuple[str | None, bytes]]):  # noqa: ANN202
@@ -178,17 +194,14 @@ def find_contamination(
     Windows have 10 words, shorter items are one window, items without words none. Null and empty
     texts have no words; items without an id count for spans but are not listed; rows may repeat;
     extra columns are ignored. Items are searched in passes of about `pass_bytes` of benchmark
-    text, each shipped to the tasks whole; with one pass nothing is shuffled."""
+    text, one after another, each shipped to the tasks whole; with one pass nothing is shuffled."""
     loads = _loads(benchmark, item_col, item_text_col, pass_bytes)
     texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), utf8(text_col).alias("text"))
     if len(loads) == 1:
         return texts.mapInArrow(lean(_pass(loads[0](), False)), f"doc_id long, {_KIND}")
 
     keyed = texts.select(F.sha2("text", 256).alias("key"), "text")
-    hits = None
-    for load in loads:
-        found = keyed.mapInArrow(lean(_pass(load(), True)), f"key string, {_KIND}")
-        hits = found if hits is None else hits.union(found)
+    hits = _all_hits(keyed, loads)
 
     @F.pandas_udf("array<struct<first:int,last:int>>")
     def joined(spans: pd.Series) -> pd.Series:

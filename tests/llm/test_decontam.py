@@ -41,6 +41,16 @@ def test_large_pattern_sets_use_longer_blocks():
     assert list(machine.find([b"x", *p, b"y"])) == [(1, p)]
 
 
+def test_items_that_share_an_ending():
+    """Thousands of patterns end alike: each place meets those of its own beginning only."""
+    patterns = {(*(f"{i}".encode() for _ in range(8)), b"the", b"end"): [i] for i in range(3000)}
+    machine = decontam.WuManber(patterns, 10)
+    assert [len(bucket) for bucket in machine.suffixes.values()] == [3000]
+    assert all(len(own) == 1 for bucket in machine.suffixes.values() for own in bucket.values())
+    p = list(patterns)[1234]
+    assert list(machine.find([b"x", *p, b"the", b"end"])) == [(1, p)]
+
+
 def test_odd_rows_and_passes(spark, odd_docs, no_docs):
     items = spark.createDataFrame(
         [(1, "the quick BROWN fox jumps over the lazy dog again", 0), (2, "one two three", 0), (3, None, 0), (None, "no id at all", 0), (2, "one two three", 0), (4, "", 0)],
