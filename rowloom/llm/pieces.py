@@ -30,12 +30,9 @@ class CharacterMap:
     """A compiled character map: a double-array trie of source prefixes with offsets of replacements."""
 
     def __init__(self, blob: bytes):
-        if blob:
-            size = int.from_bytes(blob[:4], "little")
-            self.units = np.frombuffer(blob, "<u4", size // 4, 4).tolist()
-            self.targets = blob[4 + size :]
-        else:
-            self.units, self.targets = [], b""
+        size = int.from_bytes(blob[:4], "little")
+        self.table = np.frombuffer(blob, "<u4", size // 4, 4 if blob else 0).astype("int64")
+        self.units, self.targets = self.table.tolist(), blob[4 + size :]
 
     def longest(self, data: bytes, at: int) -> tuple[int, bytes]:
         """Length of the longest mapped prefix of `data` at `at`, and its replacement; (0, b"") if none."""
@@ -52,7 +49,36 @@ class CharacterMap:
                 best, target = i + 1 - at, units[node] & 0x7FFFFFFF
         if not best:
             return 0, b""
-        return best, self.targets[target : self.targets.index(b"\0", target)]
+        return best, self.target(target)
+
+    def target(self, at: int) -> bytes:
+        return self.targets[at : self.targets.index(b"\0", at)]
+
+    def longest_all(self, data: np.ndarray, starts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """`longest` from every one of `starts` at once: lengths (0: none) and places of replacements.
+
+        All walks go down the trie together, a byte a step, and those that end drop out."""
+        best, target = np.zeros(len(starts), "int64"), np.full(len(starts), -1)
+        units = self.table
+        if not len(units) or not len(starts):
+            return best, target
+        walk, at = np.arange(len(starts)), starts.copy()
+        node = np.full(len(starts), (units[0] >> 10) << ((units[0] & 512) >> 6))
+        while len(walk):
+            inside = at < len(data)
+            walk, at, node = walk[inside], at[inside], node[inside]
+            byte = data[at].astype("int64")
+            node = node ^ byte
+            known = node < len(units)
+            unit = units[np.where(known, node, 0)]
+            known &= (unit & 0x800000FF) == byte
+            walk, at, node, unit = walk[known], at[known], node[known], unit[known]
+            node = node ^ ((unit >> 10) << ((unit & 512) >> 6))
+            at = at + 1
+            ends = (unit & 256) > 0
+            best[walk[ends]] = at[ends] - starts[walk[ends]]
+            target[walk[ends]] = units[node[ends]] & 0x7FFFFFFF
+        return best, target
 
 
 def _char_length(lead: int) -> int:
@@ -121,6 +147,37 @@ class PieceCodec:
         source.append(n)
         return bytes(out), source
 
+    def sources(self, data: bytes) -> np.ndarray:
+        """The offsets that `normalise` gives, for a whole text at once: the map's longest prefixes at
+        all characters, taken from the left, and one source offset for each normalised byte and the end.
+
+        Models that squeeze spaces look back at what was written, and take the walk by characters."""
+        if self.squeeze:
+            return np.array(self.normalise(data)[1], "int64")
+        flat = np.frombuffer(data, "u1")
+        starts = np.flatnonzero((flat & 0xC0) != 0x80)
+        length, target = self.map.longest_all(flat, starts)
+        # each byte as it is, from its character's start; a space is a mark of three bytes
+        origin = np.zeros(len(flat), "int64")
+        origin[starts] = starts
+        origin = np.maximum.accumulate(origin)
+        width = np.where(flat == 32, 3, 1)
+        inserted: list[tuple[int, int]] = []
+        reach = 0
+        for k in np.flatnonzero(length).tolist():
+            at = int(starts[k])
+            if at < reach:
+                continue
+            reach = at + int(length[k])
+            width[at:reach] = 0
+            new = self.map.target(int(target[k]))
+            inserted.append((at, len(new) + 2 * new.count(b" ")))
+        for at, n in inserted:
+            width[at] = n
+        out = np.repeat(origin, width)
+        dummy = [out[:1]] * 3 if self.dummy and len(out) else []
+        return np.concatenate([*dummy, out, [len(flat)]])
+
     def encode(self, data: bytes) -> Encoding:
         """Encodes a whole text given as UTF-8; an empty one has no pieces."""
         try:
@@ -137,13 +194,7 @@ class PieceCodec:
             stops = np.cumsum(self.widths[ids])
         else:
             stops = np.cumsum([len(p.surface.encode()) for p in self.library.encode(text, return_type="proto").pieces])
-        if not self.map.units and not self.squeeze and SPACE not in text:
-            # only spaces change: each mark stands for one byte, and the dummy one for none
-            flat = np.frombuffer((SPACE * self.dummy + text.replace(" ", SPACE)).encode(), "u1")
-            marks = np.cumsum((flat[2:] == 0x81) & (flat[1:-1] == 0x96) & (flat[:-2] == 0xE2)) if len(flat) > 2 else [0]
-            ends = stops - 2 * np.asarray(marks)[np.minimum(stops, len(marks)) - 1] - self.dummy
-        else:
-            ends = np.array(self.normalise(data)[1], "int64")[stops]
+        ends = self.sources(data)[stops]
         begins = np.concatenate([[0], ends[:-1]])
         return Encoding(np.array(ids, "int32"), begins.astype("int32"), ends.astype("int32"), id_text)
 

@@ -2,6 +2,7 @@ from __future__ import annotations
 
 import hashlib
 
+import numpy as np
 import pytest
 import sentencepiece
 from hypothesis import given, settings
@@ -15,24 +16,56 @@ def codec(model_path):
     return pieces.PieceCodec(open(model_path, "rb").read())
 
 
+def library_spans(codec, text):
+    """Begin and end, in UTF-8 bytes, of the library's pieces."""
+    return [(p.begin, p.end) for p in codec.library.encode(text, return_type="proto").pieces]
+
+
 def test_ids_and_spans_match_the_library(codec, documents):
     texts = [r["text"] or "" for r in documents.select("text").collect()]
-    texts += ["", " ", "  a  b ", "a▁b ▁ c", "\n\n x", "é\0b", "日本語 emoji 😀  ", "z" * 4000]
+    texts += ["", " ", "  a  b ", "a▁b ▁ c", "\n\n x", "é\0b", "日本語 emoji 😀  ", "z" * 4000, "Ünïcödé  ▁▁ 😀😀 ą", "▁", " é"]
     for text in texts:
         e = codec.encode(text.encode())
         assert e.ids.tolist() == codec.library.encode(text)
         assert e.id_text == ",".join(map(str, e.ids.tolist()))
-        want = [(p.begin, p.end) for p in codec.library.encode(text, return_type="proto").pieces]
         got = list(zip(e.begins.tolist(), e.ends.tolist(), strict=True))
-        if SPACE_FREE(text):
-            assert got == want
+        if "\0" not in text:
+            assert got == library_spans(codec, text), text
         if len(got):
             assert got[0][0] == 0 and got[-1][1] == len(text.encode())
             assert all(a[1] == b[0] for a, b in zip(got, got[1:], strict=False))
 
 
-def SPACE_FREE(text: str) -> bool:
-    return text.isascii() and "\0" not in text
+def folding_map():
+    rules = sentencepiece.SentencePieceNormalizer(rule_name="nmt_nfkc")
+    if not hasattr(rules, "serialized_model_proto"):
+        pytest.skip("this library does not show its compiled map")
+    from sentencepiece import sentencepiece_model_pb2 as pb
+
+    proto = pb.ModelProto()
+    proto.ParseFromString(rules.serialized_model_proto())
+    return pieces.CharacterMap(proto.normalizer_spec.precompiled_charsmap)
+
+
+@pytest.mark.parametrize("table", ["empty", "folding"])
+def test_whole_text_walk_is_the_walk_by_characters(table):
+    own = object.__new__(pieces.PieceCodec)
+    own.map = pieces.CharacterMap(b"") if table == "empty" else folding_map()
+    own.squeeze = False
+
+    @settings(max_examples=300, deadline=None)
+    @given(st.text(alphabet=st.one_of(st.characters(exclude_categories=["Cs"]), st.sampled_from(" ▁aｆﬁ①½㌔éｶﾞe\u0301\u3000")), max_size=50), st.booleans())
+    def same(text, dummy):
+        own.dummy = dummy
+        assert own.sources(text.encode()).tolist() == own.normalise(text.encode())[1]
+
+    same()
+    data = np.frombuffer("ｆｏｏ ﬁne ① plain e\u0301".encode(), "u1")
+    starts = np.arange(len(data))
+    lengths, targets = own.map.longest_all(data, starts)
+    for i in starts.tolist():
+        n, new = own.map.longest(data.tobytes(), i)
+        assert lengths[i] == n and (not n or own.map.target(int(targets[i])) == new)
 
 
 @settings(max_examples=60, deadline=None)
@@ -47,15 +80,8 @@ def test_any_text_round_trips(text):
 
 
 def test_longest_prefix_normalisation_matches_the_library():
-    rules = sentencepiece.SentencePieceNormalizer(rule_name="nmt_nfkc")
-    if not hasattr(rules, "serialized_model_proto"):
-        pytest.skip("this library does not show its compiled map")
-    from sentencepiece import sentencepiece_model_pb2 as pb
-
-    proto = pb.ModelProto()
-    proto.ParseFromString(rules.serialized_model_proto())
     own = object.__new__(pieces.PieceCodec)
-    own.map = pieces.CharacterMap(proto.normalizer_spec.precompiled_charsmap)
+    own.map = folding_map()
     own.dummy, own.squeeze = False, False
     for text in ("ｆｏｏ ① Ａ", "ﬁne  ﬂow", "étude", "plain", "㌔㍍ ½", "日本"):
         raw, source = own.normalise(text.encode())

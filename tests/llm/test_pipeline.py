@@ -13,7 +13,7 @@ def test_stages_take_effect(spark, sf, documents, model_path):
     clean = {r["doc_id"] for r in toxicity.score(docs, toxicity.train(docs, labels)).where("predicted = 0").collect()}
     docs = corpus_pipeline.toxicity_stage(spark, docs, sf)
     assert docs.columns == documents.columns and {r["doc_id"] for r in docs.collect()} == clean
-    unique = {r["doc_id"] for r in neardup.near_duplicates(docs).where("kept").collect()}
+    unique = {r["doc_id"] for r in neardup.near_duplicates(docs, threshold=80).where("kept").collect()}
     docs = corpus_pipeline.neardup_stage(spark, docs, sf)
     assert docs.columns == documents.columns and {r["doc_id"] for r in docs.collect()} == unique
     fresh = {r["doc_id"] for r in decontam.find_contamination(docs, benchmark).where("size(spans) = 0").collect()}
@@ -24,10 +24,24 @@ def test_stages_take_effect(spark, sf, documents, model_path):
 
 
 def test_stages_bear_odd_and_no_rows(spark, sf, odd_docs, no_docs):
-    for docs in (odd_docs, no_docs):
-        for _, stage in corpus_pipeline.STAGES:
-            docs = stage(spark, docs, sf).cache()
-            docs.count()
+    for given in (odd_docs, no_docs):
+        docs = given
+        for name, stage in corpus_pipeline.STAGES:
+            before = {r["doc_id"] for r in docs.select("doc_id").collect()}
+            out = stage(spark, docs, sf).cache()
+            assert {r["doc_id"] for r in out.select("doc_id").collect()} <= before
+            if name != "encoding":
+                assert out.columns == given.columns
+            else:
+                assert out.count() == docs.count()
+            docs = out
+    assert docs.count() == 0
+
+
+def test_repeated_rows_are_one_document(spark, sf, odd_docs):
+    """A row that repeats a kept id stays with it; a copy under another id goes; null texts are no copies."""
+    kept = corpus_pipeline.neardup_stage(spark, odd_docs, sf).collect()
+    assert sorted(r["doc_id"] for r in kept if r["doc_id"] in (0, 1, 2, 5, 6, 10, 11)) == [0, 1, 2, 5, 5, 10]
 
 
 def test_near_copies_from_080_leave(spark, sf):
