@@ -48,14 +48,17 @@ class PieceModel:
     end: float
 
     def __post_init__(self) -> None:
-        self.prefixes = {p[:i] for p in self.weights for i in range(1, len(p) + 1)}
+        #: Weights of pieces, and None for what only starts pieces.
+        self.table: dict[str, float | None] = {p[:i]: None for p in self.weights for i in range(1, len(p))} | self.weights
+        self.chances = {p: None if w is None else math.exp(w) for p, w in self.table.items()}
+        self.byte_chances = [math.exp(w) for w in self.byte_weights]
 
     def word(self, word: bytes) -> float:
         """log marginal of a space mark and the word over all segmentations. Every character may also
         be its bytes, whether pieces start with it or not."""
         text = SPACE + word.decode("utf-8", "replace")
         n = len(text)
-        weights, prefixes = self.weights, self.prefixes
+        find, none = self.table.get, 0
         arriving: list[list[float]] = [[] for _ in range(n + 1)]
         arriving[0].append(0.0)
         for i in range(n):
@@ -63,10 +66,9 @@ class PieceModel:
             top = max(terms)
             here = top if len(terms) == 1 else top + math.log(math.fsum([math.exp(t - top) for t in terms]))
             for j in range(i + 1, n + 1):
-                part = text[i:j]
-                if part not in prefixes:
+                weight = find(text[i:j], none)
+                if weight is none:
                     break
-                weight = weights.get(part)
                 if weight is not None:
                     arriving[j].append(here + weight)
             arriving[i + 1].append(here + sum([self.byte_weights[b] for b in text[i].encode()]))
@@ -75,15 +77,51 @@ class PieceModel:
         return top + math.log(math.fsum([math.exp(t - top) for t in terms]))
 
 
-    def expected(self, word: bytes) -> dict[str | int, float]:
-        """Expected occurrences of pieces (bytes by value) over all segmentations of a space mark and the word."""
+    def shares(self, word: bytes) -> list[tuple[str | int, float]]:
+        """The share of all segmentations' probability that passes each arc of the lattice, with the arc's piece (a byte's value)."""
         text = SPACE + word.decode("utf-8", "replace")
         n = len(text)
-        weights, prefixes = self.weights, self.prefixes
-        # arcs (from, to, log weight, piece or None for bytes)
+        find, none = self.chances.get, 0
+        forward, backward = [0.0] * (n + 1), [0.0] * (n + 1)
+        forward[0] = backward[n] = 1.0
+        arcs: list[tuple[int, int, float, str | None]] = []
+        for i in range(n):
+            here = forward[i]
+            chance = 1.0
+            for b in text[i].encode():
+                chance *= self.byte_chances[b]
+            arcs.append((i, i + 1, chance, None))
+            forward[i + 1] += here * chance
+            for j in range(i + 1, n + 1):
+                part = text[i:j]
+                chance = find(part, none)
+                if chance is none:
+                    break
+                if chance is not None:
+                    arcs.append((i, j, chance, part))
+                    forward[j] += here * chance
+        whole = forward[n]
+        if whole < 1e-250:
+            return self._far_shares(text)
+        out: list[tuple[str | int, float]] = []
+        # arcs rise by their start, so from behind all arcs that leave an arc's end are done
+        for i, j, chance, part in reversed(arcs):
+            onward = chance * backward[j]
+            backward[i] += onward
+            share = forward[i] * onward / whole
+            if part is None:
+                out += [(b, share) for b in text[i].encode()]
+            else:
+                out.append((part, share))
+        return out
+
+    def _far_shares(self, text: str) -> list[tuple[str | int, float]]:
+        """`shares` in log space, for words so long that their probabilities vanish."""
+        n = len(text)
+        find, none = self.table.get, 0
         arcs: list[tuple[int, int, float, str | None]] = []
         arriving: list[list[float]] = [[] for _ in range(n + 1)]
-        forward = [0.0] * (n + 1)
+        forward, backward = [0.0] * (n + 1), [0.0] * (n + 1)
         for i in range(n):
             if i:
                 forward[i] = _log_sum(arriving[i])
@@ -91,15 +129,14 @@ class PieceModel:
             arriving[i + 1].append(forward[i] + arcs[-1][2])
             for j in range(i + 1, n + 1):
                 part = text[i:j]
-                if part not in prefixes:
+                weight = find(part, none)
+                if weight is none:
                     break
-                weight = weights.get(part)
                 if weight is not None:
                     arcs.append((i, j, weight, part))
                     arriving[j].append(forward[i] + weight)
         whole = _log_sum(arriving[n])
-        backward = [0.0] * (n + 1)
-        found: dict[str | int, float] = {}
+        out: list[tuple[str | int, float]] = []
         at = len(arcs)
         for i in range(n - 1, -1, -1):
             first = at
@@ -108,10 +145,9 @@ class PieceModel:
             backward[i] = _log_sum([w + backward[j] for _, j, w, _ in arcs[first:at]])
             for _, j, w, part in arcs[first:at]:
                 share = math.exp(forward[i] + w + backward[j] - whole)
-                for unit in text[i].encode() if part is None else (part,):
-                    found[unit] = found.get(unit, 0.0) + share
+                out += [(unit, share) for unit in (text[i].encode() if part is None else (part,))]
             at = first
-        return found
+        return out
 
 
 def _log_sum(terms: list[float]) -> float:
@@ -214,8 +250,10 @@ def _expected_counts(model: bytes, counts: bytes, texts: int):  # noqa: ANN202
         total = [0] * codec(model).library.get_piece_size()
         for batch in batches:
             for word, c in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                for piece, share in own.expected(word).items():
-                    total[place[piece]] += round(share * PARTS) * c
+                for piece, share in own.shares(word):
+                    parts = int(share * PARTS + 0.5)
+                    if parts:
+                        total[place[piece]] += parts * c
         some = [i for i, x in enumerate(total) if x]
         yield pa.RecordBatch.from_arrays(
             [pa.array(some, pa.int32()), pa.array([str(total[i]) for i in some], pa.string())], names=["piece", "parts"]

@@ -53,7 +53,13 @@ def test_expected_counts_are_those_over_all_segmentations():
             total += w
             for u in units:
                 want[u] += w
-        assert model.expected(word.encode()) == pytest.approx({u: x / total for u, x in want.items()}, rel=1e-9)
+        for shares in (model.shares(word.encode()), model._far_shares("▁" + word)):
+            got = Counter()
+            for unit, share in shares:
+                got[unit] += share
+            assert dict(got) == pytest.approx({u: x / total for u, x in want.items()}, rel=1e-9)
+    far = model.shares(b"ab" * 3000)
+    assert sum(share * (len(unit) if isinstance(unit, str) else 1) for unit, share in far if unit not in range(0x80, 0x100)) > 5990
 
 
 def test_expectation_step_raises_the_likelihood(model_path, documents):
@@ -102,8 +108,8 @@ def reference_model(rows, model_path):
     start, place = lattice.piece_model(data, counts, texts), lattice.piece_places(data)
     parts = [0] * len(counts)
     for w, c in words.items():
-        for piece, share in start.expected(w).items():
-            parts[place[piece]] += round(share * lattice.PARTS) * c
+        for piece, share in start.shares(w):
+            parts[place[piece]] += int(share * lattice.PARTS + 0.5) * c
     return lattice.piece_model(data, np.array([x / lattice.PARTS for x in parts]), texts)
 
 
