@@ -160,8 +160,9 @@ def discriminating(codes: list[Column]) -> Keys:
     return Keys([F.xxhash64(*codes)], ready=lexicographic(codes).ready)
 
 
-def shuffled(codes: list[Column], seed: int = 0) -> Keys:
-    return Keys([F.xxhash64(*codes, F.lit(seed))])
+def shuffled(number: Column, seed: int = 0) -> Keys:
+    """A hash of a row's number, so that equal rows part."""
+    return Keys([F.xxhash64(number, F.lit(seed))])
 
 
 #: Orders that need code columns only.

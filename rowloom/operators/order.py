@@ -7,7 +7,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from rowloom.functions import keys as K
-from rowloom.operators.dictionary import build_dictionary, cardinalities, clean, column_order, encode
+from rowloom.operators.dictionary import build_dictionary, cardinalities, clean, column_order, encode, settled
 from rowloom.operators.position import neighbours, sorted_with_positions
 from rowloom.sources.scratch import written
 
@@ -33,10 +33,14 @@ def order_by(
     their frequency codes (lexicographic and alternating sort the values themselves unless
     `keep_codes`); without it the columns must be integers. `tie` closes equal rows; without it a
     hash of the other columns does, which also lets a range exchange cut a very frequent row. `bits` fixes the width of
-    space-filling curves (default: that of the largest code)."""
+    space-filling curves (default: that of the largest code). `shuffled` numbers the rows of a
+    written copy and hashes the numbers. A frame that is costly to make is written first."""
     cols = cols or orderable(df)
+    df = settled(df)
     cols = column_order(df, cols, column_order_mode)
     df = clean(df, cols).drop("pos")
+    if order == "shuffled":
+        df = written(df.withColumn("__row", F.monotonically_increasing_id()), "rows")
     raw = order in ("lexicographic", "alternating", "discriminating", "shuffled") and not keep_codes
     if raw or not normalize:
         coded, codes, freqs = df, [F.col(f"`{c}`") for c in cols], []
@@ -63,8 +67,8 @@ def order_by(
     elif order == "hilbert":
         keys = K.hilbert(codes, cards)
     elif order == "shuffled":
-        others = [F.col(f"`{c}`") for c in (tie or df.columns)]
-        keys = K.shuffled(others, seed)
+        keys = K.shuffled(F.col("__row"), seed)
+        drop = [*drop, "__row"]
     elif order in K.ORDERS:
         keys = K.ORDERS[order](codes)
     else:

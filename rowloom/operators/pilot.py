@@ -9,6 +9,7 @@ from rowloom.operators.blocks import BLOCK_ROWS, block_log, kernel, run_blocks
 from rowloom.operators.order import order_by
 from rowloom.operators.position import sorted_with_positions
 from rowloom.operators.runs import total_runs
+from rowloom.sources.scratch import written
 
 
 def pilot_gain(df: DataFrame, cols: list[str], blocks: int = 20, block_rows: int = BLOCK_ROWS) -> DataFrame:
@@ -23,10 +24,23 @@ def pilot_gain(df: DataFrame, cols: list[str], blocks: int = 20, block_rows: int
     )
 
 
+def row_sample(df: DataFrame, rows: int, seed: int = 0) -> DataFrame:
+    """`rows` rows (all, if there are no more), each as likely as any other, equal ones too.
+
+    Rows of a written copy are numbered and the smallest hashes of the numbers taken; a bound on the
+    hash, from the count, lets little more than `rows` reach the sort, however many tasks there are."""
+    numbered = written(df.withColumn("__row", F.monotonically_increasing_id()), "rows")
+    n = numbered.count()
+    unit = F.pmod(F.xxhash64("__row", F.lit(seed)), F.lit(1 << 52))
+    if n <= rows:
+        return numbered.drop("__row")
+    numbered = numbered.where(unit < F.lit(int(min(1.0, (rows + 8 * rows**0.5 + 100) / n) * (1 << 52))))
+    return numbered.orderBy(unit, "__row").limit(rows).drop("__row")
+
+
 def sample_gain(df: DataFrame, cols: list[str], rows: int = 65_536, seed: int = 0, order: str = "interleave") -> float:
-    """The gain of an order on a hash sample of rows: kept as a warning, since it misleads."""
-    key = F.xxhash64(*[F.col(f"`{c}`") for c in df.columns], F.lit(seed))
-    part = df.orderBy(key).limit(rows)
+    """The gain of an order on a row sample: kept as a warning, since it misleads."""
+    part = row_sample(df, rows, seed)
     return total_runs(order_by(part, "lexicographic", cols), cols) / max(1, total_runs(order_by(part, order, cols), cols))
 
 
