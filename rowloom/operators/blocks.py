@@ -25,6 +25,8 @@ from rowloom.operators.position import assign_blocks, numbered
 Kernel = Callable[[np.ndarray, int], np.ndarray]
 BLOCK_ROWS = 131_072
 TOUR_ROWS = 4096
+#: Rows of the largest table that one walk takes as a whole.
+WHOLE_ROWS = 1 << 22
 
 
 def _start(codes: np.ndarray, start: str | int, seed: int, before: np.ndarray | None) -> int:
@@ -105,7 +107,7 @@ def run_blocks(
     """Applies the kernels to every block of a positioned frame; positions stay within their block.
 
     Blocks are keyed by id and dealt by hash, one task's memory holds one block; the result does
-    not depend on the number of tasks. Blocks from `max_blocks` on pass through unchanged."""
+    not depend on the number of tasks. Blocks from number `max_blocks` on pass through unchanged."""
     blocked = assign_blocks(df, block_rows, by, shift)
 
     def work(table: pa.Table) -> pa.Table:
@@ -201,7 +203,11 @@ def improve(df: DataFrame, method: str, cols: list[str], block_rows: int = TOUR_
 
 
 def multiple_lists(df: DataFrame, cols: list[str] | None = None, k: int | None = None, lists: str | list[list[int]] = "rotations", start: str | int = "first", seed: int = 0, **opt) -> DataFrame:  # noqa: ANN003
-    """One walk over the whole table as a single block, for tables that one task can hold."""
+    """One walk over the whole table as a single block. Tables of more than WHOLE_ROWS rows are refused:
+    one task would hold them; `multiple_lists_blocked` takes any size."""
+    n = df.count()
+    if n > WHOLE_ROWS:
+        raise ValueError(f"{n} rows are too many for one walk; use multiple_lists_blocked")
     return reorder_blocks(df, "multiple_lists", cols, 1 << 62, start=start, seed=seed, k=k, lists=lists, **opt)
 
 

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import re
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -9,6 +11,18 @@ from rowloom.operators.position import sorted_with_positions
 from rowloom.sources.scratch import written
 
 
+#: Most frequent values of a column that are broadcast, and the bytes that they may have.
+HEAD, HEAD_BYTES = 1 << 18, 32 << 20
+
+_COSTLY = re.compile(r"\b(Join|Aggregate|Window|Generate|Sort|Repartition|RepartitionByExpression|Distinct|Intersect|Except|MapInArrow|MapInPandas|FlatMapGroupsInArrow|FlatMapGroupsInPandas|ArrowEvalPython|BatchEvalPython|Expand|Sample)\b")
+
+
+def settled(df: DataFrame) -> DataFrame:
+    """`df`, written first if its plan does more than read, filter and compute columns: dictionaries read it once a column."""
+    plan = df._jdf.queryExecution().optimizedPlan().toString()
+    return written(df, "input") if _COSTLY.search(plan) else df
+
+
 def clean(df: DataFrame, cols: list[str]) -> DataFrame:
     """Columns with one form for each value: negative zero as zero, maps as sorted entries."""
     kinds = dict(df.dtypes)
@@ -60,24 +74,56 @@ def cardinalities(dictionary: DataFrame, cols: list[str]) -> list[int]:
     return [got.get(i, 0) for i in range(len(cols))]
 
 
+def head_facts(dictionary: DataFrame, cols: list[str]) -> list[tuple[int, int]]:
+    """For each column, its distinct values and the bytes of those with codes under HEAD: a few numbers on the driver."""
+    size = sum((F.coalesce(F.octet_length(F.col(f"`{c}`").cast("string")), F.lit(0)) for c in cols), F.lit(24))
+    got = dictionary.groupBy("col_idx").agg(F.count("*").alias("n"), F.sum(F.when(F.col("code") < HEAD, size)).alias("bytes"))
+    facts = {r["col_idx"]: (r["n"], r["bytes"] or 0) for r in got.collect()}
+    return [facts.get(i, (0, 0)) for i in range(len(cols))]
+
+
+def _lookup(out: DataFrame, side: DataFrame, key: str, facts: tuple[int, int], names: list[str]) -> DataFrame:
+    """`out` with `names` of `side` (__v, code, names), which has each value of `key` once.
+
+    Codes fall with frequency, so those under HEAD are of the most frequent values: these are
+    broadcast, if their bytes are few, and only rows with a rarer value are dealt by it, rows already
+    served by a hash of all their columns. So no task gets the rows of a frequent value."""
+    n, size = facts
+    same = F.col(f"`{key}`").eqNullSafe(F.col("__v"))
+    found = [F.col(f"`{x}`") for x in names]
+    kept = [F.col(f"`{c}`") for c in out.columns]
+    if size > HEAD_BYTES:
+        return out.join(side.select("__v", *found), same, "left").drop("__v")
+    if n <= HEAD:
+        return out.join(F.broadcast(side.select("__v", *found)), same, "left").drop("__v")
+    head = side.where(F.col("code") < HEAD).select("__v", F.struct(*found).alias("__head"))
+    tail = side.where(F.col("code") >= HEAD).select("__v", F.lit(0).cast("long").alias("__deal"), F.struct(*found).alias("__tail"))
+    served = out.join(F.broadcast(head), same, "left").drop("__v")
+    served = served.withColumn("__salt", F.when(F.col("__head").isNull(), F.lit(0).cast("long")).otherwise(F.xxhash64(*kept).bitwiseOR(F.lit(1))))
+    both = served.join(tail, same & (F.col("__salt") == F.col("__deal")), "left")
+    return both.select(*kept, *[F.coalesce(F.col(f"__head.`{x}`"), F.col(f"__tail.`{x}`")).alias(x) for x in names])
+
+
 def encode(df: DataFrame, dictionary: DataFrame, cols: list[str], suffix: str = "__code", freq: bool = False) -> DataFrame:
-    """`df` with a code column for each of `cols` (and `__freq` ones). Each join is on the value,
-    null-safe; Spark broadcasts a column's dictionary only if its written size allows."""
+    """`df` with a code column for each of `cols` (and `__freq` ones). Each join is on the value, null-safe."""
     out = clean(df, cols)
+    facts = head_facts(dictionary, cols)
     for i, c in enumerate(cols):
+        names = [c + suffix, *([c + "__freq"] if freq else [])]
         side = dictionary.where(F.col("col_idx") == i).select(
-            F.col(f"`{c}`").alias("__v"), F.col("code").alias(c + suffix), *([F.col("freq").alias(c + "__freq")] if freq else [])
+            F.col(f"`{c}`").alias("__v"), "code", F.col("code").alias(c + suffix), *([F.col("freq").alias(c + "__freq")] if freq else [])
         )
-        out = out.join(side, F.col(f"`{c}`").eqNullSafe(F.col("__v")), "left").drop("__v")
+        out = _lookup(out, side, c, facts[i], names)
     return out
 
 
 def decode(df: DataFrame, dictionary: DataFrame, cols: list[str], suffix: str = "__code") -> DataFrame:
     """Values back from the code columns, which are dropped."""
     out = df
+    facts = head_facts(dictionary, cols)
     for i, c in enumerate(cols):
-        side = dictionary.where(F.col("col_idx") == i).select(F.col("code").alias("__k"), F.col(f"`{c}`").alias("__v"))
-        out = out.join(side, F.col(c + suffix) == F.col("__k"), "left").drop("__k", c + suffix, c).withColumnRenamed("__v", c)
+        side = dictionary.where(F.col("col_idx") == i).select(F.col("code").alias("__v"), "code", F.col(f"`{c}`").alias("__new"))
+        out = _lookup(out.drop(c), side, c + suffix, facts[i], ["__new"]).drop(c + suffix).withColumnRenamed("__new", c)
     return out
 
 

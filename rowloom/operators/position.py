@@ -66,9 +66,18 @@ def neighbours(df: DataFrame, cols: list[str], step: int = -1, pos: str = "pos",
 
 
 def assign_blocks(df: DataFrame, rows: int | None = None, by: list[str] | None = None, shift: int = 0, pos: str = "pos") -> DataFrame:
-    """`block_id`: positions cut every `rows` rows (moved by `shift`), or one block for each value of
-    `by`, cut every `rows` rows where `rows` is given too."""
-    cut = F.floor((F.col(pos) + shift) / rows) if rows else F.lit(0)
+    """`block_id`: positions cut every `rows` rows (moved by `shift`), with `by` also wherever its values
+    differ. Ids count from 0 in the order of the blocks' first positions."""
+    if not rows:
+        raise ValueError("blocks need a bound on their rows")
+    cut = F.floor((F.col(pos) + shift) / rows)
     if not by:
         return df.withColumn("block_id", cut.cast("long"))
-    return df.withColumn("block_id", F.xxhash64(*by, cut))
+    keys = {f"__b{i}": F.col(f"`{c}`") for i, c in enumerate(by)} | {"__cut": cut}
+    groups = df.groupBy(*[v.alias(k) for k, v in keys.items()]).agg(F.min(pos).alias("__first"))
+    ids = sorted_with_positions(groups, [F.asc("__first")], "block_id").drop("__first")
+    same = F.lit(True)
+    for k, v in keys.items():
+        same = same & v.eqNullSafe(F.col(k))
+    # a block is one value of `by` and one cut, so no key of this join has more than `rows` rows
+    return df.join(ids, same).select(*[F.col(f"`{c}`") for c in df.columns], "block_id")

@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-import uuid
-
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
@@ -25,7 +23,7 @@ def _replay(spark: SparkSession, sf_dir: str) -> str:
 
 
 def _drained(spark: SparkSession, stream: DataFrame, mode: str) -> DataFrame:
-    return X.drain(stream, f"t_{uuid.uuid4().hex}", mode, scratch_path(spark, "checkpoint"))
+    return X.drain(stream, scratch_path(spark, "drained"), mode, scratch_path(spark, "checkpoint"))
 
 
 _COLS = ["start", "event_type", "n", "top_value"]

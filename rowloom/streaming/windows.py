@@ -59,11 +59,23 @@ def running_runs(events: DataFrame) -> DataFrame:
     )
 
 
-def drain(stream: DataFrame, name: str, mode: str, checkpoint: str) -> DataFrame:
-    """Runs a stream over all available input into a table in memory, and returns it."""
-    query = stream.writeStream.outputMode(mode).format("memory").queryName(name).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
+def drain(stream: DataFrame, path: str, mode: str, checkpoint: str) -> DataFrame:
+    """Runs a stream over all available input into Parquet files under `path`, and reads them back: in
+    `complete` mode the last micro-batch, which has the whole result, else all of them."""
+    last = {"batch": -1}
+
+    def write(batch: DataFrame, number: int) -> None:
+        # a batch that is run again replaces its own files only
+        batch.write.mode("overwrite").parquet(f"{path}/batch={number}")
+        last["batch"] = max(last["batch"], number)
+
+    query = stream.writeStream.outputMode(mode).foreachBatch(write).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
     query.awaitTermination()
-    return stream.sparkSession.table(name)
+    spark = stream.sparkSession
+    if last["batch"] < 0:
+        return spark.createDataFrame([], stream.schema)
+    part = f"{path}/batch={last['batch']}" if mode == "complete" else path
+    return spark.read.schema(stream.schema).parquet(part).select(*stream.columns)
 
 
 def reorder_sink(stream: DataFrame, path: str, cols: list[str], checkpoint: str, order: str = "interleave") -> None:
