@@ -1,16 +1,20 @@
 """Exact sizes, in bits, of column codecs over a reordered table. All take code columns.
 
 Output rows are (method, codec, col, bits). n and the distinct counts N are a few numbers from the
-table and its dictionary."""
+table and its dictionary. Block codes are costed where the rows are: only the codes of blocks that
+two tasks or batches share leave them."""
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from rowloom.functions.bits import (
     binary_length,
-    bits,
     bits_of,
     elias_delta_bits,
     golomb_bits,
@@ -18,7 +22,7 @@ from rowloom.functions.bits import (
     vbyte_bits,
 )
 from rowloom.operators.position import neighbours
-from rowloom.operators.runs import change_flags, rle_encode, run_count
+from rowloom.operators.runs import rle_encode, run_count, stretches
 
 BLOCK = 128
 CODECS = ("dictionary", "indirect", "sparse", "prefix", "rle", "rle_pair", "rle_nested", "delta", "entropy")
@@ -61,20 +65,8 @@ def size(
     width = _per_column(cols, [bits_of(x) for x in cards])
     if codec == "dictionary":
         rows = df.sparkSession.createDataFrame([(i, n * bits_of(x)) for i, x in enumerate(cards)], "i int, bits long")
-    elif codec in ("indirect", "sparse"):
-        per_code = long_codes(df, cols).groupBy("i", F.floor(F.col("pos") / p).alias("cblock"), "code").agg(F.count("*").alias("k"))
-        per_block = per_code.groupBy("i", "cblock").agg(F.count("*").alias("own"), F.max("k").alias("top"), F.sum("k").alias("b"))
-        cost = F.col("own") * width + F.col("b") * bits("own") if codec == "indirect" else (F.col("b") - F.col("top") + 1) * width + F.col("b")
-        rows = per_block.withColumn("cost", cost).groupBy("i").agg(F.sum("cost").alias("bits"))
-    elif codec == "prefix":
-        flags = change_flags(df, cols)
-        items = F.array(*[F.struct(F.lit(i).alias("i"), F.col(f"`new_{c}`").alias("new")) for i, c in enumerate(cols)])
-        long = flags.select("pos", F.explode(items).alias("x")).select("x.i", "pos", "x.new")
-        per_block = long.groupBy("i", F.floor(F.col("pos") / p).alias("cblock")).agg(
-            F.count("*").alias("b"), F.min(F.when(F.col("new") & (F.col("pos") % p != 0), F.col("pos") % p)).alias("first")
-        )
-        cost = bits_of(p) + width + (F.col("b") - F.coalesce("first", "b")) * width
-        rows = per_block.withColumn("cost", cost).groupBy("i").agg(F.sum("cost").alias("bits"))
+    elif codec in ("indirect", "sparse", "prefix"):
+        rows = _block_bits(df, codec, cols, [bits_of(x) for x in cards], p)
     elif codec in ("rle", "rle_pair", "rle_nested"):
         counted = run_count(df, cols, nested=codec == "rle_nested")
         index = F.array_position(F.array(*[F.lit(c) for c in cols]), F.col("col")).cast("int") - 1
@@ -93,6 +85,66 @@ def size(
     return _named(rows, method, codec, cols)
 
 
+def block_costs(blocks: np.ndarray, codec: str, width: int, p: int) -> np.ndarray:
+    """Bits of each row of `blocks`, a coding block of codes of `width` bits; `p` is the nominal block size."""
+    m, n = blocks.shape
+    if codec == "prefix":
+        differs = blocks != blocks[:, :1]
+        first = np.where(differs.any(axis=1), differs.argmax(axis=1), n)
+        return bits_of(p) + width + (n - first) * width
+    rank = np.sort(blocks, axis=1)
+    new = np.ones((m, n), bool)
+    new[:, 1:] = rank[:, 1:] != rank[:, :-1]
+    own = new.sum(axis=1)
+    if codec == "indirect":
+        return own * width + n * np.array([bits_of(k) for k in range(n + 1)])[own]
+    starts = np.flatnonzero(new.ravel())
+    lengths = np.diff(np.append(starts, m * n))
+    top = np.maximum.reduceat(lengths, np.concatenate([[0], np.cumsum(own)[:-1]]))
+    return (n - top + 1) * width + n
+
+
+def _block_bits(df: DataFrame, codec: str, cols: list[str], widths: list[int], p: int) -> DataFrame:
+    """(i, bits): the costs of whole blocks of `p` positions, summed where they are, and of those put together from pieces."""
+
+    def pieces(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            pos = batch.column(0).to_numpy().astype("int64")
+            rows: list[tuple] = []
+            totals = [0] * len(cols)
+            codes = [c.to_numpy(zero_copy_only=False).astype("int64") for c in batch.columns[1:]]
+            for lo, hi in zip(*stretches(pos), strict=True):
+                a = min(hi, lo + -int(pos[lo]) % p)
+                b = a + (hi - a) // p * p
+                for i, c in enumerate(codes):
+                    if b > a:
+                        totals[i] += int(block_costs(c[a:b].reshape(-1, p), codec, widths[i], p).sum())
+                    rows += [(i, int(pos[x] // p), None, int(pos[x]), c[x:y]) for x, y in ((lo, a), (b, hi)) if y > x]
+            rows += [(i, -1, t, 0, []) for i, t in enumerate(totals) if t]
+            if rows:
+                kinds = (pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.list_(pa.int64()))
+                columns = [pa.array(x, k) for x, k in zip(zip(*rows, strict=True), kinds, strict=True)]
+                yield pa.RecordBatch.from_arrays(columns, names=["i", "cblock", "bits", "first", "codes"])
+
+    def whole(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            i, bits = batch.column(0).to_pylist(), []
+            for k, b, parts in zip(i, batch.column(1).to_pylist(), batch.column(2).to_pylist(), strict=True):
+                if b is None:
+                    codes = np.array([[x for part in parts for x in part["codes"]]], "int64")
+                    b = int(block_costs(codes, codec, widths[k], p)[0])
+                bits.append(b)
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(bits, pa.int64())], names=["i", "bits"])
+
+    codes = df.select("pos", *[F.col(f"`{c}`").cast("long").alias(f"c{j}") for j, c in enumerate(cols)])
+    found = codes.mapInArrow(pieces, "i int, cblock long, bits long, first long, codes array<long>")
+    # a block has p codes at most, whatever the number of its pieces
+    joined = found.groupBy("i", "cblock").agg(F.sum("bits").alias("bits"), F.sort_array(F.collect_list(F.when(F.col("bits").isNull(), F.struct("first", "codes")))).alias("parts"))
+    return joined.select("i", "bits", "parts").mapInArrow(whole, "i int, bits long").groupBy("i").agg(F.sum("bits").alias("bits"))
+
+
 def _delta_bits(c: str):  # noqa: ANN202
     """A first code as it is, then a sign bit and the absolute difference where it is not 0."""
     now, before = F.col(f"`{c}`").cast("long"), F.col(f"`prev_{c}`").cast("long")

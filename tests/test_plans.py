@@ -34,17 +34,52 @@ def test_neighbours_window_by_block(spark):
     assert "hashpartitioning(__block" in text and "SinglePartition" not in text
 
 
-def test_run_count_stays_in_the_jvm(spark):
-    text = plan(R.run_count(spark.range(100).selectExpr("id as pos", "id % 3 as v"), ["v"]))
+def exchanged(text: str) -> list[str]:
+    """What each shuffle of a formatted plan moves."""
+    return [line for block in text.split("\n\n") if ") Exchange" in block for line in block.splitlines() if line.startswith("Input")]
+
+
+def test_run_count_does_not_shuffle_rows(spark):
+    df = spark.range(100).selectExpr("id as pos", "id % 3 as v")
+    text = plan(R.run_count(df, ["v"]))
     clean(text)
-    assert "Python" not in text and "Pandas" not in text and "Arrow" not in text
+    assert "Window" not in text and "Sort [" not in text
+    moved = exchanged(text)
+    assert moved and all("c0#" not in x and "pos#" not in x and "v#" not in x for x in moved), moved
+    assert text.count("MapInArrow") >= 1
 
 
-def test_sizes_stay_in_the_jvm(spark):
+def test_block_sizes_do_not_shuffle_rows(spark):
     df = spark.range(100).selectExpr("id as pos", "id % 3 as v")
-    for codec in ("indirect", "sparse", "prefix", "rle"):
+    for codec in ("indirect", "sparse", "prefix"):
         text = plan(Z.size(df, codec, ["v"], cards=[3]))
-        assert "ArrowEvalPython" not in text and "CartesianProduct" not in text, codec
+        assert "Window" not in text and "CartesianProduct" not in text, codec
+        moved = exchanged(text)
+        assert moved and all("c0#" not in x and "pos#" not in x and "v#" not in x for x in moved), moved
+
+
+def test_encode_broadcasts_frequent_values_only(spark, monkeypatch):
+    """A short dictionary is broadcast; of a long one the most frequent values, and only the others are dealt."""
+    from rowloom.operators import dictionary as D
+
+    df = spark.range(2000).selectExpr("id % 3 as a", "if(id % 2 = 0, 7, id) as b")
+    made = D.build_dictionary(df, ["a", "b"])
+    monkeypatch.setattr(D, "HEAD", 100)
+    text = plan(D.encode(df, made, ["a"]))
+    assert "BroadcastHashJoin" in text and "SortMergeJoin" not in text and ") Exchange" not in text
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", -1)
+    try:
+        coded = D.encode(df, made, ["a", "b"])
+        text = plan(coded)
+        assert text.count("SortMergeJoin LeftOuter") == 2 or text.count(") SortMergeJoin") == 1
+        assert "__salt" in text
+        want = {r["b"]: r["code"] for r in made.where("col_idx = 1").select("b", "code").collect()}
+        rows = coded.collect()
+        assert len(rows) == 2000 and all(r["b__code"] == want[r["b"]] for r in rows) and want[7] == 0
+        back = D.decode(coded.drop("a", "b").selectExpr("*", "null as a", "null as b"), made, ["a", "b"])
+        assert sorted((r["a"], r["b"]) for r in back.collect()) == sorted((r["a"], r["b"]) for r in df.collect())
+    finally:
+        spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
 
 
 def test_histograms_scan_one_column_each(spark):
