@@ -115,3 +115,58 @@ def test_one_and_no_rows():
         table = np.zeros((rows, 2), "int64")
         for tour in [*TOURS.values(), *BETTER.values(), improve.optimal]:
             assert len(tour(table)) == rows
+
+
+def test_least_matching_is_least():
+    from functools import lru_cache
+
+    from rowloom.operators.kernels.matching import least_matching
+
+    def least(c):
+        m = len(c)
+
+        @lru_cache(None)
+        def rest(mask):
+            if mask == (1 << m) - 1:
+                return 0
+            i = next(k for k in range(m) if not mask >> k & 1)
+            return min(int(c[i, j]) + rest(mask | 1 << i | 1 << j) for j in range(i + 1, m) if not mask >> j & 1)
+
+        return rest(0)
+
+    rng = np.random.default_rng(5)
+    for _ in range(250):
+        m, top = 2 * int(rng.integers(0, 7)), int(rng.choice([1, 3, 10, 1000]))
+        c = np.triu(rng.integers(0, top + 1, (m, m)), 1)
+        c = c + c.T
+        pairs = least_matching(c) if m else []
+        assert sorted(x for p in pairs for x in p) == list(range(m))
+        assert sum(int(c[a, b]) for a, b in pairs) == (least(c) if m else 0)
+    with pytest.raises(ValueError):
+        least_matching(np.zeros((3, 3), int))
+
+
+def test_christofides_keeps_its_bound():
+    """At most one and a half times the shortest closed tour, found by dynamic programming over subsets."""
+    from rowloom.operators.kernels import tours as C
+
+    rng = np.random.default_rng(7)
+    for _ in range(12):
+        codes = rng.integers(0, 3, (10, 4))
+        d = (codes[:, None, :] != codes[None, :, :]).sum(axis=2)
+        best = {(1, 0): 0}
+        for mask in range(1, 1 << 10):
+            for last in range(10):
+                if (mask, last) in best:
+                    for x in range(10):
+                        if not mask >> x & 1:
+                            key, cost = (mask | 1 << x, x), best[mask, last] + int(d[last, x])
+                            best[key] = min(best.get(key, cost), cost)
+        shortest = min(best[(1 << 10) - 1, x] + int(d[x, 0]) for x in range(1, 10))
+        path = C.christofides(codes)
+        assert sorted(path.tolist()) == list(range(10))
+        closed = sum(int(d[path[i], path[(i + 1) % 10]]) for i in range(10))
+        assert closed <= 1.5 * shortest
+    big = rng.integers(0, 4, (200, 5))
+    for walk in (C.christofides, C.iterated_matching):
+        assert sorted(walk(big).tolist()) == list(range(200))
