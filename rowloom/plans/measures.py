@@ -117,24 +117,19 @@ def rle_decode_native(spark: SparkSession, sf_dir: str) -> DataFrame:
     return R.rle_decode(R.rle_encode(ordered(spark, sf_dir, "lineitem", "lexicographic"), "l_tax"))
 
 
-@query("rle_lookup", f"WITH {S.ordered(WORKS['lineitem'].sql, WORKS['lineitem'].cols, 'lexicographic')} SELECT pos, l_tax AS value FROM o WHERE pos % 97 = 0")
+@query("rle_lookup", f"WITH {S.ordered(WORKS['lineitem'].sql, WORKS['lineitem'].cols, 'lexicographic')} SELECT pos, l_tax AS value FROM o")
 def rle_lookup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The value at every position, from the runs alone."""
     df = ordered(spark, sf_dir, "lineitem", "lexicographic")
-    return R.value_at(R.rle_encode(df, "l_tax"), df.where("pos % 97 = 0"))
+    return R.value_at(R.rle_encode(df, "l_tax"), df)
 
 
-@query("asof_run", f"{_runs_sql('lineitem', 1)} SELECT p.pos, value, p.pos - start AS offset_in_run FROM (SELECT range AS pos FROM range(0, 6000, 500)) p ASOF JOIN r ON p.pos >= r.start")
+@query("asof_run", f"{_runs_sql('lineitem', 1)} SELECT p.pos, value, p.pos - start AS offset_in_run FROM (SELECT unnest(range(0, (SELECT count(*) FROM lineitem))) AS pos) p ASOF JOIN r ON p.pos >= r.start")
 def asof_run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The run that holds a position, as the last one that starts at or before it."""
-    from pyspark.sql import Window as W
-
-    runs = R.rle_encode(ordered(spark, sf_dir, "lineitem", "lexicographic"), "l_returnflag")
-    asked = spark.range(0, 6000, 500).select(F.col("id").alias("pos"), F.lit(None).cast("long").alias("start"), F.lit(None).cast("string").alias("value"), F.lit(1).alias("asked"))
-    marks = runs.select(F.col("start").alias("pos"), "start", "value", F.lit(0).alias("asked"))
-    # runs of a three-valued sorted column: a handful of rows
-    w = W.partitionBy(F.lit(0)).orderBy("pos", "asked").rowsBetween(W.unboundedPreceding, 0)
-    seen = marks.unionByName(asked).select("pos", "asked", F.last("start", True).over(w).alias("start"), F.last("value", True).over(w).alias("value"))
-    return seen.where("asked = 1").select("pos", "value", (F.col("pos") - F.col("start")).alias("offset_in_run"))
+    """The run that holds each position, as the last one that starts at or before it."""
+    df = ordered(spark, sf_dir, "lineitem", "lexicographic")
+    found = R.value_at(R.rle_encode(df, "l_returnflag"), df, start=True)
+    return found.select("pos", "value", (F.col("pos") - F.col("start")).alias("offset_in_run"))
 
 
 def _overlap_sql() -> str:

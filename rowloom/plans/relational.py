@@ -93,12 +93,13 @@ def filter_predicates(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def _dict_join(kind: str, sql: str) -> None:
-    @query(f"dict_join_{kind}", f"SELECT o.o_orderkey, d.code FROM orders o {sql} JOIN (SELECT o_orderpriority AS v, row_number() OVER (ORDER BY f DESC, o_orderpriority) - 1 AS code FROM (SELECT o_orderpriority, count(*) AS f FROM orders WHERE o_orderstatus = 'F' AND o_orderkey % 7 < 3 GROUP BY 1) QUALIFY code < 3) d ON o.o_orderpriority = d.v")
+    @query(f"dict_join_{kind}", f"SELECT o.o_orderkey, d.code FROM orders o {sql} JOIN (SELECT * FROM (SELECT l_orderkey AS v, f, row_number() OVER (ORDER BY f DESC, l_orderkey) - 1 AS code FROM (SELECT l_orderkey, count(*) AS f FROM lineitem GROUP BY 1)) WHERE f > (SELECT count(*) / count(DISTINCT l_orderkey) FROM lineitem)) d ON o.o_orderkey = d.v")
     def plan(spark: SparkSession, sf_dir: str) -> DataFrame:
-        orders = T(spark, sf_dir, "orders").select("o_orderkey", "o_orderpriority", "o_orderstatus")
-        made = D.build_dictionary(orders.where("o_orderstatus = 'F' and o_orderkey % 7 < 3").select("o_orderpriority"), ["o_orderpriority"])
-        side = made.where("code < 3").select(F.col("o_orderpriority").alias("v"), "code")
-        return orders.join(side, F.col("o_orderpriority") == F.col("v"), kind).select("o_orderkey", "code")
+        """Orders with the codes of those order keys that are more frequent than the mean in the whole fact table."""
+        made = D.build_dictionary(T(spark, sf_dir, "lineitem").select("l_orderkey"), ["l_orderkey"])
+        mean = F.broadcast(made.agg(F.avg("freq").alias("mean")))
+        side = made.crossJoin(mean).where("freq > mean").select(F.col("l_orderkey").alias("v"), "code")
+        return T(spark, sf_dir, "orders").join(side, F.col("o_orderkey") == F.col("v"), kind).select("o_orderkey", "code")
 
 
 for _kind, _sql in (("inner", "INNER"), ("left", "LEFT"), ("right", "RIGHT"), ("full", "FULL")):
@@ -185,17 +186,40 @@ def agg_distinct(spark: SparkSession, sf_dir: str) -> DataFrame:
     return T(spark, sf_dir, "lineitem").agg(F.count_distinct("l_suppkey").alias("suppliers"), F.count_distinct("l_partkey").alias("parts"), F.count_distinct("l_suppkey", "l_partkey").alias("both"))
 
 
-@query("agg_sketches_close", "SELECT true AS hll, true AS quantile, true AS theta")
-def agg_sketches_close(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Sketches beside exact figures: distinct counts within 10 %, the median within 5 %."""
+@query(
+    "agg_sketches",
+    "SELECT count(l_partkey) AS kll_n, min(l_partkey) AS kll_least, max(l_partkey) AS kll_greatest, true AS hll, true AS quantile, true AS kll, true AS theta FROM lineitem",
+)
+def agg_sketches(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Sketches: what they keep exactly, and whether estimates are near exact figures (distinct counts
+    within 10 %, medians by rank within 3 %)."""
     li = T(spark, sf_dir, "lineitem")
-    exact = li.agg(F.count_distinct("l_partkey").alias("d"), F.median("l_extendedprice").alias("m"))
+    exact = li.agg(F.count_distinct("l_partkey").alias("d"), F.count("l_partkey").alias("n"))
     near = li.agg(
         F.hll_sketch_estimate(F.hll_sketch_agg("l_partkey", F.lit(12))).alias("h"), F.approx_percentile("l_extendedprice", 0.5, 1000).alias("q"),
-        F.theta_sketch_estimate(F.theta_sketch_agg("l_partkey")).alias("t"),
+        F.theta_sketch_estimate(F.theta_sketch_agg("l_partkey")).alias("t"), F.kll_sketch_agg_bigint("l_partkey").alias("k"),
     )
-    close = lambda a, b, part: F.abs(F.col(a) - F.col(b)) <= F.col(b) * part
-    return exact.crossJoin(near).select(close("h", "d", 0.1).alias("hll"), close("q", "m", 0.05).alias("quantile"), close("t", "d", 0.1).alias("theta"))
+    middle = F.kll_sketch_get_quantile_bigint("k", F.lit(0.5))
+    facts = near.select("h", "q", "t", F.kll_sketch_get_n_bigint("k").alias("kll_n"), *[F.kll_sketch_get_quantile_bigint("k", F.lit(x)).alias(y) for x, y in ((0.0, "kll_least"), (1.0, "kll_greatest"))], middle.alias("m"))
+    one = F.broadcast(facts)
+    # the ranks of the two medians in the whole table
+    ranks = li.crossJoin(one.select("q", "m")).agg(F.count_if(F.col("l_extendedprice") <= F.col("q")).alias("rq"), F.count_if(F.col("l_partkey") <= F.col("m")).alias("rm"))
+    close = lambda a, b, part: F.abs(a - b) <= b * part
+    return exact.crossJoin(facts).crossJoin(ranks).select(
+        "kll_n", "kll_least", "kll_greatest", close(F.col("h"), F.col("d"), 0.1).alias("hll"), close(F.col("rq"), F.col("n") / 2, 0.06).alias("quantile"),
+        close(F.col("rm"), F.col("n") / 2, 0.06).alias("kll"), close(F.col("t"), F.col("d"), 0.1).alias("theta"),
+    )
+
+
+@query("agg_count_min", "SELECT l_linenumber AS value, count(*) AS estimate FROM lineitem GROUP BY 1")
+def agg_count_min(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Counts of a column with few values from one count-min sketch, whose width leaves them apart."""
+    from rowloom.functions.sketches import count_min_estimate
+
+    li = T(spark, sf_dir, "lineitem").select(F.col("l_linenumber").cast("long").alias("value"))
+    sketch = li.agg(F.count_min_sketch("value", F.lit(0.0005), F.lit(0.99), F.lit(17)).alias("sketch"))
+    asked = li.select("value").distinct().crossJoin(F.broadcast(sketch))
+    return asked.select(F.col("value").cast("int").alias("value"), count_min_estimate("sketch", "value").alias("estimate"))
 
 
 @query("win_ranking", "SELECT o_orderkey, row_number() OVER w AS rn, rank() OVER p AS rk, dense_rank() OVER p AS dr, ntile(4) OVER w AS quarter, round(percent_rank() OVER p, 6) AS pr, round(cume_dist() OVER p, 6) AS cd FROM orders WINDOW w AS (PARTITION BY o_custkey ORDER BY o_totalprice DESC, o_orderkey), p AS (PARTITION BY o_custkey ORDER BY o_orderpriority)")

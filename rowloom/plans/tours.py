@@ -5,7 +5,7 @@ nearest-neighbour walk a recursive query on a small table walks along."""
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from rowloom.operators import blocks as B
@@ -35,22 +35,39 @@ TOURS: dict[str, dict] = {
 }
 
 
-def verdict(df: DataFrame, base: DataFrame, cols: list[str], method: str, never_worse: bool) -> DataFrame:
-    """One row: whether the reordering is a permutation of `base` on positions 0 .. n - 1, and its runs in bounds."""
-    n = base.count()
-    same = df.select(*cols).exceptAll(base.select(*cols)).isEmpty() and base.select(*cols).exceptAll(df.select(*cols)).isEmpty()
-    places = df.agg(F.count_distinct("pos"), F.coalesce(F.max("pos"), F.lit(-1))).first()
-    runs = R.total_runs(df, cols)
-    distinct = base.select(*cols).distinct().count()
-    bounded = distinct + len(cols) - 1 <= runs <= len(cols) * n
-    if never_worse:
-        bounded = bounded and runs <= R.total_runs(base, cols)
-    row = (method, n, same and places[0] == n and places[1] == n - 1, bounded)
-    return df.sparkSession.createDataFrame([row], "method string, n_rows long, is_permutation boolean, in_bounds boolean")
+#: Columns that a signature takes in hundredths, so that engines write them alike.
+_HUNDREDTHS = {"l_tax", "l_discount", "l_quantity", "l_extendedprice", "s_acctbal"}
 
 
-def _inv(names: list[str], rows: str) -> str:
-    return " UNION ALL ".join(f"SELECT '{m}' AS method, ({rows}) AS n_rows, true AS is_permutation, true AS in_bounds" for m in names)
+def signature(df: DataFrame, cols: list[str]) -> Column:
+    """A sum over rows, in any order, of part of a digest of their values: equal for equal multisets."""
+    parts = [F.round(F.col(c) * 100).cast("long").cast("string") if c in _HUNDREDTHS else F.col(c).cast("string") for c in cols]
+    return F.sum(F.conv(F.substring(F.md5(F.concat_ws("|", *parts)), 1, 8), 16, 10).cast("long"))
+
+
+def verdict(df: DataFrame, base: DataFrame, cols: list[str], method: str, never_worse: bool) -> DataFrame:
+    """One row: what SQL can tell of any permutation of `base` (rows, places, a signature of the rows, the
+    fewest runs that there can be), and whether the reordering's runs are in their bounds."""
+    runs = R.total_runs(df, cols)
+    most = R.total_runs(base, cols) if never_worse else None
+    facts = df.agg(
+        F.count("*").alias("n_rows"), F.count_distinct("pos").alias("places"), F.min("pos").alias("first"), F.max("pos").alias("last"),
+        signature(df, cols).alias("signature"), (F.count_distinct(F.struct(*cols)) + len(cols) - 1).alias("least_runs"),
+    )
+    bounded = (F.lit(runs) >= F.col("least_runs")) & (F.lit(runs) <= F.col("n_rows") * len(cols))
+    if most is not None:
+        bounded = bounded & F.lit(runs <= most)
+    return facts.select(F.lit(method).alias("method"), "*", bounded.alias("in_bounds"))
+
+
+def _inv(names: list[str], source: str, cols: list[str]) -> str:
+    text = ", ".join(f"CAST(CAST(round({c} * 100) AS BIGINT) AS VARCHAR)" if c in _HUNDREDTHS else f"CAST({c} AS VARCHAR)" for c in cols)
+    facts = (
+        "SELECT count(*) AS n_rows, count(*) AS places, CAST(0 AS BIGINT) AS first, count(*) - 1 AS last, "
+        f"CAST(sum(CAST('0x' || substr(md5(concat_ws('|', {text})), 1, 8) AS BIGINT)) AS BIGINT) AS signature, "
+        f"(SELECT count(*) FROM (SELECT DISTINCT {', '.join(cols)} FROM t)) + {len(cols) - 1} AS least_runs, true AS in_bounds FROM t"
+    )
+    return f"WITH t AS ({source}), facts AS ({facts}) SELECT method, facts.* FROM (VALUES {', '.join(f"('{m}')" for m in names)}) m(method), facts"
 
 
 def _all(frames: list[DataFrame]) -> DataFrame:
@@ -69,7 +86,7 @@ def _tour(coded: DataFrame, name: str, spec: dict) -> DataFrame:
     return B.run_blocks(coded, [B.kernel(heuristic, **opt)], [c + "__code" for c in _P.cols], rows)
 
 
-@query("tours_inv", _inv(list(TOURS), "SELECT count(*) FROM part"))
+@query("tours_inv", _inv(list(TOURS), _P.sql, _P.cols))
 def tours_inv(spark: SparkSession, sf_dir: str) -> DataFrame:
     base = O.order_by(_P.frame(spark, sf_dir), "lexicographic", _P.cols, "given", keep_codes=True)
     return _all([verdict(_tour(base, m, spec), base, _P.cols, m, False) for m, spec in TOURS.items()])
@@ -84,7 +101,7 @@ def tour_runs(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame(rows, "method string, reduction double")
 
 
-@query("distances_inv", _inv(["hamming", "delta_bits", "lee"], "SELECT count(*) FROM supplier"))
+@query("distances_inv", _inv(["hamming", "delta_bits", "lee"], "SELECT s_nationkey, s_acctbal FROM supplier", ["s_nationkey", "s_acctbal"]))
 def distances_inv(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Tours under other distances between rows."""
     import numpy as np
@@ -103,20 +120,20 @@ def distances_inv(spark: SparkSession, sf_dir: str) -> DataFrame:
 _IMPROVE = {"adjacent_swap": {}, "window_swap": {"reach": 4}, "reinsertion": {}, "peephole": {"rows": 8}}
 
 
-@query("improvements_inv", _inv(list(_IMPROVE), "SELECT count(*) FROM part"))
+@query("improvements_inv", _inv(list(_IMPROVE), _P.sql, _P.cols))
 def improvements_inv(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Improvements never add runs, in blocks that alternate their borders."""
     base = O.order_by(_P.frame(spark, sf_dir), "lexicographic", _P.cols, "given")
-    return _all([verdict(B.improve(base, m, _P.cols, 256, rounds=2, **opt), base, _P.cols, m, False) for m, opt in _IMPROVE.items()])
+    return _all([verdict(B.improve(base, m, _P.cols, 256, rounds=2, **opt), base, _P.cols, m, True) for m, opt in _IMPROVE.items()])
 
 
-@query("peephole", _inv(["peephole"], "SELECT count(*) FROM part"))
+@query("peephole", _inv(["peephole"], _P.sql, _P.cols))
 def peephole(spark: SparkSession, sf_dir: str) -> DataFrame:
     base = O.order_by(_P.frame(spark, sf_dir), "interleave", _P.cols, "given")
     return verdict(B.improve(base, "peephole", _P.cols, 1024, rows=8), base, _P.cols, "peephole", True)
 
 
-@query("pipeline_reinsertion", _inv(["lexicographic", "interleave", "frequent_component"], "SELECT count(*) FROM part"))
+@query("pipeline_reinsertion", _inv(["lexicographic", "interleave", "frequent_component"], _P.sql, _P.cols))
 def pipeline_reinsertion(spark: SparkSession, sf_dir: str) -> DataFrame:
     """A key order followed by 1-reinsertion in one block."""
     df = _P.frame(spark, sf_dir)
@@ -194,7 +211,7 @@ def ml_all_lists(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame([(len(codes) - 1, bool(good))], "steps long, nearest boolean")
 
 
-@query("ml_k_sweep", _inv([f"k={k}" for k in (1, 2, 3, 4)] + ["k=24", "gray lists"], "SELECT count(*) FROM part"))
+@query("ml_k_sweep", _inv([f"k={k}" for k in (1, 2, 3, 4)] + ["k=24", "gray lists"], _P.sql, _P.cols))
 def ml_k_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Fewer lists than columns, as many, all; and lists in Gray order."""
     df = _P.frame(spark, sf_dir)
@@ -208,7 +225,7 @@ def ml_k_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
 _L = WORKS["lineitem"]
 
 
-@query("ml_blocked", _inv(["global", "local", "guarded"], "SELECT count(*) FROM lineitem"))
+@query("ml_blocked", _inv(["global", "local", "guarded"], _L.sql, _L.cols))
 def ml_blocked(spark: SparkSession, sf_dir: str) -> DataFrame:
     df = _L.frame(spark, sf_dir)
     base = O.order_by(df, "lexicographic", _L.cols, "given", keep_codes=True)
@@ -221,7 +238,7 @@ def ml_blocked(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
-@query("block_strategies", _inv(["best of several", "restarts", "shifted rounds", "by value", "first blocks only"], "SELECT count(*) FROM lineitem"))
+@query("block_strategies", _inv(["best of several", "restarts", "shifted rounds", "by value", "first blocks only"], _L.sql, _L.cols))
 def block_strategies(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Several heuristics a block, restarts, half-shifted rounds, value blocks, and an interrupted run."""
     df = _L.frame(spark, sf_dir)
@@ -253,7 +270,23 @@ def guard_never_worse(spark: SparkSession, sf_dir: str) -> DataFrame:
     return log.agg(F.count("*").alias("blocks"), F.count_if(F.col("runs_after") > F.col("runs_before")).alias("worse"))
 
 
-@query("exact_optimum", "SELECT CAST(14 AS BIGINT) AS list_walk, CAST(14 AS BIGINT) AS optimum, CAST(15 AS BIGINT) AS interleave, CAST(15 AS BIGINT) AS frequent_component, CAST(19 AS BIGINT) AS lexicographic")
+def _optimum_sql() -> str:
+    """Fewest runs by subsets of rows, and the runs of the walk and of the key orders."""
+    w = WORKS["toy"]
+    d = " + ".join(f"CASE WHEN a.k{i} <> b.k{i} THEN 1 ELSE 0 END" for i in range(2))
+    walk = _lists_sql(w.cols, f"({w.sql})")
+    steps = " + ".join(f"CASE WHEN {c} IS DISTINCT FROM lag({c}) OVER (ORDER BY pos) THEN 1 ELSE 0 END" for c in w.cols)
+    orders = ", ".join(f"{S.total_runs(w.sql, w.cols, o)} AS {o}" for o in ("interleave", "frequent_component", "lexicographic"))
+    return (
+        f"WITH RECURSIVE {S.ordered(w.sql, w.cols, 'codes')}, ds AS (SELECT a.pos AS a, b.pos AS b, {d} AS d FROM o a, o b WHERE a.pos <> b.pos), "
+        "best AS (SELECT 1 << CAST(pos AS INTEGER) AS rows, pos AS tip, CAST(0 AS BIGINT) AS cost FROM o UNION ALL "
+        "SELECT rows | (1 << CAST(b AS INTEGER)), b, CAST(min(cost + d) AS BIGINT) FROM best JOIN ds ON a = tip WHERE (rows >> CAST(b AS INTEGER)) & 1 = 0 GROUP BY 1, 2) "
+        f"SELECT (SELECT CAST(sum(s) AS BIGINT) FROM (SELECT {steps} AS s FROM ({walk}))) AS list_walk, "
+        f"(SELECT min(cost) + 2 FROM best WHERE rows = (1 << 11) - 1) AS optimum, {orders}"
+    )
+
+
+@query("exact_optimum", _optimum_sql())
 def exact_optimum(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The shared worked example: runs of each method, and the fewest possible."""
     w = WORKS["toy"]
@@ -284,7 +317,7 @@ def ablation_sample(spark: SparkSession, sf_dir: str) -> DataFrame:
     w = WORKS["skewed"]
     df = w.frame(spark, sf_dir)
     whole = sample_gain(df, w.cols, 1 << 30)
-    return spark.createDataFrame([("whole", round(whole, 4)), ("sample", round(sample_gain(df, w.cols, 1024), 4))], "rows string, gain double")
+    return spark.createDataFrame([("whole", round(whole, 4)), ("sample", round(sample_gain(df, w.cols), 4))], "rows string, gain double")
 
 
 @query("ablation_shuffle")
@@ -313,16 +346,29 @@ def ablation_shuffle_histograms(spark: SparkSession, sf_dir: str) -> DataFrame:
     return changed.agg(F.lit(6).cast("long").alias("columns"), F.count("*").alias("changed_histograms"))
 
 
-@query("interleave_colorder", "SELECT true AS close")
+def _both_ways(w: str) -> str:
+    work = WORKS[w]
+    up, down = (S.total_runs(work.sql, cols, "interleave") for cols in (work.cols, work.cols[::-1]))
+    return f"SELECT up, down, abs(up - down) / CAST(up AS DOUBLE) < 0.01 AS close FROM (SELECT {up} AS up, {down} AS down)"
+
+
+@query("interleave_colorder", _both_ways("zipf"))
 def interleave_colorder(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Columns by rising or falling cardinality: the interleave order's runs are close."""
+    """Columns in one order or the reverse: the interleave order's runs are close."""
     w = WORKS["zipf"]
     df = w.frame(spark, sf_dir)
-    up, down = (R.total_runs(O.order_by(df, "interleave", w.cols, m), w.cols) for m in ("asc_card", "desc_card"))
-    return spark.createDataFrame([(abs(up - down) / up < 0.01,)], "close boolean")
+    up, down = (R.total_runs(O.order_by(df, "interleave", cols, "given"), w.cols) for cols in (w.cols, w.cols[::-1]))
+    return spark.createDataFrame([(up, down, abs(up - down) / up < 0.01)], "up long, down long, close boolean")
+
+
+_F5 = WORKS["toy8"]
 
 
-@query("interleave_f5", "SELECT true AS value_first, true AS value_together, CAST(8 AS BIGINT) AS runs, CAST(9 AS BIGINT) AS raw_runs")
+@query(
+    "interleave_f5",
+    f"SELECT first_at = 0 AS value_first, spread = n AS value_together, {S.total_runs(_F5.sql, _F5.cols, 'interleave')} AS runs, {S.total_runs(_F5.sql, _F5.cols, 'interleave_raw')} AS raw_runs FROM ("
+    f"WITH {S.ordered(_F5.sql, _F5.cols, 'interleave')} SELECT min(pos) FILTER (a = 1) AS first_at, max(pos) FILTER (b = 1) - min(pos) FILTER (b = 1) + 1 AS spread, count(*) FILTER (b = 1) AS n FROM o)",
+)
 def interleave_f5(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The most frequent value of column 1 comes first, and that of column 2 stands together across its border."""
     w = WORKS["toy8"]

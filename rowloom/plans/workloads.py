@@ -114,6 +114,104 @@ WORKS: dict[str, Work] = {
     ),
 }
 
+# Tables whose values are computed from hashed keys by integer arithmetic alone, the same in any engine.
+
+
+def _mixed(key, j: int, share: int, octaves: int):  # noqa: ANN001, ANN202
+    """0 in `share` hundredths of the rows, else about Zipfian: an octave at random, and a value in it."""
+    h, g = synth.hash_column(key, 500 + 2 * j), synth.hash_column(key, 501 + 2 * j)
+    size = F.shiftleft(F.lit(1).cast("long"), (F.shiftright(h, 20) % octaves).cast("int"))
+    return F.when(h % 100 < share, F.lit(0).cast("long")).otherwise(size + g % size)
+
+
+def _mixed_sql(key: str, j: int, share: int, octaves: int) -> str:
+    h, g = synth.hash_sql(key, 500 + 2 * j), synth.hash_sql(key, 501 + 2 * j)
+    size = f"(CAST(1 AS BIGINT) << CAST(({h} >> 20) % {octaves} AS INTEGER))"
+    return f"CASE WHEN {h} % 100 < {share} THEN 0 ELSE {size} + {g} % {size} END"
+
+
+#: Columns of each: percentage of the top value, octaves of the others.
+WIDE_COLS = [(25 + 20 * (j % 4), 1 + j * 14 // 42) for j in range(42)]
+DUP_COLS = [(30 + 6 * (j % 4), 9 + j // 2) for j in range(10)]
+SKY_COLS = [(20 + 7 * (j % 5), 2 + j % 4) for j in range(8)]
+_WIDE = [f"w{j:02d}" for j in range(42)]
+_DUP = [f"u{j}" for j in range(10)]
+_SKY = ["sky%d" % j for j in range(8)]
+#: 19 columns: dates and stations that determine each other in part, and skewed readings by station and day.
+WEATHER = ["half", "quarter", "year", "day_of_week", "month", *_SKY, "day_of_month", "zone", "latitude", "longitude", "station", "day"]
+
+
+def _made(df: DataFrame, key, cols: list[tuple[int, int]], names: list[str]) -> DataFrame:  # noqa: ANN001
+    return df.select(*[_mixed(key, j, *spec).alias(n) for j, (spec, n) in enumerate(zip(cols, names, strict=True))])
+
+
+def _made_sql(rows: str, key: str, cols: list[tuple[int, int]], names: list[str]) -> str:
+    return "SELECT " + ", ".join(f"{_mixed_sql(key, j, *spec)} AS {n}" for j, (spec, n) in enumerate(zip(cols, names, strict=True))) + f" FROM ({rows})"
+
+
+def wide(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """42 skewed columns, a row for each order."""
+    return _made(read_table(spark, sf_dir, "orders"), F.col("o_orderkey"), WIDE_COLS, _WIDE)
+
+
+# so many rows of the fact table share a key that about two fifths of the rows repeat another one
+_DUP_KEY = "(l_orderkey * 8 + l_linenumber) // 2"
+
+
+def duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """10 skewed columns that follow a key which several rows share."""
+    key = F.floor((F.col("l_orderkey") * 8 + F.col("l_linenumber")) / 2)
+    return _made(read_table(spark, sf_dir, "lineitem"), key, DUP_COLS, _DUP)
+
+
+def weather(spark: SparkSession, sf_dir: str) -> DataFrame:
+    li = read_table(spark, sf_dir, "lineitem")
+    d, s = F.to_date("l_shipdate"), F.col("l_suppkey")
+    reading = s * 4096 + F.unix_date(d) % 4096
+    half = F.when(F.month(d) <= 6, 0).otherwise(1)
+    dates = [half.alias("half"), F.quarter(d).alias("quarter"), F.year(d).alias("year"), F.dayofweek(d).alias("day_of_week"), F.month(d).alias("month")]
+    sky = [_mixed(reading, 60 + j, *spec).alias(n) for j, (spec, n) in enumerate(zip(SKY_COLS, _SKY, strict=True))]
+    place = [(s % 24).alias("zone"), (s * 7 % 180).alias("latitude"), (s * 13 % 360).alias("longitude"), s.alias("station"), _day("l_shipdate").alias("day")]
+    return li.select(*dates, *sky, F.dayofmonth(d).alias("day_of_month"), *place)
+
+
+def _weather_sql() -> str:
+    d = "CAST(l_shipdate AS DATE)"
+    key = f"(l_suppkey * 4096 + {_sql_day('l_shipdate')} % 4096)"
+    sky = ", ".join(f"{_mixed_sql(key, 60 + j, *spec)} AS {n}" for j, (spec, n) in enumerate(zip(SKY_COLS, _SKY, strict=True)))
+    return (
+        f"SELECT CASE WHEN month({d}) <= 6 THEN 0 ELSE 1 END AS half, quarter({d}) AS quarter, year({d}) AS year, dayofweek({d}) + 1 AS day_of_week, month({d}) AS month, {sky}, "
+        f"day({d}) AS day_of_month, l_suppkey % 24 AS zone, l_suppkey * 7 % 180 AS latitude, l_suppkey * 13 % 360 AS longitude, l_suppkey AS station, {_sql_day('l_shipdate')} AS day FROM lineitem"
+    )
+
+
+def ssb_larger(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The star-schema table two and a half times: copies with keys and prices of their own."""
+    df = ssb(spark, sf_dir)
+    second = df.select(*[_shifted(c, 1) for c in SSB])
+    third = df.where("l_linenumber <= 3 or (l_linenumber = 4 and l_suppkey % 2 = 0)").select(*[_shifted(c, 2) for c in SSB])
+    return df.unionByName(second).unionByName(third)
+
+
+_SHIFTS = {"l_orderkey": 10_000_000, "l_extendedprice": 1_000_000, "l_partkey": 1_000_000, "l_suppkey": 100_000}
+
+
+def _shifted(c: str, k: int):  # noqa: ANN202
+    return (F.col(c) + k * _SHIFTS[c]).alias(c) if c in _SHIFTS else F.col(c)
+
+
+def _ssb_larger_sql(source: str) -> str:
+    def copy(k: int) -> str:
+        return "SELECT " + ", ".join(f"{c} + {k * _SHIFTS[c]} AS {c}" if c in _SHIFTS else c for c in SSB) + f" FROM ({source})"
+
+    return f"SELECT * FROM ({source}) UNION ALL {copy(1)} UNION ALL {copy(2)} WHERE l_linenumber <= 3 OR (l_linenumber = 4 AND l_suppkey % 2 = 0)"
+
+
+WORKS["wide"] = Work(wide, _made_sql("SELECT * FROM orders", "o_orderkey", WIDE_COLS, _WIDE), _WIDE)
+WORKS["duplicates"] = Work(duplicates, _made_sql("SELECT * FROM lineitem", f"({_DUP_KEY})", DUP_COLS, _DUP), _DUP)
+WORKS["weather"] = Work(weather, _weather_sql(), WEATHER)
+WORKS["ssb_larger"] = Work(ssb_larger, _ssb_larger_sql(WORKS["ssb"].sql), SSB)
+
 TOY_ROWS = [(1, 3), (2, 1), (2, 2), (3, 3), (4, 1), (4, 2), (5, 3), (6, 1), (6, 2), (7, 4), (8, 3)]
 TOY8_ROWS = [(2, 1), (1, 1), (1, 2), (1, 1), (3, 1), (1, 3), (3, 2), (3, 3)]
 

@@ -165,3 +165,96 @@ def test_unknown_names(toy):
         Z.size(O.order_by(toy, "lexicographic", ["a", "b"]), "zip", ["a"])
     with pytest.raises(ValueError):
         D.column_order(toy, ["a", "b"], "random")
+
+
+def test_a_shuffle_parts_equal_rows(spark):
+    """10,000 rows of 10 distinct pairs: independent rows would make about 18,000 runs."""
+    from rowloom.operators.pilot import row_sample
+
+    df = spark.range(10_000).selectExpr("int(id % 10) as a", "int(id % 10 * 7) as b")
+    new = O.order_by(df, "shuffled", ["a", "b"], "given", seed=3)
+    assert abs(R.total_runs(new, ["a", "b"]) - 18_000) < 500
+    assert new.count() == 10_000 and new.agg({"pos": "max"}).first()[0] == 9_999
+    part = row_sample(df, 1000, 4)
+    shares = [r["count"] for r in part.groupBy("a").count().collect()]
+    assert sum(shares) == 1000 and len(shares) == 10 and all(60 < s < 145 for s in shares)
+    assert row_sample(df, 20_000).count() == 10_000
+
+
+def test_value_blocks_have_dense_ids(spark):
+    from rowloom.operators.position import assign_blocks, sorted_with_positions
+    from pyspark.sql import functions as F
+
+    df = sorted_with_positions(spark.range(1000).selectExpr("id", "if(id % 7 = 0, null, id % 3) as v"), [F.asc("id")])
+    got = assign_blocks(df, 100, ["v"]).collect()
+    ids = {}
+    for r in got:
+        assert ids.setdefault((r["v"], r["pos"] // 100), r["block_id"]) == r["block_id"]
+    assert sorted(ids.values()) == list(range(len(ids))) and len(ids) == 40
+    with pytest.raises(ValueError):
+        assign_blocks(df, None, ["v"])
+
+
+def test_first_blocks_only_by_value(spark):
+    """With value blocks, `max_blocks` counts blocks in the order of their first positions."""
+    df = spark.range(4000).selectExpr("int(id % 2) as v", "int(pmod(xxhash64(id), 50)) as a", "int(pmod(xxhash64(id, 1), 50)) as b")
+    base = O.order_by(df, "lexicographic", ["v", "a", "b"], "given", keep_codes=True)
+    codes = ["v__code", "a__code", "b__code"]
+    some = B.run_blocks(base, [B.kernel("multiple_lists")], codes, 1000, by=["v__code"], max_blocks=1)
+    moved = base.select("pos", *codes).exceptAll(some.select("pos", *codes)).agg({"pos": "min"}).first(), base.select("pos", *codes).exceptAll(some.select("pos", *codes)).agg({"pos": "max"}).first()
+    assert moved[0][0] is not None and moved[1][0] < 1000
+
+
+def test_runs_of_every_type_across_borders(spark):
+    """Counts over many files and batches, of nulls, NaN, zeros of both signs and nested runs, against one pass over the rows."""
+    df = spark.range(3000).selectExpr(
+        "id as pos", "if(id % 50 < 5, null, string(id div 7 % 3)) as s", "if(id % 11 = 0, double('NaN'), if(id % 2 = 0, 0.0, -0.0)) as x",
+        "date_add(date'2020-01-01', int(id div 400)) as d", "id % 100 < 98 as t", "decimal(id div 3) as m",
+    )
+    cols = ["s", "x", "d", "t", "m"]
+    rows = [[None if v is None else "nan" if v != v else 0.0 if v == 0 else v for v in r[1:]] for r in df.orderBy("pos").collect()]
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", 37)
+    try:
+        for nested in (False, True):
+            want, new = [0] * 5, None
+            for i, r in enumerate(rows):
+                before = False
+                for j in range(5):
+                    own = i == 0 or r[j] != rows[i - 1][j]
+                    before = before or own
+                    want[j] += before if nested else own
+            for frame in (df, df.repartition(5)):
+                got = {r["col"]: r["runs"] for r in R.run_count(frame, cols, nested=nested).collect()}
+                assert [got[c] for c in cols] == want
+    finally:
+        spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
+
+
+def test_block_sizes_across_borders(spark):
+    """Block codes of codes that batches and tasks cut anywhere, against their definition block by block."""
+    from rowloom.functions.bits import bits_of
+    from rowloom.operators import sizes as Z
+
+    df = spark.range(1000).selectExpr("id as pos", "int(pmod(xxhash64(id div 4), 9)) as v")
+    codes = [r["v"] for r in df.orderBy("pos").collect()]
+    want = {"indirect": 0, "sparse": 0, "prefix": 0}
+    for at in range(0, 1000, 128):
+        b = codes[at : at + 128]
+        own, top = len(set(b)), max(b.count(x) for x in b)
+        first = next((i for i, x in enumerate(b) if x != b[0]), len(b))
+        want["indirect"] += own * bits_of(9) + len(b) * bits_of(own)
+        want["sparse"] += (len(b) - top + 1) * bits_of(9) + len(b)
+        want["prefix"] += bits_of(128) + bits_of(9) + (len(b) - first) * bits_of(9)
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", 53)
+    try:
+        for codec, bits in want.items():
+            for frame in (df, df.repartition(3)):
+                assert Z.size(frame, codec, ["v"], cards=[9]).first()["bits"] == bits, codec
+    finally:
+        spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
+
+
+def test_whole_walks_are_bounded(spark, monkeypatch):
+    monkeypatch.setattr(B, "WHOLE_ROWS", 10)
+    with pytest.raises(ValueError):
+        B.multiple_lists(spark.range(11).selectExpr("id as a"), ["a"])
