@@ -29,7 +29,7 @@ def to_one(codes: np.ndarray, row: np.ndarray, kind: str = "hamming", sizes: np.
 
 def matrix(codes: np.ndarray, kind: str = "hamming", sizes: np.ndarray | None = None) -> np.ndarray:
     """All pairwise distances, row by row."""
-    return np.stack([to_one(codes, r, kind, sizes) for r in codes]) if len(codes) else np.zeros((0, 0), "int64")
+    return np.stack([to_one(codes, r, kind, sizes).astype("int32") for r in codes]) if len(codes) else np.zeros((0, 0), "int32")
 
 
 def path_cost(codes: np.ndarray, kind: str = "hamming", sizes: np.ndarray | None = None) -> int:

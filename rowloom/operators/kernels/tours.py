@@ -52,10 +52,12 @@ def nearest_neighbor(
     return np.array(head[:0:-1] + tail, "int64")
 
 
-def _join(n: int, pairs: np.ndarray) -> np.ndarray:
-    """A path from links taken in the given order wherever they keep all degrees under 3 and close no cycle;
-    fragments left over follow each other."""
-    degree, root = [0] * n, list(range(n))
+def _join(n: int, weight: list[np.ndarray], without: int = -1) -> np.ndarray:
+    """A path from links in rising weight, ties by row numbers, wherever they keep all degrees under 3 and
+    close no cycle; fragments left over follow each other. `weight[i]` has row i's links to the rows
+    after it; row `without` takes none."""
+    root = list(range(n))
+    degree = np.zeros(n, "int8")
     near: list[list[int]] = [[] for _ in range(n)]
 
     def find(x: int) -> int:
@@ -64,22 +66,31 @@ def _join(n: int, pairs: np.ndarray) -> np.ndarray:
             x = root[x]
         return x
 
-    links = 0
-    for a, b in pairs.tolist():
-        if degree[a] < 2 and degree[b] < 2:
-            ra, rb = find(a), find(b)
-            if ra != rb:
-                root[ra] = rb
-                near[a].append(b)
-                near[b].append(a)
-                degree[a] += 1
-                degree[b] += 1
-                links += 1
-                if links == n - 1:
-                    break
+    starts = np.concatenate([[0], np.cumsum([len(w) for w in weight])])
+    order = np.argsort(np.concatenate(weight), kind="stable")
+    if without >= 0:
+        degree[without] = 2
+    links = n - 1 if without < 0 else n - 2
+    for at in range(0, len(order), 1 << 18):
+        k = order[at : at + (1 << 18)]
+        i = np.searchsorted(starts, k, "right") - 1
+        j = k - starts[i] + i + 1
+        open_ = (degree[i] < 2) & (degree[j] < 2)
+        for a, b in zip(i[open_].tolist(), j[open_].tolist(), strict=True):
+            if degree[a] < 2 and degree[b] < 2:
+                ra, rb = find(a), find(b)
+                if ra != rb:
+                    root[ra] = rb
+                    near[a].append(b)
+                    near[b].append(a)
+                    degree[a] += 1
+                    degree[b] += 1
+                    links -= 1
+        if not links:
+            break
     seen, path = [False] * n, []
     for s in range(n):
-        if seen[s] or degree[s] == 2:
+        if seen[s] or len(near[s]) == 2:
             continue
         at = s
         while at >= 0:
@@ -89,6 +100,17 @@ def _join(n: int, pairs: np.ndarray) -> np.ndarray:
     return np.array(path, "int64")
 
 
+def _after(codes: np.ndarray, kind: str, sizes: np.ndarray | None) -> list[np.ndarray]:
+    """Each row's distances to the rows after it."""
+    return [to_one(codes[i + 1 :], codes[i], kind, sizes).astype("int32") for i in range(len(codes))]
+
+
+def _narrow(weight: list[np.ndarray]) -> list[np.ndarray]:
+    """In 16 bits where they fit, which a stable sort takes digit by digit."""
+    top = max((int(np.abs(w).max()) for w in weight if len(w)), default=0)
+    return [w.astype("int16") for w in weight] if top < 1 << 15 else weight
+
+
 def savings(
     codes: np.ndarray, depot: str | int = "first", seed: int = 0, kind: str = "hamming", sizes: np.ndarray | None = None
 ) -> np.ndarray:
@@ -96,21 +118,14 @@ def savings(
     n = len(codes)
     if n < 3:
         return np.arange(n)
-    d = matrix(codes, kind, sizes)
-    i, j = np.triu_indices(n, 1)
+    d = _after(codes, kind, sizes)
     if depot == "artificial":
-        gain, base = -d[i, j], -1
-    else:
-        base = int(np.random.default_rng(seed).integers(n)) if depot == "random" else 0 if depot == "first" else int(depot)
-        gain = d[i, base] + d[base, j] - d[i, j]
-        keep = (i != base) & (j != base)
-        i, j, gain = i[keep], j[keep], gain[keep]
-    best = np.argsort(-gain, kind="stable")
-    path = _join(n, np.stack([i[best], j[best]], axis=1))
-    if base >= 0:
-        # the depot closes the tour of the others; the path starts at it
-        path = np.concatenate([[base], path[path != base]])
-    return path
+        return _join(n, _narrow(d))
+    base = int(np.random.default_rng(seed).integers(n)) if depot == "random" else 0 if depot == "first" else int(depot)
+    home = to_one(codes, codes[base], kind, sizes).astype("int32")
+    path = _join(n, _narrow([d[i] - home[i] - home[i + 1 :] for i in range(n)]), base)
+    # the depot closes the tour of the others; the path starts at it
+    return np.concatenate([[base], path[path != base]])
 
 
 def multiple_fragment(codes: np.ndarray, kind: str = "hamming", sizes: np.ndarray | None = None) -> np.ndarray:
@@ -118,9 +133,7 @@ def multiple_fragment(codes: np.ndarray, kind: str = "hamming", sizes: np.ndarra
     n = len(codes)
     if n < 2:
         return np.arange(n)
-    i, j = np.triu_indices(n, 1)
-    best = np.argsort(matrix(codes, kind, sizes)[i, j], kind="stable")
-    return _join(n, np.stack([i[best], j[best]], axis=1))
+    return _join(n, _narrow(_after(codes, kind, sizes)))
 
 
 def insertion(
@@ -134,11 +147,15 @@ def insertion(
     n = len(codes)
     if n < 3:
         return np.arange(n)
-    d = matrix(codes, kind, sizes).astype("int64")
+    d = matrix(codes, kind, sizes)
     far = int(d.max()) + 1
-    full = np.full((n + 1, n + 1), far, "int64")
+    full = np.full((n + 1, n + 1), far, "int32")
     full[:n, :n] = d
-    after = {n: start, start: n}
+    # rows of the tour in the order of their insertion, and the row that follows each
+    joined, after = np.zeros(n + 1, "int64"), np.zeros(n + 1, "int64")
+    joined[:2] = n, start
+    after[n], after[start] = start, n
+    size = 2
     out = np.ones(n, bool)
     out[start] = False
     closest = d[start].copy()
@@ -147,8 +164,8 @@ def insertion(
     heap: list[tuple[int, int, int]] = []
 
     def cheapest_place(row: int) -> tuple[int, int]:
-        a = np.fromiter(after.keys(), "int64", len(after))
-        b = np.fromiter(after.values(), "int64", len(after))
+        a = joined[:size]
+        b = after[a]
         cost = full[a, row] + full[row, b] - full[a, b]
         k = int(cost.argmin())
         return int(cost[k]), int(a[k])
@@ -179,8 +196,10 @@ def insertion(
                 heapq.heappush(heap, (now[0], row, now[1]))
         else:
             raise ValueError("pick is nearest, farthest, random or cheapest")
-        b = after[a]
+        b = int(after[a])
         after[a], after[row] = row, b
+        joined[size] = row
+        size += 1
         out[row] = False
         closest = np.minimum(closest, d[row])
         if pick == "cheapest":
@@ -189,10 +208,10 @@ def insertion(
             for p, q in ((a, row), (row, b)):
                 for cost, r in zip((full[p, rest] + full[rest, q] - full[p, q]).tolist(), rest.tolist(), strict=True):
                     heapq.heappush(heap, (cost, r, p))
-    path, at = [], after[n]
+    path, at = [], int(after[n])
     while at != n:
         path.append(at)
-        at = after[at]
+        at = int(after[at])
     return np.array(path, "int64")
 
 

@@ -9,16 +9,20 @@ from rowloom.operators import blocks as B
 from rowloom.operators import order as O
 from rowloom.operators import runs as R
 from rowloom.operators import sizes as Z
-from rowloom.operators.dictionary import build_dictionary, cardinalities
+from rowloom.operators.dictionary import build_dictionary, cardinalities, settled
+from rowloom.operators.encoded import encoded_bits
 from rowloom.plans.workloads import WORKS
+from rowloom.sources.scratch import written
 
 CODECS = ("dictionary", "sparse", "indirect", "prefix", "rle")
 
 
-def comparison(spark: SparkSession, sf_dir: str, work: str = "lineitem", block_rows: int = B.BLOCK_ROWS) -> DataFrame:
-    """(method, codec, bits, ratio): sizes under each order, and the sorted order's over them. RunCount is in runs."""
+def comparison(spark: SparkSession, sf_dir: str, work: str = "lineitem", block_rows: int = B.BLOCK_ROWS, lz: str | None = None) -> DataFrame:
+    """(method, codec, bits, ratio): sizes under each order, and the sorted order's over them. RunCount is in runs.
+
+    `lz` names a codec of the LZ class whose bytes are measured too."""
     w = WORKS[work]
-    df = w.frame(spark, sf_dir)
+    df = settled(w.frame(spark, sf_dir))
     dictionary = build_dictionary(df, w.cols)
     cards = cardinalities(dictionary, w.cols)
     codes = [c + "__code" for c in w.cols]
@@ -26,11 +30,12 @@ def comparison(spark: SparkSession, sf_dir: str, work: str = "lineitem", block_r
         "lexicographic": O.order_by(df, "lexicographic", w.cols, "given", keep_codes=True, dictionary=dictionary),
         "interleave": O.order_by(df, "interleave", w.cols, "given", keep_codes=True, dictionary=dictionary),
     }
-    frames["multiple_lists_blocked"] = B.run_blocks(frames["lexicographic"], [B.kernel("multiple_lists")], codes, block_rows)
+    frames["multiple_lists_blocked"] = written(B.run_blocks(frames["lexicographic"], [B.kernel("multiple_lists")], codes, block_rows), "walked")
     rows = None
     for method, frame in frames.items():
         parts = [Z.size(frame, codec, codes, method, cards) for codec in CODECS]
         runs = R.run_count(frame, codes, method).select("method", F.lit("runcount").alias("codec"), "col", F.col("runs").alias("bits"))
+        parts += [encoded_bits(frame, codes, lz, cards, method)] if lz else []
         for one in [*parts, runs]:
             rows = one if rows is None else rows.unionByName(one)
     total = rows.groupBy("method", "codec").agg(F.sum("bits").alias("bits"))

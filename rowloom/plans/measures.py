@@ -251,15 +251,65 @@ def compression_matrix(spark: SparkSession, sf_dir: str) -> DataFrame:
     return ratio_matrix(spark, sf_dir, _MATRIX_WORKS, ["interleave", "frequent_component"])
 
 
-def ratio_matrix(spark: SparkSession, sf_dir: str, works: list[str], orders: list[str]) -> DataFrame:
+#: Stand-ins of the six data sets: few distinct values a column, wide, metadata, star schema, readings, duplicates.
+SIX = ("census", "wide", "events", "ssb", "weather", "duplicates")
+
+
+def _six_sql(codec: str) -> str:
+    return " UNION ALL ".join(_ratio_sql(w, codec, "interleave") for w in SIX)
+
+
+for _codec in ("sparse", "indirect", "prefix", "rle"):
+
+    def _six(spark: SparkSession, sf_dir: str, codec: str = _codec) -> DataFrame:
+        return ratio_matrix(spark, sf_dir, list(SIX), ["interleave"], (codec,))
+
+    query(f"six_sets_{_codec}", _six_sql(_codec))(_six)
+
+
+@query(
+    "six_sets_runs",
+    " UNION ALL ".join(
+        f"SELECT '{w}' AS workload, lexicographic, interleave FROM (SELECT {S.total_runs(WORKS[w].sql, WORKS[w].cols, 'codes')} AS lexicographic, {S.total_runs(WORKS[w].sql, WORKS[w].cols, 'interleave')} AS interleave)"
+        for w in SIX
+    ),
+)
+def six_sets_runs(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Runs of the six stand-ins, sorted by codes and interleaved."""
+    rows = []
+    for w in SIX:
+        runs = [R.total_runs(ordered(spark, sf_dir, w, o, keep_codes=True), WORKS[w].cols) for o in ("lexicographic", "interleave")]
+        rows.append((w, *runs))
+    return spark.createDataFrame(rows, "workload string, lexicographic long, interleave long")
+
+
+@query("six_sets_blocked_lists")
+def six_sets_blocked_lists(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every measure of the six stand-ins under blocked list walks and the interleave order, LZ class too: the walk has no SQL form."""
+    from rowloom.plans.flagship import comparison
+
+    return _union([comparison(spark, sf_dir, w, lz="lz4_raw").select(F.lit(w).alias("workload"), "method", "codec", "ratio").where("method <> 'lexicographic'") for w in SIX])
+
+
+@query("ssb_growth", " UNION ALL ".join(f"SELECT '{w}' AS workload, count(*) AS n, {S.total_runs(WORKS[w].sql, WORKS[w].cols, 'codes')} AS lexicographic, {S.total_runs(WORKS[w].sql, WORKS[w].cols, 'interleave')} AS interleave FROM ({WORKS[w].sql})" for w in ("ssb", "ssb_larger")))
+def ssb_growth(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Runs of the star-schema table and of one two and a half times as long."""
+    rows = []
+    for w in ("ssb", "ssb_larger"):
+        frames = [ordered(spark, sf_dir, w, o, keep_codes=True) for o in ("lexicographic", "interleave")]
+        rows.append((w, frames[0].count(), *(R.total_runs(f, WORKS[w].cols) for f in frames)))
+    return spark.createDataFrame(rows, "workload string, n long, lexicographic long, interleave long")
+
+
+def ratio_matrix(spark: SparkSession, sf_dir: str, works: list[str], orders: list[str], codecs: tuple[str, ...] = _MATRIX) -> DataFrame:
     out = []
     for w in works:
         base = ordered(spark, sf_dir, w, "lexicographic", keep_codes=True)
         codes = _codes(w)
         others = {o: ordered(spark, sf_dir, w, o, keep_codes=True) for o in orders}
-        base_sizes = _union([Z.size(base, c, codes, "lexicographic") for c in _MATRIX])
+        base_sizes = _union([Z.size(base, c, codes, "lexicographic") for c in codecs])
         for o, df in others.items():
-            ratio = Z.compression_ratio(base_sizes, _union([Z.size(df, c, codes, o) for c in _MATRIX]))
+            ratio = Z.compression_ratio(base_sizes, _union([Z.size(df, c, codes, o) for c in codecs]))
             out.append(ratio.select(F.lit(w).alias("workload"), "codec", "method", "ratio"))
     return _union(out)
 

@@ -120,7 +120,7 @@ WORKS: dict[str, Work] = {
 def _mixed(key, j: int, share: int, octaves: int):  # noqa: ANN001, ANN202
     """0 in `share` hundredths of the rows, else about Zipfian: an octave at random, and a value in it."""
     h, g = synth.hash_column(key, 500 + 2 * j), synth.hash_column(key, 501 + 2 * j)
-    size = F.shiftleft(F.lit(1).cast("long"), (F.shiftright(h, 20) % octaves).cast("int"))
+    size = F.call_function("shiftleft", F.lit(1).cast("long"), (F.shiftright(h, 20) % octaves).cast("int"))
     return F.when(h % 100 < share, F.lit(0).cast("long")).otherwise(size + g % size)
 
 
