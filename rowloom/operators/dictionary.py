@@ -17,10 +17,15 @@ HEAD, HEAD_BYTES = 1 << 18, 32 << 20
 _COSTLY = re.compile(r"\b(Join|Aggregate|Window|Generate|Sort|Repartition|RepartitionByExpression|Distinct|Intersect|Except|MapInArrow|MapInPandas|FlatMapGroupsInArrow|FlatMapGroupsInPandas|ArrowEvalPython|BatchEvalPython|Expand|Sample)\b")
 
 
+#: Characters of a plan from which on its expressions count as costly.
+LONG_PLAN = 8000
+
+
 def settled(df: DataFrame) -> DataFrame:
-    """`df`, written first if its plan does more than read, filter and compute columns: dictionaries read it once a column."""
+    """`df`, written first if its plan does more than read, filter and compute short expressions:
+    dictionaries read it once a column."""
     plan = df._jdf.queryExecution().optimizedPlan().toString()
-    return written(df, "input") if _COSTLY.search(plan) else df
+    return written(df, "input") if len(plan) > LONG_PLAN or _COSTLY.search(plan) else df
 
 
 def clean(df: DataFrame, cols: list[str]) -> DataFrame:

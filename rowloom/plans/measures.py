@@ -10,6 +10,7 @@ from rowloom.operators import order as O
 from rowloom.operators import profile as P
 from rowloom.operators import runs as R
 from rowloom.operators import sizes as Z
+from rowloom.operators.dictionary import build_dictionary, cardinalities, settled
 from rowloom.operators.encoded import decode_chunks, encode_chunks, encoded_bits
 from rowloom.operators.position import sorted_with_positions
 from rowloom.plans import oracle as S
@@ -255,32 +256,19 @@ def compression_matrix(spark: SparkSession, sf_dir: str) -> DataFrame:
 SIX = ("census", "wide", "events", "ssb", "weather", "duplicates")
 
 
-def _six_sql(codec: str) -> str:
-    return " UNION ALL ".join(_ratio_sql(w, codec, "interleave") for w in SIX)
-
-
-for _codec in ("sparse", "indirect", "prefix", "rle"):
+def _runs_ratio_sql(work: str) -> str:
+    w = WORKS[work]
+    lex, inter = (S.total_runs(w.sql, w.cols, o) for o in ("codes", "interleave"))
+    return f"SELECT '{work}' AS workload, 'runcount' AS codec, 'interleave' AS method, round(CAST({lex} AS DOUBLE) / {inter}, 6) AS ratio"
 
-    def _six(spark: SparkSession, sf_dir: str, codec: str = _codec) -> DataFrame:
-        return ratio_matrix(spark, sf_dir, list(SIX), ["interleave"], (codec,))
 
-    query(f"six_sets_{_codec}", _six_sql(_codec))(_six)
+_SIX_CODECS = ("sparse", "indirect", "prefix", "rle")
 
 
-@query(
-    "six_sets_runs",
-    " UNION ALL ".join(
-        f"SELECT '{w}' AS workload, lexicographic, interleave FROM (SELECT {S.total_runs(WORKS[w].sql, WORKS[w].cols, 'codes')} AS lexicographic, {S.total_runs(WORKS[w].sql, WORKS[w].cols, 'interleave')} AS interleave)"
-        for w in SIX
-    ),
-)
-def six_sets_runs(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Runs of the six stand-ins, sorted by codes and interleaved."""
-    rows = []
-    for w in SIX:
-        runs = [R.total_runs(ordered(spark, sf_dir, w, o, keep_codes=True), WORKS[w].cols) for o in ("lexicographic", "interleave")]
-        rows.append((w, *runs))
-    return spark.createDataFrame(rows, "workload string, lexicographic long, interleave long")
+@query("six_sets", " UNION ALL ".join([_ratio_sql(w, c, "interleave") for w in SIX for c in _SIX_CODECS] + [_runs_ratio_sql(w) for w in SIX]))
+def six_sets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every measure that has a formula, of the six stand-ins, interleaved against sorted."""
+    return ratio_matrix(spark, sf_dir, list(SIX), ["interleave"], (*_SIX_CODECS, "runcount"))
 
 
 @query("six_sets_blocked_lists")
@@ -301,15 +289,24 @@ def ssb_growth(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame(rows, "workload string, n long, lexicographic long, interleave long")
 
 
+def _measured(df: DataFrame, codec: str, codes: list[str], method: str, cards: list[int]) -> DataFrame:
+    if codec == "runcount":
+        return R.run_count(df, codes, method).select("method", F.lit(codec).alias("codec"), "col", F.col("runs").alias("bits"))
+    return Z.size(df, codec, codes, method, cards)
+
+
 def ratio_matrix(spark: SparkSession, sf_dir: str, works: list[str], orders: list[str], codecs: tuple[str, ...] = _MATRIX) -> DataFrame:
     out = []
     for w in works:
-        base = ordered(spark, sf_dir, w, "lexicographic", keep_codes=True)
-        codes = _codes(w)
-        others = {o: ordered(spark, sf_dir, w, o, keep_codes=True) for o in orders}
-        base_sizes = _union([Z.size(base, c, codes, "lexicographic") for c in codecs])
+        # read, coded and counted once for all orders and codecs
+        df, cols = settled(WORKS[w].frame(spark, sf_dir)), WORKS[w].cols
+        dictionary = build_dictionary(df, cols)
+        base, codes = O.order_by(df, "lexicographic", cols, "given", keep_codes=True, dictionary=dictionary), _codes(w)
+        others = {o: O.order_by(df, o, cols, "given", keep_codes=True, dictionary=dictionary) for o in orders}
+        cards = cardinalities(dictionary, WORKS[w].cols)
+        base_sizes = _union([_measured(base, c, codes, "lexicographic", cards) for c in codecs])
         for o, df in others.items():
-            ratio = Z.compression_ratio(base_sizes, _union([Z.size(df, c, codes, o) for c in codecs]))
+            ratio = Z.compression_ratio(base_sizes, _union([_measured(df, c, codes, o, cards) for c in codecs]))
             out.append(ratio.select(F.lit(w).alias("workload"), "codec", "method", "ratio"))
     return _union(out)
 
