@@ -268,8 +268,9 @@ def near_duplicates(
     crowd = dense.select(cols).repartitionByRange(*order).sortWithinPartitions(*order)
     found = written(found.union(crowd.mapInArrow(lean(_neighbours(threshold)), "a long, b long")).distinct(), "candidates")
 
+    # a row for each document, with its dense regions: one a tree at most
     members = written(
-        dense.groupBy("tree", "region", "did").agg(*[F.first(c).alias(c) for c in ("n", "s1", "s2")]), "dense"
+        dense.groupBy("did").agg(*[F.first(c).alias(c) for c in ("n", "s1", "s2")], F.collect_set(F.struct("tree", "region")).alias("spots")), "dense"
     )
     needed = found.select(F.explode(F.array("a", "b")).alias("did")).union(members.select("did")).distinct()
     # both sides are dealt by id at every size, so that cost grows with the input
@@ -308,8 +309,8 @@ def near_duplicates(
 def _mixed(members: DataFrame, nodes: DataFrame, n_docs: int) -> DataFrame:
     """(did, component) of the members of dense regions that hold more than one component."""
     labelled = members.join(nodes.withColumnRenamed("node", "did"), "did", "left").select(
-        "tree", "region", "did", F.coalesce("component", "did").alias("component")
-    )
+        F.explode("spots").alias("at"), "did", F.coalesce("component", "did").alias("component")
+    ).select("at.tree", "at.region", "did", "component")
     regions = (
         labelled.groupBy("tree", "region")
         .agg(F.min("component").alias("lo"), F.max("component").alias("hi"), F.count("*").alias("w"))
@@ -324,7 +325,8 @@ def _hub_pairs(members: DataFrame, links: DataFrame, nodes: DataFrame, threshold
     labelled = (
         members.join(degree, "did", "left")
         .join(nodes.withColumnRenamed("node", "did"), "did", "left")
-        .select("tree", "region", "did", "n", "s1", "s2", F.coalesce("degree", F.lit(0)).alias("degree"), F.coalesce("component", "did").alias("component"))
+        .select(F.explode("spots").alias("at"), "did", "n", "s1", "s2", F.coalesce("degree", F.lit(0)).alias("degree"), F.coalesce("component", "did").alias("component"))
+        .select("at.tree", "at.region", "did", "n", "s1", "s2", "degree", "component")
     )
     best = labelled.groupBy("tree", "region").agg(
         F.expr("max_by(struct(did, n, s1, s2, component), struct(degree, -did))").alias("h"), F.count("*").alias("w")

@@ -74,7 +74,9 @@ def spread_join(left: DataFrame, right: DataFrame, keys: list[str], weight: str,
     by a hash of all their columns in place of the key. `left` is read once; its keys are not null."""
     fields = [f for f in right.schema.fields if f.name not in keys]
     heavy = right.where(F.col(weight) * HEAVY > total).select(*keys, F.struct(*[f.name for f in fields]).alias("__heavy"))
-    light = right.where(F.col(weight) * HEAVY <= total).select(*keys, F.lit(0).cast("long").alias("__salt"), F.struct(*[f.name for f in fields]).alias("__light"))
+    # a zero that the optimiser cannot fold: it would take the salt out of the join's keys
+    zero = F.pmod(F.xxhash64(weight), F.lit(1).cast("long"))
+    light = right.where(F.col(weight) * HEAVY <= total).select(*keys, zero.alias("__salt"), F.struct(*[f.name for f in fields]).alias("__light"))
     dealt = left.join(F.broadcast(heavy), keys, "left").withColumn(
         "__salt", F.when(F.col("__heavy").isNull(), F.lit(0).cast("long")).otherwise(F.xxhash64(*left.columns).bitwiseOR(F.lit(1)))
     )

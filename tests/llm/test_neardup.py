@@ -138,6 +138,24 @@ def test_orders_follow_the_threshold():
             neardup.near_duplicates(None, threshold=t)
 
 
+def test_frequent_keys_are_dealt(spark):
+    """Half of the rows share a key: they are broadcast to, and the rest is dealt by key and salt together."""
+    from rowloom.llm.shared import spread_join
+
+    left = spark.range(6000).selectExpr("id", "if(id % 2 = 0, 1, id) as k")
+    right = left.groupBy("k").count().selectExpr("k", "count as w", "k * 10 as v").where("k < 4000")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", -1)
+    try:
+        got = spread_join(left, right, ["k"], "w", 6000, outer=True)
+        text = got._jdf.queryExecution().executedPlan().toString()
+        assert any("hashpartitioning" in x and "__salt" in x for x in text.splitlines())
+        rows = got.collect()
+        assert len(rows) == 6000 and all(r["v"] == (r["k"] * 10 if r["k"] < 4000 else None) for r in rows)
+        assert spread_join(left, right, ["k"], "w", 6000).count() == sum(r["k"] < 4000 for r in rows)
+    finally:
+        spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+
+
 def test_components(spark):
     rng = np.random.default_rng(4)
     links = [(int(a), int(b)) for a, b in rng.integers(0, 300, (260, 2))] + [(1, 1), (None, 2)] + [(i, i + 1) for i in range(1000, 1100)]
