@@ -42,8 +42,8 @@ def whole(df: DataFrame, codes: list[str], method: str, rows: int = 1 << 30, **o
 def synthetic(spark: SparkSession) -> dict:
     """Run reductions over the sorted order (of codes), and what improvements add to several tours."""
     out = {}
-    for name, make in (("zipf", zipf_table), ("uniform", uniform_table)):
-        for n in (8192, 131_072, 1_048_576):
+    for n in (8192, 131_072, 1_048_576):
+        for name, make in (("zipf", zipf_table), ("uniform", uniform_table)):
             df = make(spark, n).select(*C4)
             orders = {o: O.order_by(df, o, C4, "given", keep_codes=True) for o in ("lexicographic", "interleave", "frequent_component")}
             base = R.total_runs(orders["lexicographic"], CODES)
@@ -60,6 +60,7 @@ def synthetic(spark: SparkSession) -> dict:
                     for m in ("peephole", "adjacent_swap"):
                         got[f"{label}+{m}, gain over itself"] = round(own / R.total_runs(whole(t, CODES, m), CODES), 4)
             out[f"{name} {n}"] = got
+            print(json.dumps({f"{name} {n}": got}), file=sys.stderr, flush=True)
     return out
 
 

@@ -102,7 +102,9 @@ def _lookup(out: DataFrame, side: DataFrame, key: str, facts: tuple[int, int], n
     if n <= HEAD:
         return out.join(F.broadcast(side.select("__v", *found)), same, "left").drop("__v")
     head = side.where(F.col("code") < HEAD).select("__v", F.struct(*found).alias("__head"))
-    tail = side.where(F.col("code") >= HEAD).select("__v", F.lit(0).cast("long").alias("__deal"), F.struct(*found).alias("__tail"))
+    # a zero that the optimiser cannot fold: it would take the salt out of the join's keys
+    zero = F.pmod(F.xxhash64("code"), F.lit(1).cast("long"))
+    tail = side.where(F.col("code") >= HEAD).select("__v", zero.alias("__deal"), F.struct(*found).alias("__tail"))
     served = out.join(F.broadcast(head), same, "left").drop("__v")
     served = served.withColumn("__salt", F.when(F.col("__head").isNull(), F.lit(0).cast("long")).otherwise(F.xxhash64(*kept).bitwiseOR(F.lit(1))))
     both = served.join(tail, same & (F.col("__salt") == F.col("__deal")), "left")

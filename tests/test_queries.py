@@ -9,7 +9,8 @@ SF = "/root/testdata/sf0.001"
 #: A query of each kind; the whole set is run by the driver at a larger size.
 CHECKED = """order_lexicographic order_interleave order_frequent_component order_reflected_gray grid_hilbert grid_zorder_gray
 make_discriminating dictionary_codes dict_join_full run_count rle_runs rle_lookup rle_nested_runs runs_overlap size_indirect size_sparse
-size_prefix size_rle delta_bits_cost rle_counter_bits codec_round_trip table_profile advise bound_omega bound_mu_example toy_p0 tsp_identity
+size_prefix size_rle asof_run agg_sketches agg_count_min tour_insertion_nearest tour_insertion_farthest tour_insertion_cheapest
+tour_multiple_fragment tour_savings improve_adjacent_swap improve_reinsertion tours_inv shuffled_inv interleave_f5 delta_bits_cost rle_counter_bits codec_round_trip table_profile advise bound_omega bound_mu_example toy_p0 tsp_identity
 tour_nearest_neighbor multiple_lists_small ml_all_lists improvements_inv ml_blocked exact_optimum early_stop synthetic_bands scan_formats
 sorted_sink agg_rollup_prefix win_running_run_id setop_except_all fn_date fn_bits udtf_runs udaf_runs stream_tumbling stream_session
 stream_running_runs stream_reorder_sink""".split()
