@@ -38,6 +38,10 @@ def test_table_profile_counts_prefixes_of_the_listed_columns(spark, few_days):
     _held(spark, few_days, "table_profile")
 
 
+def test_advise_judges_the_listed_columns(spark, few_days):
+    _held(spark, few_days, "advise")
+
+
 def test_the_operator_still_orders_by_cardinality(spark):
     df = spark.range(12).selectExpr("id as wide", "id % 3 as narrow")
     by_card, listed = (P.table_profile(df, ["wide", "narrow"], order=o).first().omega for o in ("asc_card", "given"))
