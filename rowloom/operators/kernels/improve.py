@@ -10,6 +10,10 @@ import numpy as np
 from rowloom.operators.kernels.distance import matrix
 
 
+#: Range of the numbers that keep the places of a linked path in order.
+PLACES = 1 << 62
+
+
 def adjacent_swap(codes: np.ndarray, max_passes: int | None = None) -> np.ndarray:
     """Swaps successive rows wherever that saves runs, in passes over the block until one changes nothing."""
     rows = codes.tolist()
@@ -65,20 +69,76 @@ def window_swap(codes: np.ndarray, reach: int = 4) -> np.ndarray:
 
 
 def reinsertion(codes: np.ndarray) -> np.ndarray:
-    """One pass: each row in turn is taken out and put where the path grows least (its own place wins ties)."""
+    """One pass: each row in turn is taken out and put where the path grows least (its own place wins ties,
+    then the first place).
+
+    Successive equal rows are one node of a linked path. A row of a longer one lies at no cost, and by
+    the triangle inequality no row goes inside one, since the place before it comes first and costs no
+    more. Only rows whose own place costs something look at all steps of the path: the steps of a column
+    that has neither end's value cost 1, or 2 where the ends agree."""
     n, c = codes.shape
     if n < 3:
         return np.arange(n)
-    order = np.arange(n)
-    for row in range(n):
-        i = int(np.flatnonzero(order == row)[0])
-        rest = np.delete(order, i)
-        near = (codes[rest] != codes[row]).sum(axis=1)
-        steps = (codes[rest[1:]] != codes[rest[:-1]]).sum(axis=1)
-        cost = np.concatenate([[near[0]], near[:-1] + near[1:] - steps, [near[-1]]])
-        k = i if cost[i] == cost.min() else int(cost.argmin())
-        order = np.insert(rest, k, row)
-    return order
+    first = np.flatnonzero(np.concatenate([[True], (codes[1:] != codes[:-1]).any(axis=1)]))
+    m = len(first)
+    if m < 2:
+        return np.arange(n)
+    lengths = np.diff(np.append(first, n))
+    # narrow copies of the values, a column at a time; node m stands before the first and after the last
+    ends = np.stack([np.append(np.unique(codes[first, j], return_inverse=True)[1], -1) for j in range(c)])
+    ends = ends.astype("int16" if ends.max() < 1 << 15 else "int32")
+    rows = [tuple(r) for r in ends.T.tolist()]
+    nxt, prv = [*range(1, m + 1), 0], [m, *range(m)]
+    left, right = ends, np.ascontiguousarray(ends[:, nxt])
+    step = np.where(left == right, 2, 1).astype("uint8" if 2 * c < 255 else "int32")
+    gap = max(1, PLACES // (m + 2))
+    place = np.append(np.arange(m, dtype="int64") * gap + gap, 0)
+    cost, part, most = np.empty(m + 1, step.dtype), np.empty(m + 1, step.dtype), np.iinfo(step.dtype).max
+    miss, other = np.empty(m + 1, bool), np.empty(m + 1, bool)
+
+    def join(u: int, v: int) -> None:
+        nxt[u], prv[v] = v, u
+        right[:, u] = left[:, v]
+        step[:, u] = (left[:, u] == left[:, v]) + 1
+
+    for x in np.flatnonzero(lengths == 1).tolist():
+        p, q, here = prv[x], nxt[x], rows[x]
+        own = sum(0 if h == a or h == b else 2 if a == b else 1 for h, a, b in zip(here, rows[p], rows[q], strict=True))
+        if own == 0:
+            continue
+        join(p, q)
+        cost.fill(0)
+        for j in range(c):
+            np.not_equal(left[j], here[j], out=miss)
+            np.not_equal(right[j], here[j], out=other)
+            miss &= other
+            np.multiply(miss, step[j], out=part)
+            cost += part
+        cost[x] = most
+        least = int(cost.min())
+        u = p
+        if least < own:
+            found = np.flatnonzero(cost == least)
+            u = int(found[place[found].argmin()])
+        v = nxt[u]
+        join(u, x)
+        join(x, v)
+        if u == p:
+            continue
+        after = int(place[v]) if v != m else int(place[u]) + 2 * gap
+        place[x] = (int(place[u]) + after) // 2
+        if place[x] == place[u] or after >= (1 << 63) - 1:
+            at = m
+            for k in range(m + 1):
+                place[at] = k * gap
+                at = nxt[at]
+    order, at = [], nxt[m]
+    while at != m:
+        order.append(at)
+        at = nxt[at]
+    order = np.array(order)
+    starts, sizes = first[order], lengths[order]
+    return np.repeat(starts - np.cumsum(sizes) + sizes, sizes) + np.arange(n)
 
 
 @lru_cache(maxsize=8)
