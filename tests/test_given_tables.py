@@ -11,6 +11,7 @@ import __spark_entry__ as entry
 SF = "/root/testdata/sf0.001"
 READERS = [
     "bound_mu_example",
+    "fn_bits",
 ]
 
 
