@@ -12,6 +12,7 @@ SF = "/root/testdata/sf0.001"
 READERS = [
     "bound_mu_example",
     "fn_bits",
+    "fn_null_safe",
 ]
 
 
