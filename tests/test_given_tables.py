@@ -13,6 +13,7 @@ READERS = [
     "bound_mu_example",
     "fn_bits",
     "fn_null_safe",
+    "toy_lexicographic",
 ]
 
 
