@@ -14,6 +14,7 @@ READERS = [
     "fn_bits",
     "fn_null_safe",
     "toy_lexicographic",
+    "toy_p0",
 ]
 
 
