@@ -15,6 +15,7 @@ READERS = [
     "fn_null_safe",
     "toy_lexicographic",
     "toy_p0",
+    "zipf_rows",
 ]
 
 
