@@ -26,9 +26,10 @@ def comparison(spark: SparkSession, sf_dir: str, work: str = "lineitem", block_r
     dictionary = build_dictionary(df, w.cols)
     cards = cardinalities(dictionary, w.cols)
     codes = [c + "__code" for c in w.cols]
+    coded = O.code_table(df, w.cols, dictionary)
     frames = {
-        "lexicographic": O.order_by(df, "lexicographic", w.cols, "given", keep_codes=True, dictionary=dictionary),
-        "interleave": O.order_by(df, "interleave", w.cols, "given", keep_codes=True, dictionary=dictionary),
+        "lexicographic": O.order_codes(coded, "lexicographic", codes),
+        "interleave": O.order_codes(coded, "interleave", codes),
     }
     frames["multiple_lists_blocked"] = written(B.run_blocks(frames["lexicographic"], [B.kernel("multiple_lists")], codes, block_rows), "walked")
     rows = None
