@@ -45,3 +45,16 @@ def test_passing_tables_go_with_their_block(spark):
         with pytest.raises(Exception):
             spark.read.parquet(path).count()
     assert kept.count() == 3
+
+
+@pytest.mark.parametrize("name", ["ssb_like_run_count", "ssb_growth"])
+def test_tables_on_the_way_do_not_stay(spark, name):
+    import os
+
+    import __spark_entry__ as entry
+
+    top = os.path.dirname(scratch_path(spark, "x")).removeprefix("file:")
+    before = set(os.listdir(top)) if os.path.isdir(top) else set()
+    mine, theirs = compare.both(entry.queries()[name](spark, SF), compare.connect(SF), entry.oracle_sql()[name])
+    assert mine == theirs
+    assert set(os.listdir(top)) <= before
