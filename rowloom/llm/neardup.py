@@ -9,7 +9,9 @@ neighbours in each order, and the members of a dense region the best-linked one.
 regions with several components is joined exactly (`setjoin`), which is complete (so neighbours
 that a task's border parts are found there) and costs the square of a bucket of sets that share a
 rare shingle and no component. Frequent keys are dealt over tasks (`spread_join`), no group is
-gathered in one task, and nothing that grows with the corpus goes to the driver."""
+gathered in one task, and nothing that grows with the corpus goes to the driver. Rows that cannot
+have a partner in a join are left out before they are dealt (`sieve`, a broadcast table of bounded
+size); beyond some 40 million keys a join it lets most rows through, and they are all dealt."""
 
 from __future__ import annotations
 
@@ -25,7 +27,7 @@ from pyspark.sql import functions as F
 
 from rowloom.llm.components import connected_components
 from rowloom.llm.setjoin import component_links
-from rowloom.llm.shared import discard, lean, spread_join, utf8, written
+from rowloom.llm.shared import discard, lean, sieve, sifted, spread_join, utf8, written
 from rowloom.llm.shingles import WordHasher, shingle_set, split_words
 
 #: Hash functions; hashes of a full sorted key after those of the region's key.
@@ -223,6 +225,7 @@ def _confirm(pairs: DataFrame, sets: DataFrame, threshold: int) -> DataFrame:
                 keep.append(100 * common >= threshold * (len(x) + len(y) - common) > 0)
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1)], names=["a", "b"]).filter(pa.array(keep, pa.bool_()))
 
+    sets = sifted(sets, pairs.select(F.explode(F.array("a", "b")).alias("did")), ["did"])
     left = sets.select(F.col("did").alias("a"), F.col("members").alias("x"))
     right = sets.select(F.col("did").alias("b"), F.col("members").alias("y"))
     return pairs.join(left, "a").join(right, "b").select("a", "b", "x", "y").mapInArrow(lean(run), "a long, b long")
@@ -249,16 +252,20 @@ def near_duplicates(
     copies = written(
         own.groupBy("set_key").agg(F.min("doc_id").alias("first_id"), F.count("*").alias("copies")).where("copies > 1"), "copies"
     )
+    # only rows that may have a copy are dealt by their set
+    marked = sieve(own.select("doc_id", "n_shingles", "set_key", "signature"), copies.select("set_key"), ["set_key"])
     leads = (
-        spread_join(own.select("doc_id", "n_shingles", "set_key", "signature"), copies, ["set_key"], "copies", n_docs, outer=True)
+        spread_join(marked.where("__hit").drop("__hit"), copies, ["set_key"], "copies", n_docs, outer=True)
         .where("first_id is null or first_id = doc_id")
         .select("doc_id", "n_shingles", "signature")
+        .union(marked.where("not __hit").select("doc_id", "n_shingles", "signature"))
     )
     trees, root = forest(threshold)
     rows = leads.mapInArrow(lean(_orders(trees, root)), "tree int, region long, rest binary, did long, n long, s1 long, s2 long")
     sizes = written(rows.groupBy("tree", "region").agg(F.count("*").alias("region_rows")).where("region_rows > 1"), "sizes")
     # at most HEAVY frequent regions in each tree
-    shared = written(spread_join(rows, sizes, ["tree", "region"], "region_rows", n_docs), "regions")
+    spots = ["tree", "region"]
+    shared = written(spread_join(sifted(rows, sizes.select(spots), spots), sizes, spots, "region_rows", n_docs), "regions")
 
     order = ["tree", "region", "rest", "did"]
     cols = ["tree", "region", "rest", "did", "n", "s1", "s2"]
@@ -272,13 +279,14 @@ def near_duplicates(
     members = written(
         dense.groupBy("did").agg(*[F.first(c).alias(c) for c in ("n", "s1", "s2")], F.collect_set(F.struct("tree", "region")).alias("spots")), "dense"
     )
-    needed = found.select(F.explode(F.array("a", "b")).alias("did")).union(members.select("did")).distinct()
+    needed = written(found.select(F.explode(F.array("a", "b")).alias("did")).union(members.select("did")).distinct(), "needed")
     # both sides are dealt by id at every size, so that cost grows with the input
+    wanted = sifted(texts.withColumnRenamed("doc_id", "did"), needed, ["did"])
     sets = written(
-        texts.withColumnRenamed("doc_id", "did").join(needed.hint("merge"), "did", "left_semi").mapInArrow(lean(_sets(width)), "did long, members binary"),
+        wanted.join(needed.hint("merge"), "did", "left_semi").mapInArrow(lean(_sets(width)), "did long, members binary"),
         "sets",
     )
-    discard(sizes, shared)
+    discard(sizes, shared, needed)
     near = written(_confirm(found, sets, threshold), "links")
     nodes = written(connected_components(near), "nodes")
 
@@ -287,9 +295,10 @@ def near_duplicates(
     again = written(connected_components(links), "nodes")
     discard(found, near, nodes, hubbed)
 
-    more = written(component_links(_mixed(members, again, n_docs), sets, threshold), "links")
+    mixed = written(_mixed(members, again, n_docs), "mixed")
+    more = written(component_links(mixed, sifted(sets, mixed.select("did"), ["did"]), threshold), "links")
     nodes = written(connected_components(links.union(more)), "nodes")
-    discard(members, sets, links, again, more)
+    discard(members, sets, links, again, mixed, more)
 
     # rows without a set or an id are alone
     alone = base.where("set_key is null or doc_id is null").select("doc_id", "n_shingles", F.col("doc_id").alias("component_id"))

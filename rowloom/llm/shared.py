@@ -85,6 +85,29 @@ def spread_join(left: DataFrame, right: DataFrame, keys: list[str], weight: str,
     return both.select(*[F.col(c) for c in left.columns], *[F.col(f"__found.{f.name}").alias(f.name) for f in fields])
 
 
+#: Bits of a hash that choose a sieve's word: its 2**20 words of 64 bits at most, 42 MB, are broadcast.
+SIEVE_BITS = 20
+
+
+def sieve(df: DataFrame, keys: DataFrame, cols: list[str]) -> DataFrame:
+    """`df` with `__hit`: false only for rows whose `cols` no row of `keys` (these columns, of the same types) has.
+
+    An exact join may leave out the rows that are not hit, so they need not be shuffled. Keys are bits
+    of a table of bounded size. Rows are hit by chance as often as its bits are set: 0.07 at 5 million
+    keys, 0.45 at 40 million; at far more all are hit, and the join deals them all."""
+    word, bit = F.shiftrightunsigned("__hash", 64 - SIEVE_BITS), F.expr("cast(__hash & 63 as int)")
+    hashed = keys.select(F.xxhash64(*cols).alias("__hash")).select(word.alias("__word"), F.call_function("shiftleft", F.lit(1).cast("long"), bit).alias("__bit"))
+    bits = hashed.groupBy("__word").agg(F.bit_or("__bit").alias("__bits"))
+    marked = df.withColumn("__hash", F.xxhash64(*cols)).withColumn("__word", word).join(F.broadcast(bits), "__word", "left")
+    hit = F.coalesce(F.call_function("shiftright", "__bits", bit).bitwiseAND(F.lit(1)) == 1, F.lit(False))
+    return marked.select(*[F.col(c) for c in df.columns], hit.alias("__hit"))
+
+
+def sifted(df: DataFrame, keys: DataFrame, cols: list[str]) -> DataFrame:
+    """The rows of `df` that `sieve` hits: what an inner or semi join with `keys` needs, and some more."""
+    return sieve(df, keys, cols).where("__hit").drop("__hit")
+
+
 def utf8(col: Column | str) -> Column:
     """A text column as UTF-8 bytes, null as no bytes."""
     col = F.col(col) if isinstance(col, str) else col

@@ -156,6 +156,45 @@ def test_frequent_keys_are_dealt(spark):
         spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
 
 
+def _shuffled(spark):
+    """Bytes that all stages of the session have written to shuffles."""
+    sc = spark.sparkContext
+    sc._jsc.sc().listenerBus().waitUntilEmpty(30_000)
+    stages = sc._jsc.sc().statusStore().stageList(None, False, False, sc._gateway.new_array(sc._jvm.double, 0), sc._jvm.java.util.ArrayList())
+    return sum(stages.apply(i).shuffleWriteBytes() for i in range(stages.size()))
+
+
+def test_a_sieve_drops_only_rows_without_a_key(spark, monkeypatch):
+    """Every row with a key is hit, few others are; with far more keys than bits all are hit."""
+    from rowloom.llm import shared
+
+    rows = spark.range(20_000).selectExpr("if(id % 100 = 99, null, id) as k", "id as v")
+    keys = spark.range(0, 20_000, 7).selectExpr("id as k")
+    for bits, most in ((20, 60), (1, 20_000)):
+        monkeypatch.setattr(shared, "SIEVE_BITS", bits)
+        got = shared.sieve(rows, keys, ["k"]).collect()
+        assert len(got) == 20_000 and all(r["__hit"] for r in got if r["k"] is not None and r["k"] % 7 == 0)
+        assert sum(r["__hit"] and (r["k"] is None or r["k"] % 7 > 0) for r in got) <= most
+    assert shared.sieve(rows, keys.where("false"), ["k"]).where("__hit").count() == 0
+
+
+def test_texts_without_a_near_one_are_not_shuffled(spark):
+    """1,500 texts far from each other and 30 copies: only what may have a partner is dealt, however large the tables."""
+    rng = np.random.default_rng(3)
+    rows = [(i, " ".join(f"w{x}" for x in rng.integers(0, 10**9, 150))) for i in range(1500)]
+    rows += [(2000 + i, rows[i][1] if i % 2 else rows[i][1] + " more") for i in range(30)]
+    frame = spark.createDataFrame(rows, "doc_id long, text string")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", -1)
+    try:
+        before = _shuffled(spark)
+        copies = neardup.near_duplicates(frame).where("not kept").select("doc_id").collect()
+        moved = _shuffled(spark) - before
+    finally:
+        spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+    assert {r["doc_id"] for r in copies} == set(range(2000, 2030))
+    assert moved < sum(len(t) for _, t in rows)
+
+
 def test_components(spark):
     rng = np.random.default_rng(4)
     links = [(int(a), int(b)) for a, b in rng.integers(0, 300, (260, 2))] + [(1, 1), (None, 2)] + [(i, i + 1) for i in range(1000, 1100)]
