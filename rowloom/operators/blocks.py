@@ -10,7 +10,7 @@ from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -70,6 +70,12 @@ def kernel(name: str, start: str | int = "first", k: int | None = None, lists: s
             return np.lexsort(codes.T[::-1])
         raise ValueError(f"unknown block method {name}")
 
+    def together(blocks: list[np.ndarray], seeds: list[int]) -> list[np.ndarray]:
+        orders, starts = L.list_orders(blocks[0].shape[1], k, lists), [_start(b, start, s, None) for b, s in zip(blocks, seeds, strict=True)]
+        return L.walk_together(blocks, orders, starts, reuse_sort, gray)
+
+    # only list walks have a way to do several blocks at once
+    run.together = together if name == "multiple_lists" else None
     return run
 
 
@@ -102,13 +108,16 @@ def _codes(table: pa.Table | pa.RecordBatch, names: list[str]) -> np.ndarray:
 
 def run_blocks(
     df: DataFrame, methods: list[Callable], code_cols: list[str], block_rows: int, shift: int = 0, restarts: int = 1,
-    revert_if_worse: bool = False, seed: int = 0, by: list[str] | None = None, max_blocks: int | None = None,
+    revert_if_worse: bool = False, seed: int = 0, by: list[str] | None = None, max_blocks: int | None = None, abreast: int = 1,
 ) -> DataFrame:
     """Applies the kernels to every block of a positioned frame; positions stay within their block.
 
     Blocks are keyed by id and dealt by hash, one task's memory holds one block; the result does
-    not depend on the number of tasks. Blocks from number `max_blocks` on pass through unchanged."""
+    not depend on the number of tasks. Blocks from number `max_blocks` on pass through unchanged.
+    With `abreast`, one task's memory holds so many blocks, if the kernel can do several at once: same result."""
     blocked = assign_blocks(df, block_rows, by, shift)
+    if abreast > 1 and len(methods) == restarts == 1 and not revert_if_worse and max_blocks is None and getattr(methods[0], "together", None):
+        return _run_together(blocked, methods[0], code_cols, seed, abreast)
 
     def work(table: pa.Table) -> pa.Table:
         table = table.sort_by("pos")
@@ -123,6 +132,41 @@ def run_blocks(
     return blocked.groupBy("block_id").applyInArrow(work, blocked.schema).drop("block_id")
 
 
+def _run_together(blocked: DataFrame, method: Callable, code_cols: list[str], seed: int, abreast: int) -> DataFrame:
+    """Groups of `abreast` blocks, the blocks of each done at once by `method`."""
+
+    def work(table: pa.Table) -> pa.Table:
+        pos, ids = table.column("pos").to_numpy(), table.column("block_id").to_numpy()
+        turn = np.lexsort((pos, ids))
+        ids = ids[turn]
+        edges = [0, *(np.flatnonzero(ids[1:] != ids[:-1]) + 1).tolist(), len(ids)]
+        columns = [table.column(n).to_numpy() for n in code_cols]
+        narrow = all(x.max(initial=0) < 1 << 31 for x in columns)
+        blocks = []
+        for a, b in zip(edges[:-1], edges[1:], strict=True):
+            block = np.empty((b - a, len(columns)), "int32" if narrow else "int64")
+            for j, x in enumerate(columns):
+                block[:, j] = x[turn[a:b]]
+            blocks.append(block)
+        seeds = [abs(hash((seed, int(ids[a])))) % (1 << 31) for a in edges[:-1]]
+        orders = method.together(blocks, seeds)
+        moved = table.take(pa.array(np.concatenate([turn[a + order] for a, order in zip(edges[:-1], orders, strict=True)])))
+        return moved.set_column(moved.schema.get_field_index("pos"), table.schema.field("pos"), pa.array(pos[turn], table.schema.field("pos").type))
+
+    grouped = blocked.withColumn("__group", F.floor(F.col("block_id") / abreast))
+    return grouped.groupBy("__group").applyInArrow(work, grouped.schema).drop("__group", "block_id")
+
+
+#: Codes of the blocks that a task holds at once.
+ABREAST_CODES = 3 << 22
+
+
+def blocks_abreast(spark: SparkSession, rows: int, columns: int, block_rows: int) -> int:
+    """How many blocks to do at once: as many as a task may hold, but no fewer groups than cores."""
+    blocks = -(-rows // block_rows)
+    return max(1, min(ABREAST_CODES // (block_rows * columns), -(-blocks // spark.sparkContext.defaultParallelism)))
+
+
 def run_blocks_local(
     df: DataFrame, methods: list[Callable], code_cols: list[str], block_rows: int, chain: bool = False,
     restarts: int = 1, revert_if_worse: bool = False, seed: int = 0,

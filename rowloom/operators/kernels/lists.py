@@ -108,3 +108,63 @@ def walk(
         at = near
         append(at)
     return np.array(path, "int64")
+
+
+def walk_together(
+    blocks: list[np.ndarray], orders: list[list[int]] | None = None, starts: list[int] | None = None, reuse: bool = True, gray: bool = False
+) -> list[np.ndarray]:
+    """The `walk` of each of several blocks with the same columns, a step of all of them at a time.
+
+    The blocks are laid out one after another, each with a last row that stands for no neighbour
+    and is farther from every row than any other."""
+    c = blocks[0].shape[1]
+    orders = list_orders(c) if orders is None else orders
+    starts = [0] * len(blocks) if starts is None else starts
+    turn = sorted((b for b in range(len(blocks)) if len(blocks[b])), key=lambda b: -len(blocks[b]))
+    out = [np.empty(0, "int64") for _ in blocks]
+    if not turn:
+        return out
+    lengths = [len(blocks[b]) for b in turn]
+    bases = np.concatenate([[0], np.cumsum([n + 1 for n in lengths])])
+    # rows are filled up to whole words, so that differing columns are counted eight at a time
+    words = c // 8 + 1
+    narrow = all(blocks[b].max(initial=0) < 1 << 31 and blocks[b].min(initial=0) > -(1 << 31) for b in turn)
+    kind = np.dtype("int32" if narrow else "int64")
+    codes = np.zeros((int(bases[-1]), 8 * words), kind)
+    links = np.empty((int(bases[-1]), 2 * len(orders)), "int32" if bases[-1] < 1 << 31 else "int64")
+    for k, b in enumerate(turn):
+        lo, end = int(bases[k]), int(bases[k + 1]) - 1
+        codes[lo:end, :c] = blocks[b]
+        codes[end] = np.iinfo(kind).min
+        links[end] = end
+        for i, order in enumerate(sorted_lists(blocks[b], orders, reuse, gray)):
+            before, after = links[lo:end, 2 * i], links[lo:end, 2 * i + 1]
+            before[order[0]], after[order[-1]] = end, end
+            before[order[1:]] = order[:-1] + lo
+            after[order[:-1]] = order[1:] + lo
+    flat, width = links.reshape(-1), links.shape[1]
+    other = np.arange(width) ^ 1
+    at = np.array([bases[k] + starts[b] for k, b in enumerate(turn)], "int64")
+    paths = np.empty((lengths[0], len(turn)), "int64")
+    paths[0] = at
+    step, live = 1, len(turn)
+    while live:
+        upto = lengths[live - 1]
+        at, each = at[:live], np.arange(live)
+        for step in range(step, upto):
+            near = links.take(at, axis=0)
+            differs = codes.take(near, axis=0) != codes.take(at, axis=0)[:, None, :]
+            counts = np.bitwise_count(differs.view("uint64"))
+            far = counts[..., 0].astype("int32") if words > 31 else counts[..., 0]
+            for x in range(1, words):
+                far = far + counts[..., x]
+            # the neighbours of a list become each other's
+            flat[near.astype("int64") * width + other] = near[:, other]
+            at = near[each, far.argmin(axis=1)]
+            paths[step, :live] = at
+        step = upto
+        while live and lengths[live - 1] <= step:
+            live -= 1
+    for k, b in enumerate(turn):
+        out[b] = paths[: lengths[k], k] - bases[k]
+    return out

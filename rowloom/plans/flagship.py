@@ -11,6 +11,7 @@ from rowloom.operators import runs as R
 from rowloom.operators import sizes as Z
 from rowloom.operators.dictionary import build_dictionary, cardinalities, settled
 from rowloom.operators.encoded import encoded_bits
+from rowloom.operators.survey import survey
 from rowloom.plans.workloads import WORKS
 from rowloom.sources.scratch import written
 
@@ -31,12 +32,15 @@ def comparison(spark: SparkSession, sf_dir: str, work: str = "lineitem", block_r
         "lexicographic": O.order_codes(coded, "lexicographic", codes),
         "interleave": O.order_codes(coded, "interleave", codes),
     }
-    frames["multiple_lists_blocked"] = written(B.run_blocks(frames["lexicographic"], [B.kernel("multiple_lists")], codes, block_rows), "walked")
+    abreast = B.blocks_abreast(spark, coded.count(), len(codes), block_rows)
+    frames["multiple_lists_blocked"] = written(B.run_blocks(frames["lexicographic"], [B.kernel("multiple_lists")], codes, block_rows, abreast=abreast), "walked")
     rows = None
     for method, frame in frames.items():
-        parts = [Z.size(frame, codec, codes, method, cards) for codec in CODECS]
-        runs = R.run_count(frame, codes, method).select("method", F.lit("runcount").alias("codec"), "col", F.col("runs").alias("bits"))
-        parts += [encoded_bits(frame, codes, lz, cards, method)] if lz else []
+        # a frame is read once for all that is summed over it
+        facts = survey(frame, codes, cards, [*Z.BLOCK_CODECS, "runcount", *([lz] if lz else [])])
+        parts = [Z.size(frame, codec, codes, method, cards, facts=facts) for codec in CODECS]
+        runs = R.run_count(frame, codes, method, facts=facts).select("method", F.lit("runcount").alias("codec"), "col", F.col("runs").alias("bits"))
+        parts += [encoded_bits(frame, codes, lz, cards, method, facts=facts)] if lz else []
         for one in [*parts, runs]:
             rows = one if rows is None else rows.unionByName(one)
     total = rows.groupBy("method", "codec").agg(F.sum("bits").alias("bits"))
